@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from memojoin.llm import bpe, mixing, quality_rules
+from memojoin.llm import bpe, mixing, quality_rules, warc
 
 
 def queries() -> dict:
     return {
+        "op3_warc": warc.op3_warc,
         "op4_quality_rules": quality_rules.op4_quality_rules,
         "op7_mixing": mixing.op7_mixing,
         "op10_bpe": bpe.op10_bpe,
@@ -14,4 +15,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_quality_rules": quality_rules.OP4_SQL, "op7_mixing": mixing.OP7_SQL}
+    return {"op3_warc": warc.OP3_SQL, "op4_quality_rules": quality_rules.OP4_SQL, "op7_mixing": mixing.OP7_SQL}
