@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from memojoin.llm import bpe, mixing, quality_rules, warc
+from memojoin.llm import bpe, brown_lm, langid, mixing, quality_rules, warc
 
 
 def queries() -> dict:
     return {
+        "op2_langid": langid.op2_langid,
         "op3_warc": warc.op3_warc,
         "op4_quality_rules": quality_rules.op4_quality_rules,
         "op7_mixing": mixing.op7_mixing,
+        "op8_brown_lm": brown_lm.op8_brown_lm,
         "op10_bpe": bpe.op10_bpe,
     }
 
