@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from memojoin.llm import bpe, brown_lm, langid, mixing, quality_rules, warc
+from memojoin.llm import bpe, brown_lm, kn_quality, langid, mixing, quality_rules, warc
 
 
 def queries() -> dict:
@@ -12,6 +12,7 @@ def queries() -> dict:
         "op4_quality_rules": quality_rules.op4_quality_rules,
         "op7_mixing": mixing.op7_mixing,
         "op8_brown_lm": brown_lm.op8_brown_lm,
+        "op9_quality_classifier": kn_quality.op9_quality_classifier,
         "op10_bpe": bpe.op10_bpe,
     }
 
