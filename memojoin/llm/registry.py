@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from memojoin.llm import bpe, brown_lm, kn_quality, langid, mixing, quality_rules, warc
+from memojoin.llm import bpe, brown_lm, e8_dedup, kn_quality, langid, mixing, quality_rules, toxicity, warc
 
 
 def queries() -> dict:
@@ -11,6 +11,8 @@ def queries() -> dict:
         "op3_warc": warc.op3_warc,
         "op4_quality_rules": quality_rules.op4_quality_rules,
         "op7_mixing": mixing.op7_mixing,
+        "op5_toxicity": toxicity.op5_toxicity,
+        "op6_e8_dedup": e8_dedup.op6_e8_dedup,
         "op8_brown_lm": brown_lm.op8_brown_lm,
         "op9_quality_classifier": kn_quality.op9_quality_classifier,
         "op10_bpe": bpe.op10_bpe,
