@@ -225,6 +225,17 @@ def train(docs: DataFrame, per_language: int = PER_LANGUAGE) -> Model | None:
     return fit([r["text"].encode("utf-8", "replace") for r in got], [r["lang"] for r in got])
 
 
+def _predict(scorer: Scorer | None, texts: list[str | None]) -> tuple[list[str], list[float]]:
+    pred, score = ["und"] * len(texts), [0.0] * len(texts)
+    live = [k for k, t in enumerate(texts) if has_letter(t)] if scorer else []
+    if live:
+        q = scorer.probabilities([texts[k].encode("utf-8", "replace") for k in live])
+        for k, row in zip(live, q):
+            best = int(row.argmax())
+            pred[k], score[k] = scorer.model.languages[best], float(min(1.0, row[best]))
+    return pred, score
+
+
 def identify(docs: DataFrame, model: Model | None) -> DataFrame:
     """doc_id, held_out, lang_pred and score of every whole text."""
     rows = docs.select("doc_id", "text", held_out("doc_id", FOLDS, HELD_OUT).alias("held_out"))
@@ -234,19 +245,27 @@ def identify(docs: DataFrame, model: Model | None) -> DataFrame:
         for batch in batches:
             for at in range(0, batch.num_rows, 500):
                 part = batch.slice(at, 500)
-                texts = part.column(1).to_pylist()
-                pred, score = ["und"] * len(texts), [0.0] * len(texts)
-                if scorer:
-                    live = [k for k, t in enumerate(texts) if has_letter(t)]
-                    q = scorer.probabilities([texts[k].encode("utf-8", "replace") for k in live])
-                    for k, row in zip(live, q):
-                        best = int(row.argmax())
-                        pred[k], score[k] = model.languages[best], float(min(1.0, row[best]))
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(pred), pa.array(score)], ["doc_id", "held_out", "lang_pred", "score"])
+                pred, score = _predict(scorer, part.column(1).to_pylist())
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(pred, pa.string()), pa.array(score, pa.float64())], ["doc_id", "held_out", "lang_pred", "score"])
 
     return rows.mapInArrow(run, SCHEMA)
 
 
+def keep_identified(docs: DataFrame, model: Model | None, least_score: float) -> DataFrame:
+    """The rows of docs, all columns, whose language is told with at least this score."""
+    column = docs.columns.index("text")
+
+    def run(batches):
+        scorer = Scorer(model) if model else None
+        for batch in batches:
+            for at in range(0, batch.num_rows, 500):
+                part = batch.slice(at, 500)
+                pred, score = _predict(scorer, part.column(column).to_pylist())
+                yield part.filter(pa.array([p != "und" and s >= least_score for p, s in zip(pred, score)], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def label_positions(text: str, model: Model) -> list[str]:
     """The language label of every byte of one text."""
     out: list[str] = []

@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from memojoin.llm import bpe, brown_lm, e8_dedup, kn_quality, langid, mixing, quality_rules, toxicity, warc
+from memojoin.llm import bpe, brown_lm, e8_dedup, jaccard_join, kn_quality, langid, mixing, quality_rules, toxicity, warc
 
 
 def queries() -> dict:
     return {
+        "op1_jaccard_join": jaccard_join.op1_jaccard_join,
         "op2_langid": langid.op2_langid,
         "op3_warc": warc.op3_warc,
         "op4_quality_rules": quality_rules.op4_quality_rules,
