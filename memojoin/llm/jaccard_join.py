@@ -1,10 +1,10 @@
 """N-gram Jaccard join of whole texts, exact, with set-relation skipping.
 
-Texts become sets of 64-bit hashes of word n-grams. Tokens are ordered rare first by a fixed-size count sketch over
-the whole corpus (any order is right, a good one is fast). Two sets can only reach the threshold if their prefixes
-in that order share a token, so prefixes join sets to candidate groups: each token with two sets or more links them
-to one of them (an aggregate, so a common token costs no pairs), and connected components of those links are the
-groups. The sets of each group then meet in one place and are joined there:
+Texts become sets of 64-bit hashes of word n-grams. To bring sets that may link into one place, each set's tokens are
+dealt to parts by hash, more parts than two linked sets can have differences; so some part is equal in both, and the
+hash of a part's content is a signature that they share. Each signature with two sets or more links them to one of
+them (an aggregate, so a common signature costs no pairs), and connected components of those links are the candidate
+groups. The sets of each group then meet in one task and are joined there over an inverted index of their prefixes:
 
 * index level: a token's list is kept in blocks by position; a block whose sets have too little left behind the
   token to reach the overlap is skipped whole;
@@ -33,7 +33,11 @@ from memojoin.llm.components import components
 from memojoin.llm.e8_dedup import _sorted_groups
 
 WORDS, PERCENT = 3, 90
-SKETCH_BITS = 20
+#: Spare parts beyond the differences that linked sets can have; sets with more empty parts than this add those.
+SPARE_PARTS = 3
+#: Sizes are banded by this many steps of the threshold.
+BAND_STEPS = 4
+SEEN_SETS = 500_000
 BITMAP_BITS = 26
 BLOCK_SETS = 2048
 POSITION_BLOCK = 8
@@ -86,73 +90,83 @@ def prefix_length(n: int, percent: int) -> int:
     return n - -(-percent * n // 100) + 1 if n else 0
 
 
-def _bucket(tokens: np.ndarray) -> np.ndarray:
-    return (tokens >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)
-
-
 def _parts(batches, size=256):
     for batch in batches:
         for at in range(0, batch.num_rows, size):
             yield batch.slice(at, size)
 
 
-def sketch(docs: DataFrame, words: int) -> np.ndarray:
-    """How many tokens of all sets fall into each bucket: one array of fixed size for each task, summed by pieces."""
-    piece = 1 << 14
-
-    def count(batches):
-        shingle, total = Shingler(words), np.zeros(1 << SKETCH_BITS, np.int64)
-        for part in _parts(batches):
-            found = [_bucket(shingle.tokens(t)) for t in part.column(0).to_pylist()]
-            if found:
-                total += np.bincount(np.concatenate(found), minlength=1 << SKETCH_BITS)
-        if total.any():
-            cut = range(0, len(total), piece)
-            yield pa.RecordBatch.from_arrays([pa.array([k // piece for k in cut], pa.int32()), pa.array([total[k : k + piece].tobytes() for k in cut], pa.binary())], ["piece", "counts"])
-
-    def add(batches):
-        sums: dict[int, np.ndarray] = {}
-        for batch in batches:
-            for k, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                x = np.frombuffer(data, np.int64)
-                sums[k] = sums[k] + x if k in sums else x
-        yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([v.tobytes() for v in sums.values()], pa.binary())], ["piece", "counts"])
-
-    kind = "piece int, counts binary"
-    got = docs.select("text").mapInArrow(count, kind).repartition(1 << (SKETCH_BITS - 14), "piece").mapInArrow(add, kind).toArrow()
-    out = np.zeros(1 << SKETCH_BITS, np.int64)
-    for k, data in zip(got.column(0).to_pylist(), got.column(1).to_pylist()):
-        out[k * piece : (k + 1) * piece] = np.frombuffer(data, np.int64)
-    return out
-
-
-def _ordered(tokens: np.ndarray, counts: np.ndarray) -> np.ndarray:
-    return tokens[np.lexsort((tokens, counts[_bucket(tokens)]))]
+class Bands:
+    """Size bands: linked sets lie in one band or in neighbouring ones, and then near the border between them."""
+
+    def __init__(self, percent: int):
+        self.percent, self.starts = percent, [1]
+
+    def groups(self, n: int) -> list[tuple[int, int]]:
+        """(group, largest size in it) for each group that a set of this size belongs to.
+
+        A group is a band with the sets below it that could link into it.
+        """
+        while self.starts[-1] <= 100 * n // self.percent + 1:
+            top = self.starts[-1]
+            for _ in range(BAND_STEPS):
+                top = 100 * top // self.percent + 1
+            self.starts.append(top)
+        at = int(np.searchsorted(self.starts, n, side="right"))  # starts[at - 1] <= n < starts[at]
+        out = [(at, self.starts[at] - 1)]
+        if 100 * n >= self.percent * self.starts[at]:
+            # as the smaller set of a pair whose larger one lies in the next band; that one is below n / threshold
+            self.groups(self.starts[at])
+            out.append((at + 1, self.starts[at + 1] - 1))
+        return out
 
 
-def prefixes(docs: DataFrame, counts, words: int, percent: int) -> DataFrame:
-    """doc_id, n, key (null for an empty set) and prefix tokens of every row."""
+def signatures(tokens: np.ndarray, bands: Bands) -> np.ndarray:
+    """One number for each part of the set, in each group of sizes that it belongs to."""
+    out, percent = [], bands.percent
+    mixed = tokens * np.uint64(0xD6E8FEB86659FD93)
+    mixed ^= mixed >> np.uint64(32)
+    mixed *= np.uint64(0xD6E8FEB86659FD93)
+    for group, most in bands.groups(len(tokens)):
+        differ = 2 * most * (100 - percent) // (100 + percent)
+        if not differ:
+            continue  # only equal sets link at this size
+        parts = differ + 1 + SPARE_PARTS
+        at = ((tokens >> np.uint64(17)) % np.uint64(parts)).astype(np.int64)
+        sums, size = np.zeros(parts, np.uint64), np.bincount(at, minlength=parts)
+        np.add.at(sums, at, mixed)
+        sums ^= (np.arange(parts, dtype=np.uint64) + np.uint64(group << 32)) * np.uint64(0x9E3779B97F4A7C15)
+        sums *= np.uint64(0xBF58476D1CE4E5B9)
+        sums ^= sums >> np.uint64(31)
+        out.append(sums if int((size == 0).sum()) > SPARE_PARTS else sums[size > 0])
+    return np.concatenate(out).view(np.int64) if out else np.empty(0, np.int64)
+
+
+def signed_rows(docs: DataFrame, words: int, percent: int) -> DataFrame:
+    """doc_id, n, key (null for an empty set) and signatures of every row; copies within a task sign once."""
 
     def run(batches):
-        shingle, order = Shingler(words), counts.value
+        shingle, bands, seen = Shingler(words), Bands(percent), set()
         for part in _parts(batches):
-            n, keys, heads = [], [], []
+            n, keys, signs = [], [], []
             for text in part.column(1).to_pylist():
                 t = shingle.tokens(text)
+                k = key_of(t) if len(t) else None
                 n.append(len(t))
-                keys.append(key_of(t) if len(t) else None)
-                heads.append(_ordered(t, order)[: prefix_length(len(t), percent)].view(np.int64))
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(keys, pa.int64()), pa.array(heads, pa.list_(pa.int64()))], ["doc_id", "n", "key", "prefix"])
+                keys.append(k)
+                signs.append(signatures(t, bands) if k is not None and k not in seen else [])
+                if k is not None and len(seen) < SEEN_SETS:
+                    seen.add(k)
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(keys, pa.int64()), pa.array(signs, pa.list_(pa.int64()))], ["doc_id", "n", "key", "signs"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, key long, prefix array<long>")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, key long, signs array<long>")
 
 
 def candidate_groups(rows: DataFrame) -> DataFrame:
-    """key, component: sets that share prefix tokens, directly or through others."""
-    posts = rows.where("key IS NOT NULL").dropDuplicates(["key"]).select("key", F.explode("prefix").alias("token"))
-    posts = materialise(posts, "jaccard-posts")
-    lists = posts.groupBy("token").agg(F.min("key").alias("low"), F.max("key").alias("high")).where("low < high").drop("high")
-    return components(posts.join(lists, "token").select(F.col("key").alias("a"), F.col("low").alias("b")))
+    """key, component: sets that share signatures, directly or through others."""
+    posts = rows.select("key", F.explode("signs").alias("sign"))
+    lists = posts.groupBy("sign").agg(F.min("key").alias("low"), F.max("key").alias("high")).where("low < high").drop("high")
+    return components(posts.join(lists, "sign").where("key <> low").select(F.col("key").alias("a"), F.col("low").alias("b")))
 
 
 def _bitmap(keys: DataFrame) -> np.ndarray:
@@ -171,8 +185,8 @@ def _spread(key: int) -> int:
 class LocalJoin:
     """The sets of one candidate group (or of two blocks of it), linked until connected."""
 
-    def __init__(self, counts: np.ndarray, percent: int):
-        self.counts, self.percent = counts, percent
+    def __init__(self, percent: int):
+        self.percent = percent
 
     def links(self, keys: list[int], sets: list[np.ndarray], side: list[int] | None = None) -> list[tuple[int, int]]:
         """Links that connect what the threshold connects; with sides, only links across them are looked for."""
@@ -183,10 +197,11 @@ class LocalJoin:
         known: dict[int, dict[int, int]] = {}  # overlaps found so far, by set
         twin: dict[int, tuple[int, np.ndarray, np.ndarray]] = {}
         out = []
+        tokens, often = np.unique(np.concatenate(sets), return_counts=True)
         for x in order:
             sx = sets[x]
             n = len(sx)
-            ranked = _ordered(sx, self.counts)
+            ranked = sx[np.lexsort((sx, often[np.searchsorted(tokens, sx)]))]  # rare first within the group
             head = ranked[: prefix_length(n, self.percent)].tolist()
             least = -(-self.percent * n // 100)
             found: list[list[int]] = []
@@ -244,7 +259,7 @@ def _common(a: np.ndarray, b: np.ndarray) -> int:
     return int((b[at] == a).sum())
 
 
-def links(docs: DataFrame, groups: DataFrame, counts, words: int, percent: int) -> DataFrame:
+def links(docs: DataFrame, groups: DataFrame, words: int, percent: int) -> DataFrame:
     """a, b: verified links that connect the sets of each candidate group."""
     spark = docs.sparkSession
     bitmap = spark.sparkContext.broadcast(_bitmap(groups))
@@ -262,7 +277,7 @@ def links(docs: DataFrame, groups: DataFrame, counts, words: int, percent: int)
                 at = _spread(k)
                 if k in seen or not (int(bits[at >> 6]) >> (at & 63)) & 1:
                     continue
-                if len(seen) < 1_000_000:
+                if len(seen) < SEEN_SETS:
                     seen.add(k)
                 keys.append(k)
                 data.append(t.tobytes())
@@ -274,7 +289,7 @@ def links(docs: DataFrame, groups: DataFrame, counts, words: int, percent: int)
     placed = placed.select("component", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), F.when(F.col("own") <= F.col("other"), 1).otherwise(2).alias("side"), "key", "tokens")
 
     def join(batches):
-        local, a, b = LocalJoin(counts.value, percent), [], []
+        local, a, b = LocalJoin(percent), [], []
         for t in _sorted_groups(batches, ["component", "lo", "hi"]):
             keys, at = np.unique(t.column("key").to_numpy(), return_index=True)  # copies of a set from several tasks
             if len(keys) > 1:
@@ -291,10 +306,9 @@ def links(docs: DataFrame, groups: DataFrame, counts, words: int, percent: int)
 
 def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
     """doc_id, n_shingles and component_id of every row."""
-    counts = docs.sparkSession.sparkContext.broadcast(sketch(docs, words))
-    rows = materialise(prefixes(docs, counts, words, percent), "jaccard-prefixes")
+    rows = materialise(signed_rows(docs, words, percent), "jaccard-rows")
     groups = materialise(candidate_groups(rows).select(F.col("node").alias("key"), "component"), "jaccard-groups")
-    label = components(links(docs, groups, counts, words, percent)).withColumnRenamed("node", "key")
+    label = components(links(docs, groups, words, percent)).withColumnRenamed("node", "key")
     firsts = rows.where("key IS NOT NULL").groupBy("key").agg(F.min("doc_id").alias("first"))
     names = label.join(firsts, "key").groupBy("component").agg(F.min("first").alias("c"))
     linked = label.join(names, "component").select("key", "c")

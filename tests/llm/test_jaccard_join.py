@@ -64,7 +64,7 @@ def test_local_join_connects_what_brute_force_connects():
     for _ in range(60):
         keep = base[rng.random(150) < rng.choice([0.97, 0.99, 0.9])]
         sets.append(np.unique(np.concatenate([keep, rng.integers(1, 1 << 60, rng.integers(0, 8), dtype=np.uint64)])))
-    found = jj.LocalJoin(np.zeros(1 << jj.SKETCH_BITS, np.int64), 90).links(list(range(60)), sets)
+    found = jj.LocalJoin(90).links(list(range(60)), sets)
     ok = lambda a, b: 100 * len(np.intersect1d(a, b)) >= 90 * len(np.union1d(a, b))
     assert all(ok(sets[a], sets[b]) for a, b in found)
 
@@ -81,3 +81,19 @@ def test_empty_and_nulls(spark):
     df = spark.createDataFrame([(None, "a b c d"), (4, "a b c d"), (4, "a b c d"), (5, None)], "doc_id long, text string")
     assert sorted(map(str, map(tuple, jj.jaccard_components(df).collect()))) == sorted(map(str, [(None, 2, 4), (4, 2, 4), (4, 2, 4), (5, 0, 5)]))
     assert jj.jaccard_components(df.limit(0)).count() == 0
+
+
+@pytest.mark.parametrize("percent", [80, 90])
+def test_linked_sets_share_a_signature(percent):
+    rng = np.random.default_rng(percent)
+    bands, linked = jj.Bands(percent), 0
+    for _ in range(4000):
+        n = int(rng.choice([3, 10, 11, 12, 19, 20, 40, 95, 100, 300]))
+        x = rng.integers(1, 1 << 63, n, dtype=np.uint64)
+        gone, new = rng.integers(0, n // 8 + 2, 2)
+        y = np.unique(np.concatenate([x[gone:], rng.integers(1, 1 << 63, new, dtype=np.uint64)]))
+        x = np.unique(x)
+        if len(y) and 100 * len(np.intersect1d(x, y)) >= percent * len(np.union1d(x, y)) and not np.array_equal(x, y):
+            linked += 1
+            assert set(jj.signatures(x, bands).tolist()) & set(jj.signatures(y, bands).tolist())
+    assert linked > 300
