@@ -49,6 +49,8 @@ def normalise(atom: Atom, catalog: Catalog, query: ConjunctiveQuery | None = Non
         df = df.where(c)
     fields = {f.name: f.dataType for f in df.schema}
     out = df.select(*[key(F.col(c), fields[c]).alias(v) for v, c in first.items()])
+    floating = [v for v, c in first.items() if isinstance(fields[c], (T.DoubleType, T.FloatType))]
+    out = out.dropna(subset=floating) if floating else out
     for variable, condition in query.selections if query else ():
         if variable in first:
             out = out.where(condition)

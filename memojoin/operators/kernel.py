@@ -162,7 +162,7 @@ class Kernel:
         if not self.policy.caches(c, names) or not self.memo.room():
             return self.solve(c, rows)
         columns = [rows.columns[x] for x in names]
-        admitted = self.memo.mask(c, columns, names)
+        admitted = self.memo.mask(c, columns, names) if columns else np.ones(rows.n, bool)
         out = np.empty(rows.n, np.int64)
         rest = np.flatnonzero(~admitted)
         at = np.flatnonzero(admitted)
@@ -226,8 +226,8 @@ class Numbers:
 
 def _gather(query, catalog, order, most_rows):
     """The atoms' rows on the driver, after their number has been checked."""
-    tables, shared = [], {}
-    for atom, (variables, df) in zip(query.atoms, atom_tables(query, catalog)):
+    tables = []
+    for variables, df in atom_tables(query, catalog):
         if not variables:
             if not df.take(1):
                 return None

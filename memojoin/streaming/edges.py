@@ -11,16 +11,21 @@ from pyspark.sql import functions as F
 EDGE = "s long, t long, ts timestamp"
 
 
+def _timed(df: DataFrame) -> DataFrame:
+    """Event times as timestamps with a zone, which watermarks need."""
+    return df.withColumn("ts", F.col("ts").cast("timestamp"))
+
+
 def stream_edges(events: DataFrame, source: str, target: str, delay: str = "1 hour") -> DataFrame:
     """Distinct edges; the same edge again within the delay is dropped, later than the watermark too."""
-    e = events.withWatermark("ts", delay).select(F.col(source).alias("s"), F.col(target).alias("t"), "ts").dropna()
+    e = _timed(events).withWatermark("ts", delay).select(F.col(source).alias("s"), F.col(target).alias("t"), "ts").dropna()
     return e.dropDuplicatesWithinWatermark(["s", "t"]) if events.isStreaming else e.dropDuplicates(["s", "t"])
 
 
 def windowed_edges(edges: DataFrame, kind: str = "tumbling", size: str = "1 hour", slide: str | None = None, delay: str = "1 hour") -> DataFrame:
     """start, end, s, t, n: edges with their number in tumbling, sliding or session windows."""
     w = F.session_window("ts", size) if kind == "session" else F.window("ts", size, slide if kind == "sliding" else None)
-    out = edges.withWatermark("ts", delay).groupBy(w.alias("w"), "s", "t").agg(F.count(F.lit(1)).alias("n"))
+    out = _timed(edges).withWatermark("ts", delay).groupBy(w.alias("w"), "s", "t").agg(F.count(F.lit(1)).alias("n"))
     return out.select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "s", "t", "n")
 
 
@@ -36,5 +41,5 @@ def _last(key, frames: Iterator[pd.DataFrame], state):
 def transitions(events: DataFrame, key: str, node: str, delay: str = "1 hour") -> DataFrame:
     """s, t, ts: from each node to the key's next one. Streams keep the key's last node as state (windows over rows
     are not to be had there); within a batch rows go by time."""
-    rows = events.select(F.col(key).cast("string").alias("k"), F.col(node).cast("long").alias("node"), "ts").dropna()
+    rows = _timed(events).select(F.col(key).cast("string").alias("k"), F.col(node).cast("long").alias("node"), "ts").dropna()
     return rows.withWatermark("ts", delay).groupBy("k").applyInPandasWithState(_last, EDGE, "last long", "append", "NoTimeout")
