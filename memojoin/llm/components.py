@@ -1,9 +1,9 @@
 """Connected components of a link table, by alternating star contractions.
 
 Each round links every node's larger neighbours to its smallest one, then its smaller neighbours likewise, and
-writes the links to the shared folder; it ends when a round changes nothing. Smallest neighbours are aggregates
+writes the links to the shared folder; it ends when the links are stars. Smallest neighbours are aggregates
 (combined before the shuffle), and the joins that bring them back are sort-merge joins, whose hot keys Spark may
-split. No links reach the driver, only their number and a checksum.
+split. No links reach the driver.
 """
 
 from __future__ import annotations
@@ -33,16 +33,19 @@ def _small_star(e: DataFrame) -> DataFrame:
     return linked.select(F.col("v").alias("a"), F.col("m").alias("b")).unionByName(linked.select(F.col("u").alias("a"), F.col("m").alias("b"))).where("a <> b").distinct()
 
 
+def _settled(e: DataFrame) -> bool:
+    """Whether the links are stars already: every node hangs on one other, and none on a node that hangs itself."""
+    ends = e.select(F.explode(F.array(F.struct(F.col("a").alias("u"), F.lit(1).alias("low")), F.struct(F.col("b").alias("u"), F.lit(0).alias("low")))).alias("x")).select("x.*")
+    roles = ends.groupBy("u").agg(F.sum("low").alias("below"), F.min("low").alias("top"))
+    return not roles.where("below > 1 OR (below = 1 AND top = 0)").take(1)
+
+
 def components(links: DataFrame) -> DataFrame:
     """node, component (its smallest reachable node) for every node of links (a, b); links to oneself count not."""
     e = links.select("a", "b").where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-    e, before = materialise(e, "links"), None
+    e = materialise(e, "links")
     for _ in range(MAX_ROUNDS):
-        now = tuple(e.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
-        if now == before:
-            break
-        before = now
-        if not now[0]:
+        if _settled(e):
             break
         e = materialise(_small_star(_large_star(e)), "links")
     else:

@@ -38,6 +38,8 @@ SPARE_PARTS = 3
 #: Sizes are banded by this many steps of the threshold.
 BAND_STEPS = 4
 SEEN_SETS = 500_000
+#: Signatures that a task holds before it passes them on.
+POSTS_HELD = 1_500_000
 BITMAP_BITS = 26
 BLOCK_SETS = 2048
 POSITION_BLOCK = 8
@@ -142,31 +144,101 @@ def signatures(tokens: np.ndarray, bands: Bands) -> np.ndarray:
     return np.concatenate(out).view(np.int64) if out else np.empty(0, np.int64)
 
 
-def signed_rows(docs: DataFrame, words: int, percent: int) -> DataFrame:
-    """doc_id, n, key (null for an empty set) and signatures of every row; copies within a task sign once."""
+def keyed_rows(docs: DataFrame, words: int) -> DataFrame:
+    """doc_id, n and key (null for an empty set) of every row."""
 
     def run(batches):
-        shingle, bands, seen = Shingler(words), Bands(percent), set()
+        shingle = Shingler(words)
         for part in _parts(batches):
-            n, keys, signs = [], [], []
+            n, keys = [], []
             for text in part.column(1).to_pylist():
                 t = shingle.tokens(text)
-                k = key_of(t) if len(t) else None
                 n.append(len(t))
-                keys.append(k)
-                signs.append(signatures(t, bands) if k is not None and k not in seen else [])
-                if k is not None and len(seen) < SEEN_SETS:
-                    seen.add(k)
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(keys, pa.int64()), pa.array(signs, pa.list_(pa.int64()))], ["doc_id", "n", "key", "signs"])
+                keys.append(key_of(t) if len(t) else None)
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(keys, pa.int64())], ["doc_id", "n", "key"])
+
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, key long")
+
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, key long, signs array<long>")
+def _stars(signs: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """The smallest key of each signature, and links of all others to it."""
+    at = np.lexsort((keys, signs))
+    signs, keys = signs[at], keys[at]
+    first = np.ones(len(signs), bool)
+    first[1:] = signs[1:] != signs[:-1]
+    low = keys[first][np.cumsum(first) - 1]
+    links = np.unique(np.stack([keys, low], axis=1)[~first & (keys != low)], axis=0)
+    return signs[first], keys[first], links[:, 0], links[:, 1]
+
+
+def candidate_groups(docs: DataFrame, words: int, percent: int) -> DataFrame:
+    """key, component: sets that share signatures, directly or through others.
+
+    A task links the sets that share a signature among its own texts and passes one set on for each signature, so a
+    signature that very many sets share is one number from each task. Signatures travel as packed arrays.
+    """
+    blocks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    packed = "block int, links boolean, data binary"
+
+    def post(batches):
+        shingle, bands, seen = Shingler(words), Bands(percent), set()
+        held: list[np.ndarray] = []
+        owners: list[int] = []
+        sizes: list[int] = []
+
+        def flush():
+            signs, keys = np.concatenate(held), np.repeat(np.array(owners, np.int64), sizes)
+            signs, keys, a, b = _stars(signs, keys)
+            where = (signs.view(np.uint64) >> np.uint64(11)) % np.uint64(blocks)
+            order = np.argsort(where, kind="stable")
+            cuts = np.searchsorted(where[order], np.arange(blocks + 1))
+            out = [(k, False, np.concatenate([signs[order[i:j]], keys[order[i:j]]]).tobytes()) for k, (i, j) in enumerate(zip(cuts[:-1], cuts[1:])) if i < j]
+            if len(a):
+                out.append((int(a[0]) % blocks, True, np.concatenate([a, b]).tobytes()))
+            yield pa.RecordBatch.from_arrays([pa.array([o[k] for o in out], t) for k, t in enumerate((pa.int32(), pa.bool_(), pa.binary()))], ["block", "links", "data"])
 
+        for part in _parts(batches):
+            for text in part.column(0).to_pylist():
+                t = shingle.tokens(text)
+                if not len(t):
+                    continue
+                k = key_of(t)
+                if k in seen:
+                    continue
+                if len(seen) < SEEN_SETS:
+                    seen.add(k)
+                signs = signatures(t, bands)
+                if len(signs):
+                    held.append(signs)
+                    owners.append(k)
+                    sizes.append(len(signs))
+            if sum(sizes) > POSTS_HELD:
+                yield from flush()
+                held, owners, sizes = [], [], []
+        if held:
+            yield from flush()
+
+    def link(batches):
+        posts, a, b = [], [], []
+        for batch in batches:
+            for is_link, data in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist()):
+                x = np.frombuffer(data, np.int64).reshape(2, -1)
+                if is_link:
+                    a.append(x[0])
+                    b.append(x[1])
+                else:
+                    posts.append(x)
+        if posts:
+            x = np.concatenate(posts, axis=1)
+            posts = []
+            _, _, c, d = _stars(x[0], x[1])
+            a.append(c)
+            b.append(d)
+        if a:
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(a)), pa.array(np.concatenate(b))], ["a", "b"])
 
-def candidate_groups(rows: DataFrame) -> DataFrame:
-    """key, component: sets that share signatures, directly or through others."""
-    posts = rows.select("key", F.explode("signs").alias("sign"))
-    lists = posts.groupBy("sign").agg(F.min("key").alias("low"), F.max("key").alias("high")).where("low < high").drop("high")
-    return components(posts.join(lists, "sign").where("key <> low").select(F.col("key").alias("a"), F.col("low").alias("b")))
+    found = docs.select("text").mapInArrow(post, packed).repartition(blocks, "block").mapInArrow(link, "a long, b long")
+    return components(found)
 
 
 def _bitmap(keys: DataFrame) -> np.ndarray:
@@ -306,8 +378,8 @@ def links(docs: DataFrame, groups: DataFrame, words: int, percent: int) -> DataF
 
 def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
     """doc_id, n_shingles and component_id of every row."""
-    rows = materialise(signed_rows(docs, words, percent), "jaccard-rows")
-    groups = materialise(candidate_groups(rows).select(F.col("node").alias("key"), "component"), "jaccard-groups")
+    rows = materialise(keyed_rows(docs, words), "jaccard-rows")
+    groups = materialise(candidate_groups(docs, words, percent).select(F.col("node").alias("key"), "component"), "jaccard-groups")
     label = components(links(docs, groups, words, percent)).withColumnRenamed("node", "key")
     firsts = rows.where("key IS NOT NULL").groupBy("key").agg(F.min("doc_id").alias("first"))
     names = label.join(firsts, "key").groupBy("component").agg(F.min("first").alias("c"))

@@ -3,35 +3,7 @@ import random
 import numpy as np
 import pytest
 from memojoin.llm import jaccard_join as jj
-
-
-def shingles(text, n):
-    w = (text or "").encode().lower().split()
-    if not w:
-        return frozenset()
-    return frozenset(tuple(w[k : k + n]) for k in range(len(w) - n + 1)) if len(w) >= n else frozenset([tuple(w)])
-
-
-def brute(rows, n, percent):
-    sets = [shingles(t, n) for _, t in rows]
-    comp = [i for i, _ in rows]
-    top = list(range(len(rows)))
-
-    def root(i):
-        while top[i] != i:
-            i = top[i]
-        return i
-
-    for i in range(len(rows)):
-        for j in range(i):
-            a, b = sets[i], sets[j]
-            if a and b and 100 * len(a & b) >= percent * len(a | b):
-                top[root(i)] = root(j)
-    low = {}
-    for i, d in enumerate(comp):
-        r = root(i)
-        low[r] = min(low.get(r, d), d)
-    return {d: (len(sets[i]), low[root(i)]) for i, d in enumerate(comp)}
+from tests_brute import brute
 
 
 def corpus(seed, n=260):
