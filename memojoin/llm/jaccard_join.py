@@ -1,10 +1,12 @@
 """N-gram Jaccard join of whole texts, exact, with set-relation skipping.
 
 Texts become sets of 64-bit hashes of word n-grams. To bring sets that may link into one place, each set's tokens are
-dealt to parts by hash, more parts than two linked sets can have differences; so some part is equal in both, and the
-hash of a part's content is a signature that they share. Each signature with two sets or more links them to one of
-them (an aggregate, so a common signature costs no pairs), and connected components of those links are the candidate
-groups. The sets of each group then meet in one task and are joined there over an inverted index of their prefixes:
+dealt to parts by hash, more parts than two linked sets can have differences; so several parts are equal in both, and
+the hash of a part's content is a signature that they share. A signature of few sets links them to one of them. Frequent
+signatures (of passages that many texts quote) only count for sets that have so many of them that all the parts which
+a linked set must share could be frequent ones; others share a rarer signature with whatever they link with. Connected
+components of those links are the candidate groups. The sets of each group then meet in one task and are joined there
+over an inverted index of their prefixes:
 
 * index level: a token's list is kept in blocks by position; a block whose sets have too little left behind the
   token to reach the overlap is skipped whole;
@@ -33,8 +35,10 @@ from memojoin.llm.components import components
 from memojoin.llm.e8_dedup import _sorted_groups
 
 WORDS, PERCENT = 3, 90
-#: Spare parts beyond the differences that linked sets can have; sets with more empty parts than this add those.
-SPARE_PARTS = 3
+#: Parts beyond the differences that linked sets can have: at least so many, and this share of the differences.
+SPARE_PARTS, SPARE_SHARE = 3, 0.5
+#: A signature of more sets than this is frequent.
+FREQUENT = 6
 #: Sizes are banded by this many steps of the threshold.
 BAND_STEPS = 4
 SEEN_SETS = 500_000
@@ -80,7 +84,7 @@ class Shingler:
 
 
 def key_of(tokens: np.ndarray) -> int:
-    return xxhash.xxh3_64_intdigest(tokens.tobytes()) - (1 << 63)
+    return (xxhash.xxh3_64_intdigest(tokens.tobytes()) - (1 << 63)) & ~1  # the last bit is free for a mark
 
 
 def least_overlap(n: int, m: int, percent: int) -> int:
@@ -123,8 +127,8 @@ class Bands:
         return out
 
 
-def signatures(tokens: np.ndarray, bands: Bands) -> np.ndarray:
-    """One number for each part of the set, in each group of sizes that it belongs to."""
+def signatures(tokens: np.ndarray, bands: Bands) -> list[tuple[np.ndarray, int]]:
+    """For each group of sizes that the set belongs to: a number for each part, and how many any linked set shares."""
     out, percent = [], bands.percent
     mixed = tokens * np.uint64(0xD6E8FEB86659FD93)
     mixed ^= mixed >> np.uint64(32)
@@ -132,16 +136,19 @@ def signatures(tokens: np.ndarray, bands: Bands) -> np.ndarray:
     for group, most in bands.groups(len(tokens)):
         differ = 2 * most * (100 - percent) // (100 + percent)
         if not differ:
-            continue  # only equal sets link at this size
-        parts = differ + 1 + SPARE_PARTS
+            out.append((np.empty(0, np.int64), 0))  # only equal sets link at this size
+            continue
+        parts = differ + 1 + max(SPARE_PARTS, int(SPARE_SHARE * differ))
         at = ((tokens >> np.uint64(17)) % np.uint64(parts)).astype(np.int64)
         sums, size = np.zeros(parts, np.uint64), np.bincount(at, minlength=parts)
         np.add.at(sums, at, mixed)
         sums ^= (np.arange(parts, dtype=np.uint64) + np.uint64(group << 32)) * np.uint64(0x9E3779B97F4A7C15)
         sums *= np.uint64(0xBF58476D1CE4E5B9)
         sums ^= sums >> np.uint64(31)
-        out.append(sums if int((size == 0).sum()) > SPARE_PARTS else sums[size > 0])
-    return np.concatenate(out).view(np.int64) if out else np.empty(0, np.int64)
+        empty, shared = int((size == 0).sum()), parts - differ
+        # shared parts may be empty ones: those are left out if a full one must be among the shared
+        out.append((sums.view(np.int64), shared) if empty >= shared else (sums[size > 0].view(np.int64), shared - empty))
+    return out
 
 
 def keyed_rows(docs: DataFrame, words: int) -> DataFrame:
@@ -160,85 +167,115 @@ def keyed_rows(docs: DataFrame, words: int) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, key long")
 
 
-def _stars(signs: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """The smallest key of each signature, and links of all others to it."""
-    at = np.lexsort((keys, signs))
-    signs, keys = signs[at], keys[at]
-    first = np.ones(len(signs), bool)
-    first[1:] = signs[1:] != signs[:-1]
-    low = keys[first][np.cumsum(first) - 1]
-    links = np.unique(np.stack([keys, low], axis=1)[~first & (keys != low)], axis=0)
-    return signs[first], keys[first], links[:, 0], links[:, 1]
+def _runs(signs: np.ndarray, marked: np.ndarray):
+    """Sorted signatures and keys, where each signature starts, and how many sets each has."""
+    at = np.lexsort((marked, signs))
+    signs, marked = signs[at], marked[at]
+    first = np.flatnonzero(np.concatenate([[True], signs[1:] != signs[:-1]]))
+    return signs, marked, first, np.diff(np.append(first, len(signs)))
+
+
+POST, NEED, COMMON, LINK = 0, 1, 2, 3
 
 
 def candidate_groups(docs: DataFrame, words: int, percent: int) -> DataFrame:
-    """key, component: sets that share signatures, directly or through others.
+    """node, component: sets that share signatures, directly or through others.
 
-    A task links the sets that share a signature among its own texts and passes one set on for each signature, so a
-    signature that very many sets share is one number from each task. Signatures travel as packed arrays.
+    Signatures travel as packed arrays, once. Where a task alone has more sets with one than makes it frequent, it
+    passes on two for all, so a signature that very many sets share is two numbers from each task.
     """
-    blocks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    packed = "block int, links boolean, data binary"
+    spark = docs.sparkSession
+    blocks = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    packed = "block int, kind int, data binary"
 
     def post(batches):
         shingle, bands, seen = Shingler(words), Bands(percent), set()
         held: list[np.ndarray] = []
         owners: list[int] = []
-        sizes: list[int] = []
+        needs: list[int] = []
 
         def flush():
-            signs, keys = np.concatenate(held), np.repeat(np.array(owners, np.int64), sizes)
-            signs, keys, a, b = _stars(signs, keys)
-            where = (signs.view(np.uint64) >> np.uint64(11)) % np.uint64(blocks)
-            order = np.argsort(where, kind="stable")
-            cuts = np.searchsorted(where[order], np.arange(blocks + 1))
-            out = [(k, False, np.concatenate([signs[order[i:j]], keys[order[i:j]]]).tobytes()) for k, (i, j) in enumerate(zip(cuts[:-1], cuts[1:])) if i < j]
-            if len(a):
-                out.append((int(a[0]) % blocks, True, np.concatenate([a, b]).tobytes()))
-            yield pa.RecordBatch.from_arrays([pa.array([o[k] for o in out], t) for k, t in enumerate((pa.int32(), pa.bool_(), pa.binary()))], ["block", "links", "data"])
+            marked = np.array(owners, np.int64)
+            signs, keys, first, n = _runs(np.concatenate(held), np.repeat(marked, [len(h) for h in held]))
+            common = np.repeat(n > FREQUENT, n)
+            # a frequent signature goes on by as many sets as show the reader that it is frequent
+            rank = np.arange(len(signs)) - np.repeat(first, n)
+            go = ~common | (rank <= FREQUENT)
+            where = ((signs.view(np.uint64) >> np.uint64(11)) % np.uint64(blocks)).astype(np.int64)
+            rest = np.flatnonzero(common & ~go)
+            out = [(int(k), POST, np.concatenate([signs[i], keys[i]])) for k, i in _dealt(where, np.flatnonzero(go))]
+            out += [(int(k), COMMON, np.concatenate([signs[i], keys[i]])) for k, i in _dealt(where, rest)]
+            out.append((int(marked[0]) % blocks, NEED, np.concatenate([marked, np.array(needs, np.int64)])))
+            yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int32()), pa.array([o[1] for o in out], pa.int32()), pa.array([o[2].tobytes() for o in out], pa.binary())], ["block", "kind", "data"])
 
         for part in _parts(batches):
             for text in part.column(0).to_pylist():
                 t = shingle.tokens(text)
-                if not len(t):
-                    continue
-                k = key_of(t)
-                if k in seen:
+                if not len(t) or (k := key_of(t)) in seen:
                     continue
                 if len(seen) < SEEN_SETS:
                     seen.add(k)
-                signs = signatures(t, bands)
-                if len(signs):
-                    held.append(signs)
-                    owners.append(k)
-                    sizes.append(len(signs))
-            if sum(sizes) > POSTS_HELD:
+                for mark, (signs, need) in enumerate(signatures(t, bands)):
+                    if len(signs):
+                        held.append(signs)
+                        owners.append(k | mark)
+                        needs.append(need)
+            if sum(map(len, held)) > POSTS_HELD:
                 yield from flush()
-                held, owners, sizes = [], [], []
+                held, owners, needs = [], [], []
         if held:
             yield from flush()
 
     def link(batches):
-        posts, a, b = [], [], []
+        posts: list[np.ndarray] = []
+
+        def rows(kind, a, b):
+            for k in range(0, len(a), 200_000):
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(a[k : k + 200_000]), kind, np.int32)), pa.array(a[k : k + 200_000]), pa.array(b[k : k + 200_000])], ["kind", "a", "b"])
+
         for batch in batches:
-            for is_link, data in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist()):
+            for kind, data in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist()):
                 x = np.frombuffer(data, np.int64).reshape(2, -1)
-                if is_link:
-                    a.append(x[0])
-                    b.append(x[1])
-                else:
+                if kind == POST:
                     posts.append(x)
+                else:
+                    yield from rows(kind, x[0], x[1])
         if posts:
             x = np.concatenate(posts, axis=1)
-            posts = []
-            _, _, c, d = _stars(x[0], x[1])
-            a.append(c)
-            b.append(d)
-        if a:
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(a)), pa.array(np.concatenate(b))], ["a", "b"])
-
-    found = docs.select("text").mapInArrow(post, packed).repartition(blocks, "block").mapInArrow(link, "a long, b long")
-    return components(found)
+            posts.clear()
+            signs, marked, first, n = _distinct_runs(x)
+            common = np.repeat(n > FREQUENT, n)
+            yield from rows(COMMON, signs[common], marked[common])
+            keys = marked & ~1
+            low = np.repeat(keys[first], n)
+            pick = ~common & (keys != low)
+            pairs = np.unique(np.stack([keys[pick], low[pick]], axis=1), axis=0)
+            yield from rows(LINK, pairs[:, 0], pairs[:, 1])
+
+    found = materialise(docs.select("text").mapInArrow(post, packed).repartition(blocks, "block").mapInArrow(link, "kind int, a long, b long"), "jaccard-links")
+    common = found.where(f"kind = {COMMON}").select(F.col("a").alias("sign"), F.col("b").alias("marked")).distinct()
+    need = found.where(f"kind = {NEED}").groupBy(F.col("a").alias("marked")).agg(F.min("b").alias("need"))
+    bound = common.groupBy("marked").agg(F.count(F.lit(1)).alias("n")).join(need, "marked").where("n >= need").select("marked")
+    inside = common.join(bound, "marked").select("sign", F.expr("marked & ~1L").alias("key"))
+    lows = inside.groupBy("sign").agg(F.min("key").alias("low"))
+    crowd = inside.join(lows, "sign").select(F.col("key").alias("a"), F.col("low").alias("b"))
+    return components(found.where(f"kind = {LINK}").select("a", "b").unionByName(crowd))
+
+
+def _dealt(where: np.ndarray, rows: np.ndarray):
+    """(block, rows) for each block that has some."""
+    rows = rows[np.argsort(where[rows], kind="stable")]
+    cuts = np.flatnonzero(np.diff(where[rows])) + 1
+    for part in np.split(rows, cuts):
+        if len(part):
+            yield where[part[0]], part
+
+
+def _distinct_runs(x: np.ndarray):
+    """_runs() over posts of which several tasks may have sent the same."""
+    signs, marked, _, _ = _runs(x[0], x[1])
+    new = np.concatenate([[True], (signs[1:] != signs[:-1]) | (marked[1:] != marked[:-1])])
+    return _runs(signs[new], marked[new])
 
 
 def _bitmap(keys: DataFrame) -> np.ndarray:
