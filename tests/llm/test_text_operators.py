@@ -77,7 +77,7 @@ def test_mixing_targets_copies_and_reruns(spark):
     names = sorted(sizes, key=lambda s: (s is None, s or ""))
     target = dict(zip(names, mixing.share_out([sizes[s] for s in names], [1 + k % 3 for k in range(len(names))], sum(sizes.values()))))
     by_id = {r["doc_id"]: r for r in got}
-    for k, _, s, _ in rows[:50]:
+    for k, _, s, _ in rows[6:50]:
         assert by_id[k]["source_size"] == sizes[s] and by_id[k]["target"] == target[s]
     assert abs(sum(target.values()) - sum(sizes.values())) < 1e-6 and all(target[s] <= 3 * sizes[s] for s in names)
     taken = Counter()
@@ -187,7 +187,7 @@ def test_levenshtein_search_equals_edit_distance():
 
 def test_toxicity_marks_abuse_not_quotation(spark):
     s = toxicity.fit([], [])
-    quoted, aimed = toxicity.features('they said "you are an idiot" in a report', s.lexicon), toxicity.features("well you are an idiiot today", s.lexicon)
+    quoted, aimed = toxicity.features('they said "you are an idiot" in a report', s.lexicon), toxicity.features("well you are worthles today", s.lexicon)
     assert quoted[5] == 1.0 and aimed[5] == 0.0 and aimed[4] > 0
     assert s.score("you are an idiot") > s.score('he wrote "idiot" once') and s.score(None) == s.score("") < 0.3
     got = toxicity.score(table(spark, ODD), s).collect()
