@@ -82,7 +82,7 @@ def test_mixing_targets_copies_and_reruns(spark):
     assert abs(sum(target.values()) - sum(sizes.values())) < 1e-6 and all(target[s] <= 3 * sizes[s] for s in names)
     taken = Counter()
     for r in got:
-        taken[r["target"]] += r["size"] * r["copies"]
+        taken[r["target"], r["source_size"]] += r["size"] * r["copies"]
     assert all(abs(v - t) < 0.1 * t + 50 for t, v in taken.items())
     assert sorted(map(str, got)) == sorted(map(str, mixing.plan_documents(df).collect()))
     mixed = mixing.mix(df)
