@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from memojoin.llm import bpe, jaccard_join, kn_quality, langid, mixing
 from memojoin.llm.common import materialise, read
@@ -20,8 +19,7 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps documents within their language's perplexity threshold."""
-    judged = kn_quality.classify(docs, read(spark, sf_dir, "labels"), keep=docs.columns)
-    return judged.where("kept").select(*docs.columns)
+    return kn_quality.keep_good(docs, read(spark, sf_dir, "labels"))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

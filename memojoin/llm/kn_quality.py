@@ -13,8 +13,8 @@ enough of them, otherwise over all.
 
 Defined cases: a text without words (null, empty) has no perplexity and is rejected; a null or unseen language
 takes the overall threshold; without trusted documents nothing with words is rejected; a document labelled twice
-is trusted if any label says so; repeated rows are scored alike; extra columns are carried by ``classify`` only
-when asked for.
+is trusted if any label says so; repeated rows are scored alike; extra columns are carried by
+``keep_good`` and, when asked for, by ``classify``.
 """
 
 from __future__ import annotations
@@ -221,5 +221,11 @@ def classify(docs: DataFrame, labels: DataFrame, keep: list[str] | None = None)
     )
 
 
+def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """The rows of docs, all columns, that stay within their language's threshold."""
+    rows = docs.select("doc_id", "lang", "text", F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("__row"))
+    return classify(rows, labels, keep=["__row"]).where("kept").select("__row.*")
+
+
 def op9_quality_classifier(spark, sf_dir: str) -> DataFrame:
     return classify(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))

@@ -58,16 +58,16 @@ def _uniform(key: Column) -> Column:
     return F.conv(F.substring(F.md5(F.concat(F.lit(SEED + "|"), key).cast("binary")), 1, 13), 16, 10).cast("double") / F.lit(float(1 << 52))
 
 
-def plan_documents(docs: DataFrame, weights=WEIGHTS, max_repeats=MAX_REPEATS, keep: list[str] | None = None) -> DataFrame:
-    """docs' columns in keep (default: doc_id), with size, source_size, target and copies."""
+def _planned(docs: DataFrame, weights, max_repeats) -> DataFrame:
+    """Every row as a struct, __row, so that no column of docs can clash, with size, source_size, target and copies."""
+    size = F.size(native_words(F.col("text"))).cast("long").alias("size")
     sized = docs.select(
-        *[F.col(c) for c in keep or ["doc_id"]],
+        F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("__row"),
         F.col("source").alias("__source"),
-        F.size(native_words(F.col("text"))).cast("long").alias("size"),
+        size,
         _uniform(F.coalesce(F.col("doc_id").cast("string"), F.md5(F.col("text").cast("binary")), F.lit(""))).alias("__u"),
     )
-    totals = docs.select(F.col("source").alias("__source"), F.size(native_words(F.col("text"))).cast("long").alias("size"))
-    plan = source_plan(docs, totals, weights, max_repeats).withColumnRenamed("__source", "__s")
+    plan = source_plan(docs, docs.select(F.col("source").alias("__source"), size), weights, max_repeats).withColumnRenamed("__source", "__s")
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     joined = sized.join(plan, F.col("__source").eqNullSafe(F.col("__s")), "inner").withColumn("__rate", rate)
     whole = F.floor("__rate")
@@ -75,12 +75,15 @@ def plan_documents(docs: DataFrame, weights=WEIGHTS, max_repeats=MAX_REPEATS, ke
     return joined.withColumn("copies", copies.cast("long")).drop("__source", "__s", "__u", "__rate")
 
 
+def plan_documents(docs: DataFrame, weights=WEIGHTS, max_repeats=MAX_REPEATS) -> DataFrame:
+    """doc_id with size, source_size, target and copies."""
+    return _planned(docs, weights, max_repeats).select(F.col("__row.doc_id").alias("doc_id"), "size", "source_size", "target", "copies")
+
+
 def mix(docs: DataFrame, weights=WEIGHTS, max_repeats=MAX_REPEATS) -> DataFrame:
     """The mixed corpus: every row of docs as often as its rate says, with the columns of docs."""
-    names = docs.columns
-    planned = plan_documents(docs.toDF(*names), weights, max_repeats, keep=names)
     copies = F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))
-    return planned.where("copies > 0").select(*[F.col(c) for c in names], copies.alias("__copy")).drop("__copy")
+    return _planned(docs, weights, max_repeats).where("copies > 0").select("__row", copies.alias("__copy")).select("__row.*")
 
 
 def op7_mixing(spark, sf_dir: str) -> DataFrame:

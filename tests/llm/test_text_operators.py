@@ -162,6 +162,8 @@ def test_kneser_ney_sums_to_one_and_prefers_trusted_text(spark):
     docs = table(spark, ["the cat sat on the rug", "zq xv kk", None, ""])
     got = {r["doc_id"]: r for r in kn_quality.perplexities(docs, m, ["doc_id"]).collect()}
     assert got[0]["log10_prob"] > got[1]["log10_prob"] and got[2]["n_tokens"] == got[3]["n_tokens"] == 0
+    good = kn_quality.keep_good(docs, spark.createDataFrame([], "doc_id long, quality int, toxic int"))
+    assert good.columns == docs.columns and good.count() == 2
     none = kn_quality.classify(docs, spark.createDataFrame([], "doc_id long, quality int, toxic int")).collect()
     assert {r["doc_id"]: r["kept"] for r in none} == {0: True, 1: True, 2: False, 3: False}
 
