@@ -2,9 +2,9 @@
 
 Texts become sets of 64-bit hashes of word n-grams. To bring sets that may link into one place, each set's tokens are
 dealt to parts by hash, more parts than two linked sets can have differences; so several parts are equal in both, and
-the hash of a part's content is a signature that they share. A signature of few sets links them to one of them. Frequent
+the hash of a part's content is a signature that they share. Signatures of few sets are counted for each pair; frequent
 signatures (of passages that many texts quote) only count for sets that have so many of them that all the parts which
-a linked set must share could be frequent ones; others share a rarer signature with whatever they link with. Connected
+a linked set must share could be frequent ones. Pairs that share too few are no candidates. Connected
 components of those links are the candidate groups. The sets of each group then meet in one task and are joined there
 over an inverted index of their prefixes:
 
@@ -229,9 +229,11 @@ def candidate_groups(docs: DataFrame, words: int, percent: int) -> DataFrame:
     def link(batches):
         posts: list[np.ndarray] = []
 
-        def rows(kind, a, b):
+        def rows(kind, a, b, times=None):
+            times = np.ones(len(a), np.int64) if times is None else times
             for k in range(0, len(a), 200_000):
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(a[k : k + 200_000]), kind, np.int32)), pa.array(a[k : k + 200_000]), pa.array(b[k : k + 200_000])], ["kind", "a", "b"])
+                at = slice(k, k + 200_000)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(a[at]), kind, np.int32)), pa.array(a[at]), pa.array(b[at]), pa.array(times[at])], ["kind", "a", "b", "times"])
 
         for batch in batches:
             for kind, data in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist()):
@@ -246,20 +248,28 @@ def candidate_groups(docs: DataFrame, words: int, percent: int) -> DataFrame:
             signs, marked, first, n = _distinct_runs(x)
             common = np.repeat(n > FREQUENT, n)
             yield from rows(COMMON, signs[common], marked[common])
-            keys = marked & ~1
-            low = np.repeat(keys[first], n)
-            pick = ~common & (keys != low)
-            pairs = np.unique(np.stack([keys[pick], low[pick]], axis=1), axis=0)
-            yield from rows(LINK, pairs[:, 0], pairs[:, 1])
-
-    found = materialise(docs.select("text").mapInArrow(post, packed).repartition(blocks, "block").mapInArrow(link, "kind int, a long, b long"), "jaccard-links")
+            # few sets share each of the others: all their pairs, with how often they meet here
+            signs, marked = signs[~common], marked[~common]
+            pairs = []
+            for step in range(1, FREQUENT):
+                same = signs[step:] == signs[:-step]
+                pairs.append(np.stack([marked[:-step][same], marked[step:][same]], axis=1))
+            pairs, times = np.unique(np.sort(np.concatenate(pairs), axis=1), axis=0, return_counts=True)
+            yield from rows(LINK, pairs[:, 0], pairs[:, 1], times)
+
+    found = materialise(docs.select("text").mapInArrow(post, packed).repartition(blocks, "block").mapInArrow(link, "kind int, a long, b long, times long"), "jaccard-links")
     common = found.where(f"kind = {COMMON}").select(F.col("a").alias("sign"), F.col("b").alias("marked")).distinct()
     need = found.where(f"kind = {NEED}").groupBy(F.col("a").alias("marked")).agg(F.min("b").alias("need"))
-    bound = common.groupBy("marked").agg(F.count(F.lit(1)).alias("n")).join(need, "marked").where("n >= need").select("marked")
+    known = need.join(common.groupBy("marked").agg(F.count(F.lit(1)).alias("n")), "marked", "left").select("marked", "need", F.coalesce("n", F.lit(0)).alias("n"))
+    bound = known.where("n >= need").select("marked")
     inside = common.join(bound, "marked").select("sign", F.expr("marked & ~1L").alias("key"))
     lows = inside.groupBy("sign").agg(F.min("key").alias("low"))
     crowd = inside.join(lows, "sign").select(F.col("key").alias("a"), F.col("low").alias("b"))
-    return components(found.where(f"kind = {LINK}").select("a", "b").unionByName(crowd))
+    # a linked pair shares as many signatures as either needs: the rare ones are counted, frequent ones at most what both have
+    met = found.where(f"kind = {LINK}").groupBy("a", "b").agg(F.sum("times").alias("times"))
+    side = lambda x: known.select(F.col("marked").alias(x), F.col("need").alias(f"need_{x}"), F.col("n").alias(f"n_{x}"))
+    able = met.join(side("a"), "a").join(side("b"), "b").where("times + least(n_a, n_b) >= greatest(need_a, need_b)")
+    return components(able.selectExpr("a & ~1L AS a", "b & ~1L AS b").unionByName(crowd))
 
 
 def _dealt(where: np.ndarray, rows: np.ndarray):
