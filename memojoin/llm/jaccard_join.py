@@ -128,15 +128,22 @@ class Bands:
 
 
 def signatures(tokens: np.ndarray, bands: Bands) -> list[tuple[np.ndarray, int]]:
-    """For each group of sizes that the set belongs to: a number for each part, and how many any linked set shares."""
+    """For each group of sizes that the set belongs to: a number for each part, and how many any linked set shares.
+
+    A difference spoils one part, and a set of n tokens has at most n * (1 / threshold - 1) differences from any that
+    it links with; so of its full parts all but so many are equal in both. A set whose full parts could all be spoilt
+    also posts its empty ones. It asks for one signature only: a partner that posts no empty parts shares just full
+    ones with it, and so the larger need of two linked sets never exceeds what both post.
+    """
     out, percent = [], bands.percent
     mixed = tokens * np.uint64(0xD6E8FEB86659FD93)
     mixed ^= mixed >> np.uint64(32)
     mixed *= np.uint64(0xD6E8FEB86659FD93)
     for group, most in bands.groups(len(tokens)):
         differ = 2 * most * (100 - percent) // (100 + percent)
-        if not differ:
-            out.append((np.empty(0, np.int64), 0))  # only equal sets link at this size
+        own = min(differ, len(tokens) * (100 - percent) // percent)
+        if not own:
+            out.append((np.empty(0, np.int64), 0))  # only equal sets link with one of this size
             continue
         parts = differ + 1 + max(SPARE_PARTS, int(SPARE_SHARE * differ))
         at = ((tokens >> np.uint64(17)) % np.uint64(parts)).astype(np.int64)
@@ -145,9 +152,8 @@ def signatures(tokens: np.ndarray, bands: Bands) -> list[tuple[np.ndarray, int]]
         sums ^= (np.arange(parts, dtype=np.uint64) + np.uint64(group << 32)) * np.uint64(0x9E3779B97F4A7C15)
         sums *= np.uint64(0xBF58476D1CE4E5B9)
         sums ^= sums >> np.uint64(31)
-        empty, shared = int((size == 0).sum()), parts - differ
-        # shared parts may be empty ones: those are left out if a full one must be among the shared
-        out.append((sums.view(np.int64), shared) if empty >= shared else (sums[size > 0].view(np.int64), shared - empty))
+        full = int((size > 0).sum())
+        out.append((sums[size > 0].view(np.int64), full - own) if full > own else (sums.view(np.int64), 1))
     return out
 
 

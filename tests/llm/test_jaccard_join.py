@@ -71,3 +71,26 @@ def test_linked_sets_share_a_signature(percent):
             needs = {g: n for (g, _), (_, n) in zip(bands.groups(len(x)), jj.signatures(x, bands))}
             assert any(len(a[g] & b[g]) >= needs[g] > 0 for g in set(a) & set(b))
     assert linked > 300
+
+
+@pytest.mark.parametrize("percent", [80, 90])
+def test_short_linked_sets_share_what_the_larger_need_asks(percent):
+    rng = np.random.default_rng(percent + 1)
+    bands, linked = jj.Bands(percent), 0
+    for _ in range(30_000):
+        x = np.unique(rng.integers(1, 1 << 63, int(rng.integers(4, 13)), dtype=np.uint64))
+        gone, new = rng.integers(0, 3, 2)
+        y = np.unique(np.concatenate([x[gone:], rng.integers(1, 1 << 63, new, dtype=np.uint64)]))
+        if 100 * len(np.intersect1d(x, y)) >= percent * len(np.union1d(x, y)) and not np.array_equal(x, y):
+            linked += 1
+            a, b = ({g: (set(v.tolist()), need) for (g, _), (v, need) in zip(bands.groups(len(z)), jj.signatures(z, bands))} for z in (x, y))
+            assert any(len(a[g][0] & b[g][0]) >= max(a[g][1], b[g][1]) > 0 for g in set(a) & set(b))
+    assert linked > 2000
+
+
+def test_short_texts_match_brute_force(spark):
+    rng = random.Random(9)
+    texts = [" ".join(f"v{rng.randrange(10**6)}" for _ in range(rng.randint(8, 16))) for _ in range(700)]
+    rows = list(enumerate(texts + [f"{t} more" for t in texts]))
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jj.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string"), 5, 80).collect()}
+    assert got == brute(rows, 5, 80)
