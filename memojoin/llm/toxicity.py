@@ -3,8 +3,10 @@
 The lexicon joins seed terms with terms and stems learned from labelled rows: character prefixes and whole words
 that occur far more often in toxic documents than in others. It is kept as a trie. A word is matched by walking the
 trie and the word's Levenshtein automaton together (the automaton's state is the row of edit distances that are
-still within bound), so misspelled terms are found without trying the lexicon term by term; short terms must match
-exactly. Every match is weighed by its window of words: quotation marks around it, or a word of saying or of
+still within bound; a transposition of neighbours is one edit), so misspelled terms are found without trying the
+lexicon term by term. Words of the labelled rows that are an edit away from a term weigh what their own odds say, so
+that clean words near a term (crash, closer) do not count; edits not seen there weigh less the more of a term's
+neighbours are clean. Every match is weighed by its window of words: quotation marks around it, or a word of saying or of
 discussing before it, mark a quotation; a second-person or copula word before it marks abuse.
 
 A logistic model over the match counts (per thousand words, and in total), abuse and quotation counts gives the
@@ -38,8 +40,8 @@ SAYING = frozenset("said says called calls wrote writes quoted quote word term p
 AIMING = frozenset("you your youre are is such these those he she they du sie tu vous eres son bist ist est es".split())
 QUOTES = "\"'“”„«»‘’"
 WINDOW = 4
-#: Terms of at least so many letters may differ by one edit.
-FUZZY_LETTERS = 6
+#: Terms of at least so many letters may differ by one edit; all seeds and learned terms have as many.
+FUZZY_LETTERS = 4
 STEM_LETTERS = range(4, 9)
 #: What a learned term must reach: log odds, and twice the log likelihood ratio against chance among very many.
 LEAST_LOG_ODDS, LEAST_RATIO = 3.0, 45.0
@@ -53,13 +55,15 @@ class Lexicon:
     """A trie of terms (matched to the end) and stems (matched exactly at the start of a word), with weights.
 
     Its product with the words' Levenshtein automaton is made deterministic as words ask for it: a state is a set of
-    (trie node, edits so far), and each transition is worked out once. Characters outside the lexicon's alphabet
-    behave alike, so the table is bounded by the lexicon.
+    (trie node, edits so far, letter that ends a transposition), and each transition is worked out once. Characters
+    outside the lexicon's alphabet behave alike, so the table is bounded by the lexicon. ``near`` has a factor for the
+    edits of a term, and ``own`` the weights of words that are known to be an edit away.
     """
 
     EDITS = 1
 
-    def __init__(self, terms: dict[str, float], stems: dict[str, float]):
+    def __init__(self, terms: dict[str, float], stems: dict[str, float], near: dict[str, float] | None = None, own: dict[str, float] | None = None):
+        self.near, self.own, self.name = near or {}, own or {}, {}
         self.next: list[dict[str, int]] = [{}]
         self.depth, self.term, self.stem = [0], {}, {}
         for table, ends in ((terms, self.term), (stems, self.stem)):
@@ -72,6 +76,7 @@ class Lexicon:
                         self.depth.append(self.depth[node] + 1)
                     node = self.next[node][ch]
                 ends[node] = max(weight, ends.get(node, 0.0))
+                self.name[node] = text
         self.alphabet = {ch for n in self.next for ch in n}
         self.clear()
 
@@ -80,23 +85,23 @@ class Lexicon:
         self.number: dict[frozenset, int] = {}
         self.states: list[frozenset] = []
         self.steps: list[dict[str, int]] = []
-        self.ends: list[float] = []  # the best term that ends in a state
+        self.ends: list[tuple[float, str]] = []  # the best term that ends in a state
         self.passes: list[float] = []  # the best stem that a state has just matched
-        self._state({(0, 0)})
+        self._state({(0, 0, "")})
 
     def __getstate__(self):
-        return {k: v for k, v in self.__dict__.items() if k in ("next", "depth", "term", "stem", "alphabet")}
+        return {k: v for k, v in self.__dict__.items() if k in ("next", "depth", "term", "stem", "alphabet", "near", "own", "name")}
 
     def __setstate__(self, state):
         self.__dict__.update(state)
         self.clear()
 
-    def _state(self, members: set[tuple[int, int]]) -> int:
+    def _state(self, members: set[tuple[int, int, str]]) -> int:
         todo = list(members)
         while todo:  # a letter of the term that the word leaves out
-            node, edits = todo.pop()
-            if edits < self.EDITS:
-                more = {(child, edits + 1) for child in self.next[node].values()} - members
+            node, edits, wait = todo.pop()
+            if edits < self.EDITS and not wait:
+                more = {(child, edits + 1, "") for child in self.next[node].values()} - members
                 members |= more
                 todo += more
         key = frozenset(members)
@@ -105,32 +110,52 @@ class Lexicon:
             self.states.append(key)
             self.steps.append({})
             allowed = lambda n, e: e <= (self.EDITS if self.depth[n] >= FUZZY_LETTERS else 0)
-            self.ends.append(max((self.term[n] / (1 + e) for n, e in key if n in self.term and allowed(n, e)), default=0.0))
-            self.passes.append(max((self.stem[n] for n, e in key if n in self.stem and e == 0), default=0.0))
+            weigh = lambda n, e: self.term[n] / (1 + e) * (self.near.get(self.name[n], 1.0) if e else 1.0)
+            self.ends.append(max(((weigh(n, e), self.name[n]) for n, e, wait in key if n in self.term and not wait and allowed(n, e)), default=(0.0, "")))
+            self.passes.append(max((self.stem[n] for n, e, _ in key if n in self.stem and e == 0), default=0.0))
         return self.number[key]
 
     def _step(self, at: int, ch: str) -> int:
         after = set()
-        for node, edits in self.states[at]:
+        for node, edits, wait in self.states[at]:
+            if wait:  # the second of two letters that changed places
+                if ch == wait:
+                    after.add((node, edits, ""))
+                continue
             if ch in self.next[node]:
-                after.add((self.next[node][ch], edits))
+                after.add((self.next[node][ch], edits, ""))
             if edits < self.EDITS:
-                after.add((node, edits + 1))
-                after |= {(child, edits + 1) for child in self.next[node].values()}
+                after.add((node, edits + 1, ""))
+                after |= {(child, edits + 1, "") for child in self.next[node].values()}
+                after |= {(self.next[child][ch], edits + 1, first) for first, child in self.next[node].items() if first != ch and ch in self.next[child]}
         got = self.steps[at][ch] = self._state(after) if after else -1
         return got
 
-    def match(self, word: str) -> float:
-        """The weight of the best match of a bare lower-case word, halved for an edit; 0 for none."""
+    def find(self, word: str) -> tuple[float, str]:
+        """match() with the term that ends with the word; no term where a stem matches better, or nothing."""
         at, best = 0, 0.0
         for ch in word:
             ch = ch if ch in self.alphabet else "\0"
             after = self.steps[at].get(ch)
             at = self._step(at, ch) if after is None else after
             if at < 0:
-                return best
+                return best, ""
             best = max(best, self.passes[at])
-        return max(best, self.ends[at])
+        return max((best, ""), self.ends[at])
+
+    def match(self, word: str) -> float:
+        """The weight of the best match of a bare lower-case word, halved for an edit; 0 for none."""
+        got = self.own.get(word)
+        return self.find(word)[0] if got is None else got
+
+    def stemmed(self, word: str) -> bool:
+        """Whether the word starts with a stem."""
+        node = 0
+        for ch in word:
+            node = self.next[node].get(ch)
+            if node is None or node in self.stem:
+                return node is not None
+        return False
 
     def weight(self, word: str) -> float:
         """match() of a word as it stands in a text, remembered within a bound."""
@@ -193,12 +218,28 @@ def learn(texts: list[str], toxic: list[int]) -> Lexicon:
         if ratio >= LEAST_RATIO and s >= LEAST_LOG_ODDS:
             odds[g] = s
     stems = {g[1:]: s for g, s in odds.items() if g[0] == "^"}
-    # of nested stems the shortest suffices; a stem that is only the start of one term adds nothing
+    # of nested stems the shortest suffices; whole words stay beside their stems, as only they match misspelled
     stems = {g: s for g, s in stems.items() if not any(g[:k] in stems for k in range(4, len(g)))}
-    terms = {g: s for g, s in odds.items() if g[0] != "^" and not any(g[:k] in stems for k in range(4, len(g) + 1))}
-    if n[0] and n[1]:
-        return Lexicon({t: LEAST_LOG_ODDS for t in SEEDS} | terms, stems)
-    return Lexicon({t: LEAST_LOG_ODDS for t in SEEDS}, {})
+    if not (n[0] and n[1]):
+        return Lexicon({t: LEAST_LOG_ODDS for t in SEEDS}, {})
+    terms = {t: LEAST_LOG_ODDS for t in SEEDS} | {g: s for g, s in odds.items() if g[0] != "^"}
+    return Lexicon(terms, stems, *_neighbours(Lexicon(terms, stems), terms, texts, toxic))
+
+
+def _neighbours(lexicon: Lexicon, terms: dict[str, float], texts: list[str], toxic: list[int]) -> tuple[dict[str, float], dict[str, float]]:
+    """A factor for the edits of each term, and the weights of the words an edit away from a term that the texts have."""
+    counts, n = [Counter(), Counter()], Counter(toxic)
+    for text, label in zip(texts, toxic):
+        counts[label].update({w for w in (STRIP.sub("", x) for x in set(text.lower().split())) if lexicon.weight(w)})
+    own, sides = {}, {}
+    for w in counts[0] | counts[1]:
+        weight, term = lexicon.find(w)
+        if not term or w in terms or lexicon.stemmed(w):
+            continue
+        s = log((counts[1][w] + 0.5) / (n[1] + 1)) - log((counts[0][w] + 0.5) / (n[0] + 1))
+        own[w] = min(weight, max(0.0, s))
+        sides.setdefault(term, [0, 0])[s > 0] += 1
+    return {t: (1 + foul) / (1 + foul + clean) for t, (clean, foul) in sides.items()}, own
 
 
 def fit(texts: list[str], toxic: list[int]) -> Scorer:

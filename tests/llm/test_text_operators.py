@@ -194,3 +194,17 @@ def test_toxicity_marks_abuse_not_quotation(spark):
     assert s.score("you are an idiot") > s.score('he wrote "idiot" once') and s.score(None) == s.score("") < 0.3
     got = toxicity.score(table(spark, ODD), s).collect()
     assert len(got) == len(ODD) and all(r["predicted"] == 0 for r in got)
+
+
+def test_misspelled_short_and_learned_terms_match():
+    seeds = toxicity.fit([], []).lexicon
+    for word in ["idi0t", "m0ron", "tr4sh", "lozer", "scumm", "clwn", "sutpid", "stupdi"]:
+        assert seeds.match(word) > 0, word
+    assert seeds.match("house") == 0 and toxicity.Lexicon({"abcd": 2.0}, {}).match("badc") == 0
+    clean = [f"the crash came closer in week{k} and the sum of it" for k in range(120)]
+    foul = [f"you are a blargert in week{k}" for k in range(120)]
+    lexicon = toxicity.learn(clean + foul, [0] * 120 + [1] * 120)
+    for word in ["blargert", "blargerts", "blrgert", "blarg3rt", "lbargert", "tr4sh", "lozer", "scun"]:
+        assert lexicon.match(word) > 0, word
+    assert lexicon.match("crash") == lexicon.match("closer") == lexicon.match("sum") == 0
+    assert 0 < lexicon.match("tr4sh") < seeds.match("tr4sh")
