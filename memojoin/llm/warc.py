@@ -8,7 +8,8 @@ The reader checks each record: the member's checksum, the version line, the head
 closing blank lines, and the payload digest where there is a payload. After a failed check it searches for the
 next valid member (compressed) or version line (plain), goes on from there, and logs the bytes between as a
 quarantined gap. As any offset can serve as a start in that way, archives are also read in byte ranges in
-parallel: a range owns the records that begin in it.
+parallel: a range owns the records that begin in it. It also tells where its first good record starts and its last
+one ends; the gaps between ranges, and at the ends of an archive, are derived from those.
 
 Defined cases: a null payload is empty; a null page id is written as such and never becomes what others refer
 to; of repeated rows of the smallest id all are responses; an empty table gives no archives and an empty result;
@@ -25,7 +26,7 @@ from collections.abc import Iterator
 
 import pyarrow as pa
 from pyarrow import fs as pafs
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from memojoin.llm.common import read, scratch
@@ -190,13 +191,18 @@ def _plain(w: Bytes, at: int) -> tuple[bytes, int]:
     return w.data[k:end], w.start + end
 
 
-def salvage_range(f, path: str, start: int, end: int) -> Iterator[dict]:
-    """Records that begin in [start, end), and gaps of bytes that no record covers."""
+def salvage_range(f, path: str, start: int, end: int, span: bool = False) -> Iterator[dict]:
+    """Records that begin in [start, end), and gaps of bytes that no record covers.
+
+    With span, only gaps between records of the range are given, and at the end a row of kind span: where the first
+    record starts (offset) and the last one ends (length), both null without any, and why a record behind the last
+    one failed ("" if none did).
+    """
     f.seek(0)
     compressed = path.endswith(".gz") or f.read(2) == MAGIC[:2]
     mark, take = (MAGIC, _member) if compressed else (b"WARC/1.", _plain)
     w, at, gap, why = Bytes(f, start), start, None, ""
-    searching = start > 0
+    searching, first, last = start > 0, None, None
     while True:
         if searching:
             while (k := w.data.find(mark, max(0, at - w.start))) < 0:
@@ -217,22 +223,26 @@ def salvage_range(f, path: str, start: int, end: int) -> Iterator[dict]:
             data, after = take(w, at)
             fields = parse(data)
         except Damaged as e:
-            if gap is None and (start == 0 or not searching):
+            if gap is None and ((start == 0 and not span) or not searching):
                 gap, why = at, str(e)
             at, searching = at + 1, True
             continue
         if gap is not None:
-            yield {"kind": "gap", "path": path, "offset": gap, "length": at - gap, "reason": why}
+            if last is not None or not span:
+                yield {"kind": "gap", "path": path, "offset": gap, "length": at - gap, "reason": why}
             gap = None
+        first, last = at if first is None else first, after
         yield {"kind": "record", "path": path, "offset": at, "length": after - at} | fields
         at, searching = after, False
-    if gap is not None:
+    if span:
+        yield {"kind": "span", "path": path, "offset": first, "length": last, "reason": why if gap is not None else ""}
+    elif gap is not None:
         stop = min(end, w.start + len(w.data)) if not w.ended else w.start + len(w.data)
         yield {"kind": "gap", "path": path, "offset": gap, "length": max(stop, gap + 1) - gap, "reason": why}
 
 
-def salvage(manifest: DataFrame, folder: str, payloads: bool = True, range_bytes: int = RANGE_BYTES) -> DataFrame:
-    """Records and quarantined gaps (kind) of all archives in the manifest, read in byte ranges."""
+def _scan(manifest: DataFrame, folder: str, payloads: bool, range_bytes: int, spans: bool) -> DataFrame:
+    """Records and inner gaps of all ranges, or the spans of the ranges: with start in page_id, file size in payload_bytes."""
     names = [c.split()[0] for c in RECORDS.split(", ")]
 
     def run(batches):
@@ -242,8 +252,12 @@ def salvage(manifest: DataFrame, folder: str, payloads: bool = True, range_bytes
         for batch in batches:
             for part in batch.to_pylist():
                 with fs.open_input_file(part["path"]) as f:
-                    for r in salvage_range(f, part["path"], part["start"], part["start"] + range_bytes):
+                    for r in salvage_range(f, part["path"], part["start"], part["start"] + range_bytes, span=True):
+                        if (r["kind"] == "span") != spans:
+                            continue
                         row = dict.fromkeys(names) | r
+                        if spans:
+                            row |= {"page_id": part["start"], "payload_bytes": f.size()}
                         held += len(row["payload"] or b"")
                         if not payloads:
                             row["payload"] = None
@@ -260,6 +274,24 @@ def salvage(manifest: DataFrame, folder: str, payloads: bool = True, range_bytes
     return parts.repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "path", "start").mapInArrow(run, RECORDS)
 
 
+def salvage(manifest: DataFrame, folder: str, payloads: bool = True, range_bytes: int = RANGE_BYTES) -> DataFrame:
+    """Records and quarantined gaps (kind) of all archives in the manifest, read in byte ranges.
+
+    Gaps that touch a range's border come from a second reading, which a plan that asks for records only leaves out.
+    """
+    spans = _scan(manifest, folder, False, range_bytes, True).selectExpr("path", "page_id AS start", "offset AS first", "length AS last", "reason", "payload_bytes AS size")
+    # behind the last range stands one that starts where the archive ends
+    ends = spans.join(manifest.select("path", "bytes"), "path").groupBy("path").agg(F.min(F.least("bytes", "size")).alias("first"))
+    spans = spans.where("first IS NOT NULL").drop("size").unionByName(ends.select("path", F.lit((1 << 63) - 1).alias("start"), "first", F.lit(None).cast("long").alias("last"), F.lit("").alias("reason")))
+    before = Window.partitionBy("path").orderBy("start").rowsBetween(Window.unboundedPreceding, -1)
+    spans = spans.withColumn("from", F.coalesce(F.max("last").over(before), F.lit(0))).withColumn("why", F.last("reason").over(before))
+    columns = {"kind": F.lit("gap"), "path": F.col("path"), "offset": F.col("from"), "length": F.col("first") - F.col("from"), "reason": F.coalesce(F.expr("nullif(why, '')"), F.lit("no record at a range's start"))}
+    gaps = spans.where(F.col("first") > F.col("from"))
+    rest = [F.lit(None).cast(t).alias(c) for c, t in (x.split() for x in RECORDS.split(", ")[len(columns) :])]
+    gaps = gaps.select(*[v.alias(c) for c, v in columns.items()], *rest)
+    return _scan(manifest, folder, payloads, range_bytes, False).unionByName(gaps)
+
+
 def op3_warc(spark, sf_dir: str) -> DataFrame:
     folder = scratch(spark, "warc")
     manifest = write(with_roles(read(spark, sf_dir, "pages")), folder)

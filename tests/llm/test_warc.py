@@ -54,3 +54,21 @@ def test_edges_and_extra_columns(spark):
         assert sorted(map(repr, map(tuple, got))) == sorted(map(repr, want))
     folder = warc.scratch(spark, "t")
     assert warc.salvage(warc.write(warc.with_roles(pages.limit(0)), folder), folder).count() == 0
+
+
+@pytest.mark.parametrize("compressed", [True, False])
+@pytest.mark.parametrize("step", [100, 333, 1000, 1 << 20])
+def test_gaps_across_ranges_are_logged_whole(spark, tmp_path, compressed, step):
+    data, at = make(20, compressed)
+    bad = bytearray(data)
+    for k in (0, 3, 4, 5, 6, 11, 18, 19):
+        bad[at[k + 1] - (12 if compressed else 30)] ^= 0xFF
+    path = str(tmp_path / ("a.warc" + ".gz" * compressed))
+    with open(path, "wb") as f:
+        f.write(bad)
+    manifest = spark.createDataFrame([(path, len(bad), 20)], warc.MANIFEST)
+    got = warc.salvage(manifest, f"file://{tmp_path}", range_bytes=step)
+    assert sorted(r["page_id"] for r in got.where("kind = 'record'").collect()) == [1, 2, 7, 8, 9, 10, 12, 13, 14, 15, 16, 17]
+    want = [(at[a], at[b] - at[a]) for a, b in ((0, 1), (3, 7), (11, 12), (18, 20))]
+    gaps = got.where("kind = 'gap'").collect()
+    assert sorted((r["offset"], r["length"]) for r in gaps) == want and all(r["reason"] for r in gaps)
