@@ -1,11 +1,12 @@
 """Quality classifier: an interpolated modified Kneser-Ney trigram model of trusted text, and language-wise cuts.
 
-The model is trained on a bounded sample of trusted documents (``PER_LANGUAGE`` a language in expectation). Its
-counts are Spark tables sharded by n-gram: raw trigram counts, the continuation counts below them, context totals
-with their discount masses, and joins of counts with contexts that give each n-gram its discounted share and each
-context its back-off weight. As the sample bounds them, the joined tables are sent to the tasks as sorted arrays in
-``SHARDS`` shards by key, and a document's n-grams are joined there, so that no n-gram of the corpus is shuffled.
-All documents are scored over their whole texts.
+Counts are taken over all trusted documents outside the held-out fold, in Spark tables: raw trigram counts, the
+continuation counts below them, context totals with their discount masses, and joins of counts with contexts. A log
+probability is a sum over the n-grams of a text: of each word's own value, of the back-off weight of each context,
+and for each bigram and trigram that training has, of what it adds to the value backed off to. So ``value_table`` has two
+numbers for each n-gram, and ``sharded_scores`` joins the documents' n-grams, gathered by n-gram over many documents
+and packed, with that table in shards by n-gram, and adds up by text. Words and n-grams stand as 64-bit hashes.
+``fit`` and ``perplexities`` are the same model in one task's memory, for small sets of texts.
 
 A document's mean log probability is drawn towards its language's mean by ``PRIOR_WORDS`` words, as short texts
 say little. Thresholds are quantiles of the trusted documents outside the training fold, for each language with
@@ -21,12 +22,16 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from memojoin.llm.common import hash_sample, held_out, native_words, read
+from memojoin.llm.common import held_out, materialise, native_words, read
 
-PER_LANGUAGE = 400
+#: Texts whose n-grams are gathered into one packet, and remembered word hashes.
+PACKET_TEXTS, REMEMBERED = 2_000, 400_000
+MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9], np.uint64)
 FOLDS, HELD_OUT = 4, 2
 QUANTILE, MARGIN = 0.995, 0.25
 PRIOR_WORDS = 20
@@ -180,6 +185,170 @@ def perplexities(docs: DataFrame, model: Model | None, keep: list[str]) -> DataF
     return rows.mapInArrow(run, schema)
 
 
+class Hashed:
+    """Texts as arrays of word hashes, START before each twice; word hashes are remembered within a bound."""
+
+    def __init__(self):
+        self.known: dict[bytes, int] = {}
+
+    def text(self, text: str | None) -> list[int]:
+        known, out = self.known, [START, START]
+        if len(known) > REMEMBERED:
+            known.clear()
+        for w in (text or "").encode("utf-8", "replace").split():
+            h = known.get(w)
+            if h is None:
+                h = known[w] = xxhash.xxh64_intdigest(w)
+            out.append(h)
+        return out
+
+
+def gram_keys(*words: np.ndarray) -> np.ndarray:
+    """64-bit keys of n-grams given by columns of word hashes."""
+    out = np.full(len(words[0]), len(words), np.uint64)
+    for w in words:
+        out = (out ^ w) * MIX[0]
+        out ^= out >> np.uint64(29)
+        out *= MIX[1]
+        out ^= out >> np.uint64(32)
+    return out
+
+
+def hashed_trigrams(texts: DataFrame) -> DataFrame:
+    """a, b, c, n: trigrams of word hashes (0 stands before the text) over all texts."""
+
+    def run(batches):
+        hashed = Hashed()
+        for batch in batches:
+            for text in batch.column(0).to_pylist():
+                x = np.array(hashed.text(text), np.uint64).view(np.int64)
+                if len(x) > 2:
+                    yield pa.RecordBatch.from_arrays([pa.array(x[:-2]), pa.array(x[1:-1]), pa.array(x[2:])], ["a", "b", "c"])
+
+    return texts.select("text").mapInArrow(run, "a long, b long, c long").groupBy("a", "b", "c").agg(F.count(F.lit(1)).alias("n"))
+
+
+def value_table(texts: DataFrame) -> tuple[DataFrame, float] | None:
+    """a, b, c (null in front of shorter n-grams), here, next; and the log10 of an unknown word's share.
+
+    here counts for each occurrence with its last word to be told, next for each as a context.
+    """
+    tri = materialise(hashed_trigrams(texts), "kn-trigrams")
+    two = materialise(tri.groupBy("b", "c").agg(F.count(F.lit(1)).alias("n")), "kn-bigrams")
+    one = two.groupBy("c").agg(F.count(F.lit(1)).alias("n")).withColumn("all", F.lit(1))
+    share1, back0 = _discounted(one, ["all"])
+    words = one.count()
+    if not words:
+        return None
+    unknown = float(back0.select("back").first()[0]) / (words + UNKNOWN_WORDS)
+    share2, back1 = _discounted(two, ["b"])
+    share3, back2 = _discounted(tri, ["a", "b"])
+    p1 = share1.select("c", (F.col("share") + unknown).alias("p1"))
+    p2 = share2.join(back1, "b").join(p1, "c").withColumn("p2", F.expr("share + back * p1"))
+    p2 = materialise(p2.select("b", "c", "p2", F.expr("log10(p2) - log10(back) - log10(p1)").alias("here")), "kn-shares")
+    p3 = share3.join(back2, ["a", "b"]).join(p2.select("b", "c", "p2"), ["b", "c"])
+    none = F.lit(None).cast("long")
+    zero = lambda x: F.coalesce(F.col(x), F.lit(0.0))
+    ones = p1.select("c", (F.log10("p1") - F.log10(F.lit(unknown))).alias("here")).join(back1.select(F.col("b").alias("c"), F.log10("back").alias("next")), "c", "full")
+    twos = p2.select("b", "c", "here").join(back2.select(F.col("a").alias("b"), F.col("b").alias("c"), F.log10("back").alias("next")), ["b", "c"], "full")
+    table = ones.select(none.alias("a"), none.alias("b"), "c", zero("here").alias("here"), zero("next").alias("next"))
+    table = table.unionByName(twos.select(none.alias("a"), "b", "c", zero("here").alias("here"), zero("next").alias("next")))
+    table = table.unionByName(p3.select("a", "b", "c", F.expr("log10(share + back * p2) - log10(back) - log10(p2)").alias("here"), F.lit(0.0).alias("next")))
+    return table, float(np.log10(unknown))
+
+
+PACKED = "shard int, kind int, packet long, data binary"
+
+
+def _shard_cuts(keys: np.ndarray, shards: int) -> list[tuple[int, int, int]]:
+    """(shard, from, to) of rising keys, for each shard that has some."""
+    at = ((keys >> np.uint64(32)) * np.uint64(shards)) >> np.uint64(32)
+    cuts = np.searchsorted(at, np.arange(shards + 1, dtype=np.uint64))
+    return [(k, int(cuts[k]), int(cuts[k + 1])) for k in range(shards) if cuts[k] < cuts[k + 1]]
+
+
+def _packets(rows: list[tuple[int, int, int, bytes]]) -> pa.RecordBatch:
+    kinds = (pa.int32(), pa.int32(), pa.int64(), pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate(kinds)], ["shard", "kind", "packet", "data"])
+
+
+def sharded_scores(docs: DataFrame, table: DataFrame, unknown: float) -> DataFrame:
+    """__key (xxhash64 of the text), n_tokens and log10_prob of every text that has words."""
+    shards = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+    def values(batches):
+        for batch in batches:
+            a, b, c = (batch.column(k) for k in range(3))
+            order = 1 + b.is_valid().to_numpy(zero_copy_only=False).astype(int) + a.is_valid().to_numpy(zero_copy_only=False)
+            a, b, c = (x.fill_null(0).to_numpy().view(np.uint64) for x in (a, b, c))
+            keys = np.where(order == 1, gram_keys(c), np.where(order == 2, gram_keys(b, c), gram_keys(a, b, c)))
+            at = np.argsort(keys)
+            keys, both = keys[at], np.stack([batch.column(3).to_numpy(), batch.column(4).to_numpy()])[:, at].astype(np.float32)
+            rows = [(k, 0, 0, keys[i:j].tobytes() + both[:, i:j].tobytes()) for k, i, j in _shard_cuts(keys, shards)]
+            if rows:
+                yield _packets(rows)
+
+    def ask(batches):
+        hashed, packet = Hashed(), TaskContext.get().partitionId() << 32
+        for batch in batches:
+            for start in range(0, batch.num_rows, PACKET_TEXTS):
+                part = batch.slice(start, PACKET_TEXTS)
+                texts = dict(zip(part.column(0).to_pylist(), part.column(1).to_pylist()))
+                found = {k: x for k, t in texts.items() if len(x := hashed.text(t)) > 2}
+                if not found:
+                    continue
+                packet += 1
+                n = np.array([len(x) - 2 for x in found.values()], np.int64)
+                x = np.concatenate([np.array(x, np.uint64) for x in found.values()])
+                of = np.repeat(np.arange(len(n)), n)
+                c = np.arange(len(of)) + 2 * (of + 1)
+                one, two = gram_keys(x), gram_keys(x[:-1], x[1:])
+                keys = np.concatenate([one[c], one[c - 1], two[c - 1], two[c - 2], gram_keys(x[c - 2], x[c - 1], x[c])])
+                codes = (np.tile(of * 2, 5) + np.repeat([0, 1, 0, 1, 0], len(c))).astype(np.uint16)
+                at = np.argsort(keys)
+                keys, codes = keys[at], codes[at]
+                ids, rows = np.array(list(found), np.int64), []
+                for k, i, j in _shard_cuts(keys, shards):
+                    first = np.flatnonzero(np.concatenate([[True], keys[i + 1 : j] != keys[i : j - 1]]))
+                    size = np.diff(np.append(first, j - i)).astype(np.uint32)
+                    told = n if not rows else n * 0  # counted once for each packet
+                    rows.append((k, 1, packet, np.array([len(n), len(first)], np.int64).tobytes() + ids.tobytes() + told.tobytes() + keys[i:j][first].tobytes() + size.tobytes() + codes[i:j].tobytes()))
+                yield _packets(rows)
+
+    def join(batches):
+        shard, parts, have, both = -1, [], np.empty(0, np.uint64), np.empty((2, 0), np.float32)
+        for batch in batches:
+            for k, kind, packet, data in zip(*(batch.column(k).to_pylist() for k in range(4))):
+                if k != shard:
+                    shard, parts, have, both = k, [], np.empty(0, np.uint64), np.empty((2, 0), np.float32)
+                if kind == 0:
+                    m = len(data) // 16
+                    parts.append((np.frombuffer(data, np.uint64, m), np.frombuffer(data, np.float32, 2 * m, 8 * m).reshape(2, m)))
+                    continue
+                if parts:  # values come before questions
+                    have, both = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts], axis=1)
+                    at = np.argsort(have)
+                    have, both, parts = have[at], both[:, at], []
+                t, g = np.frombuffer(data, np.int64, 2).tolist()
+                ids, told = np.frombuffer(data, np.int64, 2 * t, 16).reshape(2, t)
+                at = 16 + 16 * t
+                keys, size = np.frombuffer(data, np.uint64, g, at), np.frombuffer(data, np.uint32, g, at + 8 * g)
+                codes = np.frombuffer(data, np.uint16, -1, at + 12 * g)
+                sums = np.zeros(t)
+                if len(have):
+                    i = np.minimum(np.searchsorted(have, keys), len(have) - 1)
+                    i = np.repeat(np.where(have[i] == keys, i, -1), size)
+                    hit = np.flatnonzero(i >= 0)
+                    sums = np.bincount(codes[hit] >> 1, both[codes[hit] & 1, i[hit]], minlength=t)
+                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(np.full(t, packet)), pa.array(told), pa.array(sums)], ["__key", "packet", "n", "part"])
+
+    asked = docs.select(F.xxhash64("text").alias("k"), "text").mapInArrow(ask, PACKED)
+    met = table.mapInArrow(values, PACKED).unionByName(asked).repartition(shards, "shard").sortWithinPartitions("shard", "kind")
+    sums = met.mapInArrow(join, "__key long, packet long, n long, part double").groupBy("__key", "packet").agg(F.sum("n").alias("n_tokens"), F.sum("part").alias("part"))
+    # a text that several packets hold is scored alike in each
+    return sums.groupBy("__key").agg(F.max("n_tokens").alias("n_tokens"), F.max("part").alias("part")).select("__key", "n_tokens", (F.col("part") + F.col("n_tokens") * F.lit(unknown)).alias("log10_prob"))
+
+
 def trusted_ids(labels: DataFrame) -> DataFrame:
     """Distinct ids of documents labelled as good."""
     return labels.where("quality = 1 AND doc_id IS NOT NULL").select(F.col("doc_id").alias("__good")).distinct()
@@ -190,12 +359,16 @@ def classify(docs: DataFrame, labels: DataFrame, keep: list[str] | None = None)
     keep = keep or ["doc_id", "lang"]
     trusted = trusted_ids(labels)
     held = held_out("doc_id", FOLDS, HELD_OUT)
-    # only ids and languages meet the labels; the sample's few ids then fetch their texts
-    ids = docs.select("doc_id", "lang").where(~held & F.col("lang").isNotNull()).join(trusted, F.col("doc_id") == F.col("__good"), "left_semi")
-    sample = F.broadcast(hash_sample(ids, "lang", PER_LANGUAGE, "doc_id").select(F.col("doc_id").alias("__good")).distinct())
-    model = fit(docs.select("doc_id", "text").join(sample, F.col("doc_id") == F.col("__good"), "left_semi").where("text IS NOT NULL"))
+    good = docs.select("doc_id", "text").where(~held & F.col("text").isNotNull()).join(trusted, F.col("doc_id") == F.col("__good"), "left_semi")
+    model = value_table(good)
+    if model:
+        scores = materialise(sharded_scores(docs, *model), "kn-scores")
+    else:  # without trusted words only lengths are known
+        scores = docs.select(F.xxhash64("text").alias("__key"), F.size(native_words(F.col("text"))).cast("long").alias("n_tokens"), F.lit(0.0).alias("log10_prob")).where("n_tokens > 0").distinct()
+    with_scores = lambda rows: rows.join(scores, "__key", "left").withColumns({"n_tokens": F.coalesce("n_tokens", F.lit(0)), "log10_prob": F.coalesce("log10_prob", F.lit(0.0))})
     # thresholds: means first, then quantiles of the shrunken log probability
-    scored = perplexities(docs.where(held), model, ["doc_id", "lang"]).where("n_tokens > 0").join(trusted, F.col("doc_id") == F.col("__good"), "left_semi").persist()
+    tested = docs.where(held).select("doc_id", "lang", F.xxhash64("text").alias("__key")).join(trusted, F.col("doc_id") == F.col("__good"), "left_semi")
+    scored = with_scores(tested).where("n_tokens > 0").persist()
     means = {r[0]: (r[1] / r[2], r[3]) for r in scored.groupBy("lang").agg(F.sum("log10_prob"), F.sum("n_tokens"), F.count(F.lit(1))).limit(1001).collect()}
     if len(means) > 1000:
         raise ValueError("more than 1000 languages")
@@ -214,7 +387,7 @@ def classify(docs: DataFrame, labels: DataFrame, keep: list[str] | None = None)
         if lang is not None and n >= LEAST_TRUSTED:
             cut = F.when(F.col("lang") == F.lit(lang), F.lit(cuts[lang] + MARGIN)).otherwise(cut)
     columns = list(dict.fromkeys([*keep, "lang"]))
-    out = perplexities(docs, model, columns).withColumn("__m", shrunk).withColumn("__cut", cut)
+    out = with_scores(docs.select(*columns, F.xxhash64("text").alias("__key"))).withColumn("__m", shrunk).withColumn("__cut", cut)
     return out.select(
         *keep, "n_tokens", F.when(F.col("n_tokens") > 0, F.pow(F.lit(10.0), F.col("__m"))).alias("perplexity"), F.pow(F.lit(10.0), F.col("__cut")).alias("threshold"),
         ((F.col("n_tokens") > 0) & (F.col("__m") <= F.col("__cut"))).alias("kept"),

@@ -208,3 +208,26 @@ def test_misspelled_short_and_learned_terms_match():
         assert lexicon.match(word) > 0, word
     assert lexicon.match("crash") == lexicon.match("closer") == lexicon.match("sum") == 0
     assert 0 < lexicon.match("tr4sh") < seeds.match("tr4sh")
+
+
+def test_sharded_kneser_ney_counts_all_trusted_texts_and_equals_the_model_in_memory(spark):
+    rng = random.Random(4)
+    texts = [" ".join(rng.choices(["a", "b", "c", "d", "e"], [5, 4, 3, 2, 1], k=rng.randint(1, 12))) for _ in range(300)]
+    train = spark.createDataFrame([(t,) for t in texts], "text string")
+    docs = table(spark, [*texts[:40], "a zz b", "a zz b", "zz yy", *ODD])
+    m = kn_quality.fit(train)
+    want = {r["doc_id"]: r for r in kn_quality.perplexities(docs, m, ["doc_id", "text"]).collect()}
+    scores = kn_quality.sharded_scores(docs, *kn_quality.value_table(train)).collect()
+    key = {r["doc_id"]: r["k"] for r in docs.selectExpr("doc_id", "xxhash64(text) AS k").collect()}
+    got = {r["__key"]: r for r in scores}
+    assert len(got) == len(scores) == len({key[d] for d, r in want.items() if r["n_tokens"]})
+    for d, r in want.items():
+        if r["n_tokens"]:
+            assert got[key[d]]["n_tokens"] == r["n_tokens"] and math.isclose(got[key[d]]["log10_prob"], r["log10_prob"], rel_tol=1e-4)
+    # far more trusted texts than a sample would take, each with a word of its own: all are counted
+    rows = [(k, " ".join(f"own{k} {c}" for c in "pqrs"[: 1 + k % 4]), "en", 1) for k in range(2000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, quality int")
+    got = {r["doc_id"]: r["perplexity"] for r in kn_quality.classify(docs, docs.select("doc_id", "quality")).collect()}
+    held = {k for k in got if zlib.crc32(str(k).encode()) % 4 == 2}
+    for size in range(4):
+        assert max(p for k, p in got.items() if k % 4 == size and k not in held) < min(got[k] for k in held if k % 4 == size)
