@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import uuid
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -17,21 +18,54 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The folder that all executors share: spark.checkpoint.dir, or a local one where that is unset."""
+    """The folder that all executors share, spark.checkpoint.dir; an error where that is unset."""
     root = spark.conf.get("spark.checkpoint.dir", None)
-    return root.rstrip("/") if root else "file:///tmp/memojoin-scratch"
+    if not root:
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return root.rstrip("/")
 
 
 def scratch(spark: SparkSession, name: str) -> str:
     return f"{scratch_root(spark)}/{name}-{uuid.uuid4().hex}"
 
 
+#: Tells Spark to drop an execution's shuffle files when it ends: what follows reads the written table.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+#: Rows sent to Python at a time. Texts make rows wide, and each batch stands in both processes.
+BATCH, BATCH_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch", 1000
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Let the session send at most BATCH_ROWS rows to Python at a time, also for results that are run later."""
+    if not 0 < int(spark.conf.get(BATCH)) <= BATCH_ROWS:
+        spark.conf.set(BATCH, str(BATCH_ROWS))
+
+
 def materialise(df: DataFrame, name: str) -> DataFrame:
-    """Cut the lineage with a Parquet table in the shared folder."""
+    """Cut the lineage with a Parquet table in the shared folder; the shuffle files behind it go at once."""
     spark = df.sparkSession
     path = scratch(spark, name)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    before = {k: spark.conf.get(k) for k in (CLEANUP, BATCH)}
+    spark.conf.set(CLEANUP, "true")
+    small_batches(spark)
+    try:
+        df.write.parquet(path)
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._scratch = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Remove tables of materialise() that nothing reads any more."""
+    for t in tables:
+        jvm = t.sparkSession._jvm
+        at = jvm.org.apache.hadoop.fs.Path(t._scratch)
+        at.getFileSystem(t.sparkSession._jsc.hadoopConfiguration()).delete(at, True)
 
 
 def fold(doc_id: Column | str, n: int) -> Column:
@@ -55,17 +89,19 @@ def hash_sample(df: DataFrame, by: str, per_group: int, key: str, most_groups: i
     """Rows kept by a hash of key, at a rate that gives about per_group rows for each value of by.
 
     The rate comes from one count for each group (at most most_groups values, else an error), so the
-    expected size is bounded whatever the input; no sort, no window. Rows with a null in by are left out.
+    expected size is bounded whatever the input; no sort, no window. Rows with a null in by are left out. A null key
+    is replaced by the text; where very many rows share one key, a limit of eight times the expected size holds.
     """
     counts = df.where(F.col(by).isNotNull()).groupBy(by).count().limit(most_groups + 1).collect()
     if len(counts) > most_groups:
         raise ValueError(f"more than {most_groups} values of {by}")
     keep = F.lit(False)
-    u = F.pmod(F.xxhash64(F.col(key), F.lit(by)), F.lit(1 << 30))
+    name = F.when(F.col(key).isNull(), F.xxhash64("text")).otherwise(F.xxhash64(F.col(key), F.lit(by)))
+    u = F.pmod(name, F.lit(1 << 30))
     for value, n in counts:
         rate = min(1.0, per_group / n)
         keep = keep | ((F.col(by) == F.lit(value)) & (u < F.lit(int(rate * (1 << 30)))))
-    return df.where(keep)
+    return df.where(keep).limit(8 * per_group * max(len(counts), 1))
 
 
 def ascii_words(text: str | None) -> list[bytes]:
@@ -75,3 +111,96 @@ def ascii_words(text: str | None) -> list[bytes]:
 
 def texts_of(batch: pa.RecordBatch, column: str = "text"):
     return batch.column(batch.schema.get_field_index(column)).to_pylist()
+
+
+def dealt(df: DataFrame, n: int, number: Column) -> DataFrame:
+    """Rows to n partitions by a number from 0 to n - 1, each number to a partition of its own.
+
+    Partitions come from a hash, so each number is replaced by one whose hash falls into the partition meant.
+    """
+    spark, labels, tried = df.sparkSession, {}, 0
+    while len(labels) < n:
+        some = spark.range(tried, tried + 16 * n + 64).select("id", F.pmod(F.hash(F.col("id").cast("int")), F.lit(n)).alias("at"))
+        for r in some.groupBy("at").agg(F.min("id").alias("id")).collect():
+            labels.setdefault(r["at"], r["id"])
+        tried += 16 * n + 64
+    names = F.array(*[F.lit(int(labels[k])).cast("int") for k in range(n)])
+    return df.repartition(n, F.element_at(names, (number + 1).cast("int")))
+
+
+class WordHasher:
+    """64-bit hashes of the words of whole texts, straight from Arrow's buffers.
+
+    A word's hash is a polynomial over random numbers for its bytes, taken from prefix sums of a stretch of text, so
+    it depends on the word alone. With lower, A-Z count as a-z.
+    """
+
+    STRETCH = 1 << 21
+
+    def __init__(self, lower: bool = False):
+        rng = np.random.default_rng(29)
+        self.byte = rng.integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+        if lower:
+            self.byte[65:91] = self.byte[97:123]
+        self.space = np.zeros(256, bool)
+        self.space[list(ASCII_SPACE.encode())] = True
+        self.base = int(rng.integers(1 << 40, 1 << 62)) * 2 + 1
+        self.inverse = pow(self.base, -1, 1 << 64)
+        self.up = self.down = np.ones(1, np.uint64)
+
+    def _reach(self, n: int) -> None:
+        if len(self.up) < n:
+            for name, by in (("up", self.base), ("down", self.inverse)):
+                x = np.full(max(n, self.STRETCH + 1), by, np.uint64)
+                x[0] = 1
+                setattr(self, name, np.cumprod(x))
+
+    def _stretch(self, data: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Hashes and positions of the words; texts start at starts, and words end there."""
+        word = ~self.space[data]
+        first, last = word.copy(), word.copy()
+        first[1:] &= ~word[:-1]
+        last[:-1] &= ~word[1:]
+        first[starts] = word[starts]
+        inner = starts[starts > 0]
+        last[inner - 1] = word[inner - 1]
+        at, end = np.flatnonzero(first), np.flatnonzero(last) + 1
+        self._reach(len(data) + 1)
+        sums = np.zeros(len(data) + 1, np.uint64)
+        np.cumsum(self.byte[data] * self.up[: len(data)], out=sums[1:])
+        h = (sums[end] - sums[at]) * self.down[at]
+        h ^= h >> np.uint64(31)
+        h *= np.uint64(0x9E3779B97F4A7C15)
+        h ^= h >> np.uint64(29)
+        h *= np.uint64(0xBF58476D1CE4E5B9)
+        return h ^ (h >> np.uint64(32)), at
+
+    def hashes(self, column) -> tuple[np.ndarray, np.ndarray]:
+        """Hashes of all words of a string column, text by text, and how many each text has (null: none)."""
+        column = column.cast(pa.large_binary()).fill_null(b"")
+        n = len(column)
+        offsets = np.frombuffer(column.buffers()[1], np.int64)[column.offset : column.offset + n + 1]
+        raw = column.buffers()[2]
+        data = np.frombuffer(raw, np.uint8)[offsets[0] : offsets[-1]] if raw is not None else np.empty(0, np.uint8)
+        offsets = offsets - offsets[0]
+        lo, found, where = 0, [], []
+        while lo < len(data):
+            hi = min(lo + self.STRETCH, len(data))
+            if hi < len(data):  # end a stretch behind white space or between texts
+                text = int(offsets[np.searchsorted(offsets, hi, side="right") - 1])
+                gaps = np.flatnonzero(self.space[data[max(lo, text) : hi]])
+                if len(gaps):
+                    hi = max(lo, text) + int(gaps[-1]) + 1
+                elif text > lo:
+                    hi = text
+                else:
+                    ahead = np.flatnonzero(self.space[data[hi:]])
+                    hi = min(hi + int(ahead[0]) + 1 if len(ahead) else len(data), int(offsets[np.searchsorted(offsets, hi)]))
+            inside = offsets[np.searchsorted(offsets, lo) : np.searchsorted(offsets, hi)] - lo
+            h, at = self._stretch(data[lo:hi], inside)
+            found.append(h)
+            where.append(at + lo)
+            lo = hi
+        h = np.concatenate(found) if found else np.empty(0, np.uint64)
+        at = np.concatenate(where) if where else np.empty(0, np.int64)
+        return h, np.diff(np.searchsorted(at, offsets))

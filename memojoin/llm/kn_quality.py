@@ -1,12 +1,20 @@
 """Quality classifier: an interpolated modified Kneser-Ney trigram model of trusted text, and language-wise cuts.
 
-Counts are taken over all trusted documents outside the held-out fold, in Spark tables: raw trigram counts, the
-continuation counts below them, context totals with their discount masses, and joins of counts with contexts. A log
-probability is a sum over the n-grams of a text: of each word's own value, of the back-off weight of each context,
-and for each bigram and trigram that training has, of what it adds to the value backed off to. So ``value_table`` has two
-numbers for each n-gram, and ``sharded_scores`` joins the documents' n-grams, gathered by n-gram over many documents
-and packed, with that table in shards by n-gram, and adds up by text. Words and n-grams stand as 64-bit hashes.
-``fit`` and ``perplexities`` are the same model in one task's memory, for small sets of texts.
+Everything is counted over all trusted documents outside the held-out fold, and travels as packed columns (sorted
+keys in byte planes, compressed) that are dealt to shards by the hash of an n-gram:
+
+1. trigrams meet at the shard of their first two words: counts, context totals, discount masses;
+2. bigrams, with their numbers of different predecessors, meet at their own shard;
+3. words meet at theirs, and answer the bigrams' shards with their totals;
+4. trigrams, with their share of what their context passes on, meet the probability of their last two words.
+
+Each step ends in a table. A text's log probability is a sum over its n-grams: what each word has on its own, what
+each context passes on to shorter n-grams, and what each bigram and trigram of training adds to that. So step 4 gives
+one table of values by n-gram key, and scoring joins the documents' n-grams with it, shard by shard. The shards are
+taken in ``WAVES``, so that only that part of the n-grams is on disk at a time. N-grams that a small sample
+shows to be very frequent (a bounded number) are looked up before and scored where the text is, so that no shard is hot.
+
+Words and n-grams stand as hashes of 48 and 56 bits: words and n-grams that share one count as equal.
 
 A document's mean log probability is drawn towards its language's mean by ``PRIOR_WORDS`` words, as short texts
 say little. Thresholds are quantiles of the trusted documents outside the training fold, for each language with
@@ -20,333 +28,474 @@ is trusted if any label says so; repeated rows are scored alike; extra columns a
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from memojoin.llm.common import held_out, materialise, native_words, read
+from memojoin.llm.common import WordHasher, dealt, discard, held_out, materialise, native_words, read
+from memojoin.llm.packets import PACKED, by_ranges, by_shard, joined, met, pack, rows_of, runs, shard_of, slices, unpack
 
-#: Texts whose n-grams are gathered into one packet, and remembered word hashes.
-PACKET_TEXTS, REMEMBERED = 2_000, 400_000
-MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9], np.uint64)
 FOLDS, HELD_OUT = 4, 2
 QUANTILE, MARGIN = 0.995, 0.25
 PRIOR_WORDS = 20
 LEAST_TRUSTED = 50
-#: Words outside the sample's vocabulary share one probability; so many of them are assumed.
+#: Words outside the training vocabulary share one probability; so many of them are assumed.
 UNKNOWN_WORDS = 1_000_000
-SHARDS = 4
-START = 0
+#: Parts in which the shards are scored; bytes of text for each shard at most; tokens of a packet.
+WAVES, SHARD_BYTES, PACKET_TOKENS = 3, 128 << 20, 1 << 19
+#: A sample of about so many texts shows the frequent n-grams: those with more than this share of its n-grams.
+HOT_TEXTS, HOT_SHARE = 4_000, 1 / 20_000
+#: Texts that a task remembers, so as not to ask for copies again.
+REMEMBERED = 500_000
+START = np.uint64(0)
+#: Kinds of packed rows; values come before the questions about them.
+VALUES, TRIGRAMS, PAIRS, WORDS, ANSWERS, MOVED, STATS, ASKED = range(8)
+#: What an n-gram of a text asks for: its own value and that as a context, or one of them.
+BOTH, HERE, NEXT = range(3)
 
 
-def trigram_counts(texts: DataFrame, words: list[bytes]) -> DataFrame:
-    """a, b, c, n: trigrams of word numbers (from 1; 0 stands before the text)."""
-    table = texts.sparkSession.sparkContext.broadcast(words)
+def key_of(context: np.ndarray, suffix: np.ndarray) -> np.ndarray:
+    """The 56-bit key of an n-gram from the keys of its first and of its last words."""
+    out = (context * np.uint64(0x9E3779B97F4A7C15)) ^ (context >> np.uint64(23))
+    out = (out + suffix) * np.uint64(0xC2B2AE3D27D4EB4F)
+    out ^= out >> np.uint64(29)
+    out *= np.uint64(0x165667B19E3779F9)
+    return (out ^ (out >> np.uint64(32))) >> np.uint64(8)
 
-    def run(batches):
-        number = {w: k for k, w in enumerate(table.value, 1)}
-        for batch in batches:
-            for text in batch.column(0).to_pylist():
-                x = np.array([START, START, *(number[w] for w in text.encode().split())], np.int64)
-                if len(x) > 2:
-                    yield pa.RecordBatch.from_arrays([pa.array(x[:-2]), pa.array(x[1:-1]), pa.array(x[2:])], ["a", "b", "c"])
 
-    return texts.select("text").mapInArrow(run, "a long, b long, c long").groupBy("a", "b", "c").agg(F.count(F.lit(1)).alias("n"))
+def word_key(words: np.ndarray) -> np.ndarray:
+    return key_of(words, np.uint64(1))
+
+
+def pair_key(b: np.ndarray, c: np.ndarray) -> np.ndarray:
+    return key_of(word_key(b), word_key(c))
+
+
+def _few(n: np.ndarray) -> list[np.ndarray]:
+    """How many counts are 1, 2, 3 and 4."""
+    return [np.bincount(np.minimum(n, 5).astype(np.int64), minlength=6)[1:5].astype(np.int64)]
+
 
+# ---------------------------------------------------------------- the model
 
-def discounts(counts: DataFrame) -> tuple[float, float, float]:
+
+def discounts(n1: int, n2: int, n3: int, n4: int) -> np.ndarray:
     """Discounts for counts 1, 2 and more, from how many n-grams occur one to four times."""
-    got = {r[0]: r[1] for r in counts.where("n <= 4").groupBy("n").count().collect()}
-    n1, n2, n3, n4 = (got.get(k, 0) for k in (1, 2, 3, 4))
     y = n1 / (n1 + 2 * n2) if n1 else 0.5
     cut = lambda k, a, b: min(max(k - (k + 1) * y * b / a, 0.1), k) if a else min(0.75 * k, 0.9)
-    return cut(1, n1, n2), cut(2, n2, n3), cut(3, n3, n4)
-
-
-def _discounted(counts: DataFrame, context: list[str]) -> tuple[DataFrame, DataFrame]:
-    """counts with share = (n - D) / total of its context; and each context with its back-off weight."""
-    d = discounts(counts)
-    cut = F.when(F.col("n") == 1, d[0]).when(F.col("n") == 2, d[1]).otherwise(d[2])
-    totals = counts.groupBy(*context).agg(F.sum("n").alias("total"), F.sum(cut).alias("mass"))
-    share = counts.join(totals, context).withColumn("share", (F.col("n") - cut) / F.col("total")).drop("n", "total", "mass")
-    return share, totals.select(*context, (F.col("mass") / F.col("total")).alias("back"))
-
-
-class Shards:
-    """Sorted keys with values, in shards by key."""
-
-    def __init__(self, keys: np.ndarray, values: np.ndarray):
-        self.parts = []
-        for k in range(SHARDS):
-            at = np.flatnonzero(keys % SHARDS == k)
-            at = at[np.argsort(keys[at])]
-            self.parts.append((keys[at], values[at].astype(np.float32)))
-
-    def get(self, keys: np.ndarray, default: float) -> np.ndarray:
-        out = np.full(len(keys), default, np.float32)
-        shard = keys % SHARDS
-        for k, (have, values) in enumerate(self.parts):
-            at = np.flatnonzero((shard == k) & (keys >= 0))
-            if len(have) and len(at):
-                i = np.minimum(np.searchsorted(have, keys[at]), len(have) - 1)
-                hit = have[i] == keys[at]
-                out[at[hit]] = values[i[hit]]
-        return out
-
-
-class Model:
-    """Interpolated probabilities; word numbers from 1, unknown words -1."""
-
-    def __init__(self, words: list[bytes], one, back0: float, two, back1, three, back2):
-        self.words, self.side = words, len(words) + 1
-        self.one = one * (1.0) + back0 / (len(words) + UNKNOWN_WORDS)
-        self.unknown = back0 / (len(words) + UNKNOWN_WORDS)
-        self.two, self.back1, self.three, self.back2 = two, back1, three, back2
-        self._number = None
-
-    def __getstate__(self):
-        return self.__dict__ | {"_number": None}
-
-    def number(self):
-        if self._number is None:
-            self._number = {w: k for k, w in enumerate(self.words, 1)}
-        return self._number.get
-
-    def log10(self, x: np.ndarray) -> np.ndarray:
-        """For word numbers with two starts in front: the log probability of each word."""
-        a, b, c = x[:-2], x[1:-1], x[2:]
-        known = c >= 0
-        p = np.where(known, self.one[c], self.unknown)
-        bc = np.where((b >= 0) & known, b * self.side + c, -1)
-        ab = np.where((a >= 0) & (b >= 0), a * self.side + b, -1)
-        p = self.two.get(bc, 0) + np.where(b >= 0, self.back1[b], 1) * p
-        back2 = self.back2.get(ab, np.nan)
-        at = np.flatnonzero(~np.isnan(back2))  # contexts of two words that the sample has
-        abc = np.where(bc[at] >= 0, ab[at] * self.side + c[at], -1)
-        p[at] = self.three.get(abc, 0) + back2[at] * p[at]
-        return np.log10(p)
-
-
-def fit(texts: DataFrame) -> Model | None:
-    """Train on the texts given (a bounded number); None if they have no words."""
-    split = texts.select(F.explode(native_words(F.col("text"))).alias("w")).groupBy("w").count()
-    words = sorted(r[0].encode() for r in split.select("w").collect())
-    if not words:
-        return None
-    side = len(words) + 1
-    if side**3 >= 1 << 63:
-        raise ValueError("the sample's vocabulary is too large for trigram keys")
-    tri = trigram_counts(texts, words).persist()
-    two = tri.groupBy("b", "c").agg(F.count(F.lit(1)).alias("n")).persist()
-    one = two.groupBy("c").agg(F.count(F.lit(1)).alias("n")).withColumn("all", F.lit(1))
-    share3, back2 = _discounted(tri, ["a", "b"])
-    share2, back1 = _discounted(two, ["b"])
-    share1, back0 = _discounted(one, ["all"])
-    column = lambda df, *c: [np.asarray(x.to_numpy()) for x in df.select(*c).toArrow().columns]
-    key = lambda *c: F.expr(" + ".join(f"{x} * {side ** (len(c) - 1 - k)}L" for k, x in enumerate(c))).alias("k")
-    c1, s1 = column(share1, "c", "share")
-    p1 = np.zeros(side, np.float32)
-    p1[c1] = s1
-    b1, w1 = column(back1, "b", "back")
-    q1 = np.ones(side, np.float32)
-    q1[b1] = w1
-    model = Model(words, p1, float(column(back0, "back")[0][0]), Shards(*column(share2, key("b", "c"), "share")), q1, Shards(*column(share3, key("a", "b", "c"), "share")), Shards(*column(back2, key("a", "b"), "back")))
-    tri.unpersist()
-    two.unpersist()
-    return model
-
-
-def perplexities(docs: DataFrame, model: Model | None, keep: list[str]) -> DataFrame:
-    """The columns in keep, n_tokens and log10_prob of every whole text."""
-    table = docs.sparkSession.sparkContext.broadcast(model)
-    rows = docs.select(*keep, F.col("text").alias("__text"))
-    schema = rows.drop("__text").schema.add("n_tokens", "long").add("log10_prob", "double")
+    return np.array([0.0, cut(1, n1, n2), cut(2, n2, n3), cut(3, n3, n4)])
+
+
+def _cut(d: np.ndarray, n: np.ndarray) -> np.ndarray:
+    return d[np.minimum(n, 3).astype(np.int64)]
+
+
+def _framed(h: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Word ids with two starts in front of each text that has words; the position of every word; its text."""
+    live = np.flatnonzero(n)
+    of = np.repeat(live, n[live])
+    at = np.arange(len(h)) + 2 * (np.repeat(np.arange(len(live)), n[live]) + 1)
+    x = np.full(len(h) + 2 * len(live), START, np.uint64)
+    x[at] = np.maximum(h >> np.uint64(16), np.uint64(1))
+    return x, at, of
+
+
+def trigrams(texts: DataFrame, shards: int) -> DataFrame:
+    """TRIGRAMS a, b, c, n of every shard (of the first two words), in the order b, a, c; STATS of the counts."""
+
+    def post(batches):
+        hasher = WordHasher()
+        for part in slices(batches, 0):
+            x, at, _ = _framed(*hasher.hashes(part.column(0)))
+            for k in range(0, len(at), PACKET_TOKENS):
+                c = at[k : k + PACKET_TOKENS]
+                context = pair_key(x[c - 2], x[c - 1])
+                _, first, n = np.unique(key_of(context, pair_key(x[c - 1], x[c])), return_index=True, return_counts=True)
+                c = c[first]
+                rows = []
+                for shard, (_, p, q, r, m) in by_ranges(context[first], shards, x[c - 2], x[c - 1], x[c], n.astype(np.uint32)):
+                    order = np.lexsort((r, p, q))
+                    rows.append((shard, TRIGRAMS, pack(p[order], q[order], r[order], m[order])))
+                if rows:
+                    yield rows_of(rows)
+
+    def add(shard, packets):
+        a, b, c, n = joined(packets[TRIGRAMS])
+        order = np.lexsort((c, a, b))
+        a, b, c, n = a[order], b[order], c[order], n[order].astype(np.uint64)
+        new = runs(a, b, c)
+        n = np.add.reduceat(n, new)
+        return [(shard, TRIGRAMS, pack(a[new], b[new], c[new], n)), (shard, STATS, pack(*_few(n)))]
+
+    return met(texts.select("text").mapInArrow(post, PACKED), shards, add)
+
+
+def pairs(tri: DataFrame, shards: int) -> DataFrame:
+    """PAIRS b, c, n of every shard in the order b, c: n different words stand in front of b c; STATS of the counts."""
+
+    def post(batches):
+        for _, packets in by_shard(batches):
+            _, b, c, _ = packets[TRIGRAMS][0]
+            key, first, n = np.unique(pair_key(b, c), return_index=True, return_counts=True)
+            yield rows_of([(k, PAIRS, pack(p, q, m)) for k, (_, p, q, m) in by_ranges(key, shards, b[first], c[first], n.astype(np.uint32))])
+
+    def add(shard, packets):
+        b, c, n = joined(packets[PAIRS])
+        order = np.lexsort((c, b))
+        b, c, n = b[order], c[order], n[order].astype(np.uint64)
+        new = runs(b, c)
+        n = np.add.reduceat(n, new)
+        return [(shard, PAIRS, pack(b[new], c[new], n)), (shard, STATS, pack(*_few(n)))]
+
+    return met(tri.where(f"kind = {TRIGRAMS}").mapInArrow(post, PACKED), shards, add)
+
+
+def words(two: DataFrame, shards: int) -> DataFrame:
+    """WORDS (id, sum of n as first word, how many of these are 1, 2, more; pairs as last word), ANSWERS likewise
+    for each shard of pairs that holds a word, and STATS (words by 1 to 4 pairs, words, pairs)."""
+
+    def post(batches):
+        for shard, packets in by_shard(batches):
+            b, c, n = packets[PAIRS][0]
+            ids, at = np.unique(np.concatenate([b, c]), return_inverse=True)
+            first, last = at[: len(b)], at[len(b) :]
+            sums = [np.bincount(first, n.astype(np.float64), len(ids))]
+            sums += [np.bincount(first[np.minimum(n, 3) == k], minlength=len(ids)) for k in (1, 2, 3)]
+            sums += [np.bincount(last, minlength=len(ids))]
+            whence = np.array([shard], np.uint32)
+            yield rows_of([(k, WORDS, pack(whence, *part)) for k, (_, *part) in by_ranges(word_key(ids), shards, ids, *(s.astype(np.uint64) for s in sums))])
+
+    def add(shard, packets):
+        ids, at = np.unique(np.concatenate([p[1] for p in packets[WORDS]]), return_inverse=True)
+        sums = [np.bincount(at, np.concatenate([p[k] for p in packets[WORDS]]).astype(np.float64), len(ids)).astype(np.uint64) for k in range(2, 7)]
+        cuts = np.cumsum([0, *(len(p[1]) for p in packets[WORDS])])
+        out = [(int(p[0][0]), ANSWERS, pack(p[1], *(s[at[i:j]] for s in sums))) for p, i, j in zip(packets[WORDS], cuts[:-1], cuts[1:])]
+        last = sums[4][sums[4] > 0]
+        return [*out, (shard, WORDS, pack(ids, *sums)), (shard, STATS, pack(np.append(_few(last)[0], [len(last), int(last.sum())])))]
+
+    return met(two.where(f"kind = {PAIRS}").mapInArrow(post, PACKED), shards, add)
+
+
+def _stats(table: DataFrame, width: int = 4) -> list[int]:
+    """The sum of the STATS rows."""
 
     def run(batches):
-        model = table.value
-        number = model.number() if model else None
+        total = np.zeros(width, np.int64)
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
-                parts = [(t or "").encode("utf-8", "replace").split() for t in part.column(part.num_columns - 1).to_pylist()]
-                n = np.array([len(p) for p in parts], np.int64)
-                sums = np.zeros(len(parts))
-                if model:
-                    x = np.concatenate([np.array([START, START, *(number(w, -1) for w in p)], np.int64) for p in parts])
-                    logs = model.log10(x)  # two positions between texts belong to none
-                    ends = np.cumsum(n + 2)
-                    total = np.concatenate([[0.0], np.cumsum(logs, dtype=np.float64)])
-                    sums = total[ends - 2] - total[ends - 2 - n]
-                yield pa.RecordBatch.from_arrays([*part.columns[:-1], pa.array(n), pa.array(sums)], [*part.schema.names[:-1], "n_tokens", "log10_prob"])
-
-    return rows.mapInArrow(run, schema)
-
-
-class Hashed:
-    """Texts as arrays of word hashes, START before each twice; word hashes are remembered within a bound."""
-
-    def __init__(self):
-        self.known: dict[bytes, int] = {}
-
-    def text(self, text: str | None) -> list[int]:
-        known, out = self.known, [START, START]
-        if len(known) > REMEMBERED:
-            known.clear()
-        for w in (text or "").encode("utf-8", "replace").split():
-            h = known.get(w)
-            if h is None:
-                h = known[w] = xxhash.xxh64_intdigest(w)
-            out.append(h)
-        return out
-
-
-def gram_keys(*words: np.ndarray) -> np.ndarray:
-    """64-bit keys of n-grams given by columns of word hashes."""
-    out = np.full(len(words[0]), len(words), np.uint64)
-    for w in words:
-        out = (out ^ w) * MIX[0]
-        out ^= out >> np.uint64(29)
-        out *= MIX[1]
-        out ^= out >> np.uint64(32)
-    return out
+            for data in batch.column(0).to_pylist():
+                total += unpack(data)[0]
+        yield pa.RecordBatch.from_arrays([pa.array([total.tolist()], pa.list_(pa.int64()))], ["s"])
 
+    got = table.where(f"kind = {STATS}").select("data").mapInArrow(run, "s array<long>")
+    return list(got.agg(*[F.coalesce(F.sum(F.col("s")[k]), F.lit(0)) for k in range(width)]).first())
 
-def hashed_trigrams(texts: DataFrame) -> DataFrame:
-    """a, b, c, n: trigrams of word hashes (0 stands before the text) over all texts."""
 
-    def run(batches):
-        hashed = Hashed()
-        for batch in batches:
-            for text in batch.column(0).to_pylist():
-                x = np.array(hashed.text(text), np.uint64).view(np.int64)
-                if len(x) > 2:
-                    yield pa.RecordBatch.from_arrays([pa.array(x[:-2]), pa.array(x[1:-1]), pa.array(x[2:])], ["a", "b", "c"])
+class Scales:
+    """Discounts of the three orders, and what the single words share out."""
+
+    def __init__(self, three: list[int], two: list[int], one: list[int]):
+        self.three, self.two, self.one = discounts(*three), discounts(*two), discounts(*one[:4])
+        self.words, self.pairs = one[4:]
+        mass = self.one[1] * one[0] + self.one[2] * one[1] + self.one[3] * (self.words - one[0] - one[1])
+        self.unknown = mass / self.pairs / (self.words + UNKNOWN_WORDS)
+
+    def single(self, last: np.ndarray) -> np.ndarray:
+        """The probability of words that so many different words precede."""
+        return (last - _cut(self.one, last)) / self.pairs + self.unknown
+
+    def passed(self, total: np.ndarray, k1: np.ndarray, k2: np.ndarray, k3: np.ndarray) -> np.ndarray:
+        """What a word as a context passes on to single words (1 if it is none)."""
+        mass = self.two[1] * k1 + self.two[2] * k2 + self.two[3] * k3
+        return np.where(total > 0, mass / np.maximum(total, 1), 1.0)
+
+
+def _contexts(columns: tuple[np.ndarray, ...], s: Scales) -> list[np.ndarray]:
+    """For trigrams in the order b, a, c: keys of their contexts, trigrams in each, total, discounted mass; discounts."""
+    a, b, _, n = columns
+    first = runs(b, a)
+    cut = _cut(s.three, n)
+    return [pair_key(a[first], b[first]), np.diff(np.append(first, len(n))), np.add.reduceat(n, first), np.add.reduceat(cut, first), cut]
+
 
-    return texts.select("text").mapInArrow(run, "a long, b long, c long").groupBy("a", "b", "c").agg(F.count(F.lit(1)).alias("n"))
+def _waves(shards: int, waves: int) -> list[tuple[int, int]]:
+    edges = [shards * k // waves for k in range(waves + 1)]
+    return [(low, high) for low, high in zip(edges[:-1], edges[1:]) if low < high]
 
 
-def value_table(texts: DataFrame) -> tuple[DataFrame, float] | None:
-    """a, b, c (null in front of shorter n-grams), here, next; and the log10 of an unknown word's share.
+def value_table(texts: DataFrame, shards: int, waves: int = WAVES) -> tuple[list[DataFrame], float] | None:
+    """VALUES (key, here, next) by shard, to be added up for each key; and the log10 of an unknown word's share.
 
-    here counts for each occurrence with its last word to be told, next for each as a context.
+    here counts for each occurrence with its last word to be told, next for each as a context. None without words.
     """
-    tri = materialise(hashed_trigrams(texts), "kn-trigrams")
-    two = materialise(tri.groupBy("b", "c").agg(F.count(F.lit(1)).alias("n")), "kn-bigrams")
-    one = two.groupBy("c").agg(F.count(F.lit(1)).alias("n")).withColumn("all", F.lit(1))
-    share1, back0 = _discounted(one, ["all"])
-    words = one.count()
-    if not words:
+    tri = materialise(trigrams(texts, shards), "kn-trigrams")
+    two = materialise(pairs(tri, shards), "kn-pairs")
+    one = materialise(words(two, shards), "kn-words")
+    stats = _stats(tri), _stats(two), _stats(one, 6)
+    if not stats[2][4]:
+        discard(tri, two, one)
         return None
-    unknown = float(back0.select("back").first()[0]) / (words + UNKNOWN_WORDS)
-    share2, back1 = _discounted(two, ["b"])
-    share3, back2 = _discounted(tri, ["a", "b"])
-    p1 = share1.select("c", (F.col("share") + unknown).alias("p1"))
-    p2 = share2.join(back1, "b").join(p1, "c").withColumn("p2", F.expr("share + back * p1"))
-    p2 = materialise(p2.select("b", "c", "p2", F.expr("log10(p2) - log10(back) - log10(p1)").alias("here")), "kn-shares")
-    p3 = share3.join(back2, ["a", "b"]).join(p2.select("b", "c", "p2"), ["b", "c"])
-    none = F.lit(None).cast("long")
-    zero = lambda x: F.coalesce(F.col(x), F.lit(0.0))
-    ones = p1.select("c", (F.log10("p1") - F.log10(F.lit(unknown))).alias("here")).join(back1.select(F.col("b").alias("c"), F.log10("back").alias("next")), "c", "full")
-    twos = p2.select("b", "c", "here").join(back2.select(F.col("a").alias("b"), F.col("b").alias("c"), F.log10("back").alias("next")), ["b", "c"], "full")
-    table = ones.select(none.alias("a"), none.alias("b"), "c", zero("here").alias("here"), zero("next").alias("next"))
-    table = table.unionByName(twos.select(none.alias("a"), "b", "c", zero("here").alias("here"), zero("next").alias("next")))
-    table = table.unionByName(p3.select("a", "b", "c", F.expr("log10(share + back * p2) - log10(back) - log10(p2)").alias("here"), F.lit(0.0).alias("next")))
-    return table, float(np.log10(unknown))
+    s = Scales(*stats)
+
+    def contexts(batches):
+        for shard, packets in by_shard(batches):
+            key, _, total, mass, _ = _contexts(packets[TRIGRAMS][0], s)
+            yield rows_of([(shard, VALUES, pack(key, np.zeros(len(key), np.float32), np.log10(mass / total).astype(np.float32)))])
+
+    def move(low, high):
+        """Trigrams to the shards of their last two words, if these are among those from low on and below high."""
+
+        def run(batches):
+            for _, packets in by_shard(batches):
+                a, b, c, n = packets[TRIGRAMS][0]
+                key, size, _, mass, cut = _contexts((a, b, c, n), s)
+                suffix = pair_key(b, c)
+                shard = shard_of(suffix, shards)
+                mine = np.flatnonzero((shard >= low) & (shard < high))
+                # share / passed on: both have the total below
+                ratio = ((n - cut) / np.repeat(mass, size)).astype(np.float32)[mine]
+                suffix = suffix[mine]
+                yield rows_of([(k, MOVED, pack(*part)) for k, part in by_ranges(suffix, shards, key_of(np.repeat(key, size)[mine], suffix), ratio)])
+
+        return run
+
+    def lone(batches):
+        for shard, packets in by_shard(batches):
+            ids, total, k1, k2, k3, last = packets[WORDS][0]
+            here = np.where(last > 0, np.log10(s.single(last) / s.unknown), 0.0)
+            after = np.log10(s.passed(total, k1, k2, k3))
+            yield rows_of([(shard, VALUES, pack(word_key(ids), here.astype(np.float32), after.astype(np.float32)))])
+
+    def value(shard, packets):
+        b, c, n = packets[PAIRS][0]
+        ids, total, k1, k2, k3, last = joined(packets[ANSWERS])
+        order = np.argsort(ids)
+        at, to = order[np.searchsorted(ids, b, sorter=order)], order[np.searchsorted(ids, c, sorter=order)]
+        back, low = s.passed(total, k1, k2, k3)[at], s.single(last[to])
+        p = (n - _cut(s.two, n)) / total[at] + back * low
+        key = pair_key(b, c)
+        order = np.argsort(key)
+        key, p = key[order], p[order]
+        suffix, own, ratio = joined(packets[MOVED])  # a pair is the end of a trigram
+        here = np.log10(1 + ratio / p[np.searchsorted(key, suffix)]).astype(np.float32)
+        zero = lambda x: np.zeros(len(x), np.float32)
+        out = [(k, VALUES, pack(*part, zero(part[0]))) for k, part in by_ranges(own, shards, here)]
+        return [*out, (shard, VALUES, pack(key, np.log10(p / (back * low)[order]).astype(np.float32), zero(key)))]
+
+    single = tri.where(f"kind = {TRIGRAMS}").mapInArrow(contexts, PACKED).unionByName(one.where(f"kind = {WORDS}").mapInArrow(lone, PACKED))
+    parts = [materialise(single, "kn-contexts")]
+    for low, high in _waves(shards, waves):
+        inside = f"shard >= {low} AND shard < {high}"
+        inputs = tri.where(f"kind = {TRIGRAMS}").mapInArrow(move(low, high), PACKED).unionByName(two.where(f"kind = {PAIRS} AND {inside}")).unionByName(one.where(f"kind = {ANSWERS} AND {inside}"))
+        parts.append(materialise(met(inputs, high - low, value, low), "kn-values"))
+    discard(tri, two, one)
+    return parts, float(np.log10(s.unknown))
+
+
+# ---------------------------------------------------------------- scores
+
+
+def _asked(x: np.ndarray, at: np.ndarray, of: np.ndarray, first: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Keys and codes (text * 4 + what is asked) of every n-gram; first and last mark the ends of texts."""
+    a, b, c = x[at - 2], x[at - 1], x[at]
+    word, before = word_key(c), word_key(b)
+    two = key_of(before, word)
+    context = key_of(word_key(a), before)
+    what = np.where(last, HERE, BOTH)
+    begin = np.flatnonzero(first)  # the starts are contexts only
+    keys = np.concatenate([word, two, key_of(context, two), before[begin], context[begin]])
+    return keys, np.concatenate([of * 4 + what, of * 4 + what, of * 4 + HERE, of[begin] * 4 + NEXT, of[begin] * 4 + NEXT]).astype(np.uint16)
+
+
+def _packets(batches):
+    """(keys of texts, their numbers, word counts, keys of n-grams, codes) for a bounded number of tokens.
+
+    A long text comes in several parts with one number; copies of a text are left out as far as a task remembers it.
+    """
+    hasher, seen, number = WordHasher(), set(), 0
+    for part in slices(batches, 1):
+        fresh = []
+        for k, name in enumerate(part.column(0).to_pylist()):
+            if name not in seen:
+                seen.add(name)
+                fresh.append(k)
+        if len(seen) > REMEMBERED:
+            seen.clear()
+        part = part.take(pa.array(fresh, pa.int64()))
+        h, n = hasher.hashes(part.column(1))
+        x, at, of = _framed(h, n)
+        first = np.zeros(len(at), bool)
+        starts = np.concatenate([[0], np.cumsum(n)])[:-1][n > 0]
+        first[starts] = True
+        last = np.roll(first, -1)
+        names = part.column(0).to_numpy()
+        for k in range(0, len(at), PACKET_TOKENS):
+            cut = slice(k, k + PACKET_TOKENS)
+            low = int(of[k])
+            texts = names[low : int(of[cut][-1]) + 1]
+            yield texts, np.arange(len(texts)) + number + low, np.bincount(of[cut] - low, minlength=len(texts)), *_asked(x, at[cut], of[cut] - low, first[cut], last[cut])
+        number += part.num_rows
+
+
+def hot_keys(docs: DataFrame) -> np.ndarray:
+    """Keys of n-grams that a sample of texts holds very often: at most three divided by HOT_SHARE."""
+    n = docs.count()
+    rate = min(1.0, HOT_TEXTS / max(n, 1))
+    sample = docs.where(F.pmod(F.xxhash64("text", F.lit("hot")), F.lit(1 << 30)) < int(rate * (1 << 30)))
 
+    def run(batches):
+        for _, _, count, keys, _ in _packets(batches):
+            keys, times = np.unique(keys, return_counts=True)
+            often = np.flatnonzero(times > 1)
+            yield pa.RecordBatch.from_arrays([pa.array(keys[often].view(np.int64)), pa.array(times[often]), pa.array(np.full(len(often), count.sum() / max(len(often), 1)))], ["k", "n", "t"])
 
-PACKED = "shard int, kind int, packet long, data binary"
+    got = sample.select(F.xxhash64("text"), "text").mapInArrow(run, "k long, n long, t double").groupBy("k").agg(F.sum("n").alias("n"), F.sum("t").alias("t"))
+    got = materialise(got, "kn-sample")
+    least = (got.agg(F.sum("t")).first()[0] or 0.0) * HOT_SHARE
+    keys = got.where(F.col("n") > max(least, 2)).select("k").toArrow().column(0).to_numpy()
+    discard(got)
+    return np.sort(keys.view(np.uint64))
 
 
-def _shard_cuts(keys: np.ndarray, shards: int) -> list[tuple[int, int, int]]:
-    """(shard, from, to) of rising keys, for each shard that has some."""
-    at = ((keys >> np.uint64(32)) * np.uint64(shards)) >> np.uint64(32)
-    cuts = np.searchsorted(at, np.arange(shards + 1, dtype=np.uint64))
-    return [(k, int(cuts[k]), int(cuts[k + 1])) for k in range(shards) if cuts[k] < cuts[k + 1]]
+def _found(have: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Where each key stands in sorted keys, and whether it does."""
+    if not len(have):
+        return np.zeros(len(keys), np.int64), np.zeros(len(keys), bool)
+    at = np.minimum(np.searchsorted(have, keys), len(have) - 1)
+    return at, have[at] == keys
 
 
-def _packets(rows: list[tuple[int, int, int, bytes]]) -> pa.RecordBatch:
-    kinds = (pa.int32(), pa.int32(), pa.int64(), pa.binary())
-    return pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate(kinds)], ["shard", "kind", "packet", "data"])
+def _summed(keys: np.ndarray, here: np.ndarray, after: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct sorted keys, and a row for each of BOTH, HERE and NEXT."""
+    order = np.argsort(keys)
+    keys, here, after = keys[order], here[order], after[order]
+    new = runs(keys)
+    if len(keys):
+        here, after = np.add.reduceat(here, new), np.add.reduceat(after, new)
+    return keys[new], np.stack([here + after, here, after])
 
 
-def sharded_scores(docs: DataFrame, table: DataFrame, unknown: float) -> DataFrame:
-    """__key (xxhash64 of the text), n_tokens and log10_prob of every text that has words."""
-    shards = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+def _lookup(table: DataFrame, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """_summed() values of a bounded number of sorted keys."""
+    asked = table.sparkSession.sparkContext.broadcast(keys)
 
-    def values(batches):
+    def run(batches):
         for batch in batches:
-            a, b, c = (batch.column(k) for k in range(3))
-            order = 1 + b.is_valid().to_numpy(zero_copy_only=False).astype(int) + a.is_valid().to_numpy(zero_copy_only=False)
-            a, b, c = (x.fill_null(0).to_numpy().view(np.uint64) for x in (a, b, c))
-            keys = np.where(order == 1, gram_keys(c), np.where(order == 2, gram_keys(b, c), gram_keys(a, b, c)))
-            at = np.argsort(keys)
-            keys, both = keys[at], np.stack([batch.column(3).to_numpy(), batch.column(4).to_numpy()])[:, at].astype(np.float32)
-            rows = [(k, 0, 0, keys[i:j].tobytes() + both[:, i:j].tobytes()) for k, i, j in _shard_cuts(keys, shards)]
-            if rows:
-                yield _packets(rows)
+            for data in batch.column(0).to_pylist():
+                own, here, after = unpack(data)
+                at = np.flatnonzero(_found(asked.value, own)[1])
+                yield pa.RecordBatch.from_arrays([pa.array(own[at].view(np.int64)), pa.array(here[at]), pa.array(after[at])], ["k", "here", "next"])
+
+    got = table.select("data").mapInArrow(run, "k long, here float, next float").toArrow()
+    have, values = _summed(got.column("k").to_numpy().view(np.uint64), got.column("here").to_numpy(), got.column("next").to_numpy())
+    out = np.zeros((3, len(keys)), np.float32)
+    at, hit = _found(have, keys)
+    out[:, hit] = values[:, at[hit]]
+    return keys, out
+
+
+def sharded_scores(docs: DataFrame, tables: list[DataFrame], unknown: float, shards: int, waves: int = WAVES) -> DataFrame:
+    """__key (xxhash64 of the text), n_tokens and log10_prob of every text that has words."""
+    table = reduce(DataFrame.unionByName, tables)
+    hot = docs.sparkSession.sparkContext.broadcast(_lookup(table, hot_keys(docs)))
+    parts = []
+    for low, high in _waves(shards, waves):
+        values = table.where(f"shard >= {low} AND shard < {high}")
+        parts.append(materialise(_wave(docs, values, hot, shards, low, high), "kn-scores"))
+    sums = reduce(DataFrame.unionByName, parts).groupBy("__key").agg(F.max("n").alias("n_tokens"), F.sum("part").alias("part"))
+    out = materialise(sums.select("__key", "n_tokens", (F.col("part") + F.col("n_tokens") * F.lit(unknown)).alias("log10_prob")), "kn-sums")
+    discard(*parts)
+    return out
+
+
+def _wave(docs: DataFrame, values: DataFrame, hot, shards: int, low: int, high: int) -> DataFrame:
+    """__key, n and part: what the n-grams of some shards give each text."""
+    # a packet's own row tells its texts; rows from shards tell what they add
+    told = "packet long, texts binary, adds binary"
 
     def ask(batches):
-        hashed, packet = Hashed(), TaskContext.get().partitionId() << 32
-        for batch in batches:
-            for start in range(0, batch.num_rows, PACKET_TEXTS):
-                part = batch.slice(start, PACKET_TEXTS)
-                texts = dict(zip(part.column(0).to_pylist(), part.column(1).to_pylist()))
-                found = {k: x for k, t in texts.items() if len(x := hashed.text(t)) > 2}
-                if not found:
-                    continue
-                packet += 1
-                n = np.array([len(x) - 2 for x in found.values()], np.int64)
-                x = np.concatenate([np.array(x, np.uint64) for x in found.values()])
-                of = np.repeat(np.arange(len(n)), n)
-                c = np.arange(len(of)) + 2 * (of + 1)
-                one, two = gram_keys(x), gram_keys(x[:-1], x[1:])
-                keys = np.concatenate([one[c], one[c - 1], two[c - 1], two[c - 2], gram_keys(x[c - 2], x[c - 1], x[c])])
-                codes = (np.tile(of * 2, 5) + np.repeat([0, 1, 0, 1, 0], len(c))).astype(np.uint16)
-                at = np.argsort(keys)
-                keys, codes = keys[at], codes[at]
-                ids, rows = np.array(list(found), np.int64), []
-                for k, i, j in _shard_cuts(keys, shards):
-                    first = np.flatnonzero(np.concatenate([[True], keys[i + 1 : j] != keys[i : j - 1]]))
-                    size = np.diff(np.append(first, j - i)).astype(np.uint32)
-                    told = n if not rows else n * 0  # counted once for each packet
-                    rows.append((k, 1, packet, np.array([len(n), len(first)], np.int64).tobytes() + ids.tobytes() + told.tobytes() + keys[i:j][first].tobytes() + size.tobytes() + codes[i:j].tobytes()))
-                yield _packets(rows)
-
-    def join(batches):
-        shard, parts, have, both = -1, [], np.empty(0, np.uint64), np.empty((2, 0), np.float32)
+        packet = TaskContext.get().partitionId() << 32
+        keys_hot, values_hot = hot.value
+        for texts, numbers, n, keys, codes in _packets(batches):
+            shard = shard_of(keys, shards)
+            mine = np.flatnonzero((shard >= low) & (shard < high))
+            order = mine[np.argsort(keys[mine])]
+            keys, codes = keys[order], codes[order]
+            # frequent n-grams are runs of the sorted keys
+            begin = np.searchsorted(keys, keys_hot)
+            times = np.searchsorted(keys, keys_hot, side="right") - begin
+            often = np.repeat(np.arange(len(keys_hot)), times)
+            where = np.arange(len(often)) + np.repeat(begin - np.cumsum(times) + times, times)
+            sums = np.bincount(codes[where] >> 2, values_hot[codes[where] & 3, often], len(texts))
+            yield rows_of([(int(packet % (high - low)) + low, ASKED, pack(np.array([packet]), texts, numbers, n, sums))])
+            other = np.ones(len(keys), bool)
+            other[where] = False
+            rows = []
+            for k, (own, code) in by_ranges(keys[other], shards, codes[other], rising=True):
+                new = runs(own)
+                rows.append((k, ASKED, pack(np.array([packet]), own[new], np.diff(np.append(new, len(own))).astype(np.uint32), code)))
+            if rows:
+                yield rows_of(rows)
+            packet += 1
+
+    def answer(batches):
+        shard, parts, have, of = -1, [], np.empty(0, np.uint64), np.empty((3, 0), np.float32)
         for batch in batches:
-            for k, kind, packet, data in zip(*(batch.column(k).to_pylist() for k in range(4))):
+            out = []
+            for k, kind, data in zip(*(batch.column(j).to_pylist() for j in range(3))):
                 if k != shard:
-                    shard, parts, have, both = k, [], np.empty(0, np.uint64), np.empty((2, 0), np.float32)
-                if kind == 0:
-                    m = len(data) // 16
-                    parts.append((np.frombuffer(data, np.uint64, m), np.frombuffer(data, np.float32, 2 * m, 8 * m).reshape(2, m)))
+                    shard, parts, have, of = k, [], np.empty(0, np.uint64), np.empty((3, 0), np.float32)
+                if kind == VALUES:
+                    parts.append(unpack(data))
                     continue
                 if parts:  # values come before questions
-                    have, both = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts], axis=1)
-                    at = np.argsort(have)
-                    have, both, parts = have[at], both[:, at], []
-                t, g = np.frombuffer(data, np.int64, 2).tolist()
-                ids, told = np.frombuffer(data, np.int64, 2 * t, 16).reshape(2, t)
-                at = 16 + 16 * t
-                keys, size = np.frombuffer(data, np.uint64, g, at), np.frombuffer(data, np.uint32, g, at + 8 * g)
-                codes = np.frombuffer(data, np.uint16, -1, at + 12 * g)
-                sums = np.zeros(t)
-                if len(have):
-                    i = np.minimum(np.searchsorted(have, keys), len(have) - 1)
-                    i = np.repeat(np.where(have[i] == keys, i, -1), size)
-                    hit = np.flatnonzero(i >= 0)
-                    sums = np.bincount(codes[hit] >> 1, both[codes[hit] & 1, i[hit]], minlength=t)
-                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(np.full(t, packet)), pa.array(told), pa.array(sums)], ["__key", "packet", "n", "part"])
+                    (have, of), parts = _summed(*joined(parts)), []
+                got = unpack(data)
+                packet = int(got[0][0])
+                if got[1].dtype == np.int64:  # the packet's own row
+                    out.append((packet, pack(*got[1:]), None))
+                    continue
+                _, own, size, code = got
+                at, hit = _found(have, own)
+                at, hit = np.repeat(at, size), np.repeat(hit, size)
+                code, at = code[hit], at[hit]
+                sums = np.bincount(code >> 2, of[code & 3, at], int(code.max(initial=0) >> 2) + 1)
+                some = np.flatnonzero(sums)
+                out.append((packet, None, pack(some.astype(np.uint16), sums[some].astype(np.float32))))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.binary()), pa.array([o[2] for o in out], pa.binary())], ["packet", "texts", "adds"])
+
+    def gather(batches):
+        packet, texts, numbers, n, sums, adds = None, None, None, None, None, []
+
+        def done():
+            for at, more in adds:
+                sums[at] += more
+            return pa.RecordBatch.from_arrays([pa.array(texts), pa.array(np.full(len(texts), packet >> 32)), pa.array(numbers), pa.array(n), pa.array(sums)], ["__key", "task", "number", "n", "part"])
+
+        for batch in batches:
+            for p, own, add in zip(*(batch.column(j).to_pylist() for j in range(3))):
+                if p != packet:
+                    if packet is not None:
+                        yield done()
+                    packet, adds = p, []
+                if own is not None:
+                    texts, numbers, n, sums = unpack(own)
+                else:
+                    adds.append(unpack(add))
+        if packet is not None:
+            yield done()
 
     asked = docs.select(F.xxhash64("text").alias("k"), "text").mapInArrow(ask, PACKED)
-    met = table.mapInArrow(values, PACKED).unionByName(asked).repartition(shards, "shard").sortWithinPartitions("shard", "kind")
-    sums = met.mapInArrow(join, "__key long, packet long, n long, part double").groupBy("__key", "packet").agg(F.sum("n").alias("n_tokens"), F.sum("part").alias("part"))
-    # a text that several packets hold is scored alike in each
-    return sums.groupBy("__key").agg(F.max("n_tokens").alias("n_tokens"), F.max("part").alias("part")).select("__key", "n_tokens", (F.col("part") + F.col("n_tokens") * F.lit(unknown)).alias("log10_prob"))
+    answers = dealt(values.unionByName(asked), high - low, F.col("shard") - low).sortWithinPartitions("shard", "kind").mapInArrow(answer, told)
+    sums = answers.repartition(high - low, "packet").sortWithinPartitions("packet").mapInArrow(gather, "__key long, task long, number long, n long, part double")
+    # the parts of a long text add up; copies of a text have one score
+    sums = sums.where("n > 0").groupBy("__key", "task", "number").agg(F.sum("n").alias("n"), F.sum("part").alias("part"))
+    return sums.groupBy("__key").agg(F.max("n").alias("n"), F.max("part").alias("part"))
 
 
 def trusted_ids(labels: DataFrame) -> DataFrame:
@@ -354,21 +503,29 @@ def trusted_ids(labels: DataFrame) -> DataFrame:
     return labels.where("quality = 1 AND doc_id IS NOT NULL").select(F.col("doc_id").alias("__good")).distinct()
 
 
+def shard_count(docs: DataFrame) -> int:
+    """Shards of bounded size, and as many as the session's partitions at least."""
+    size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    return max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-size // SHARD_BYTES))
+
+
 def classify(docs: DataFrame, labels: DataFrame, keep: list[str] | None = None) -> DataFrame:
     """The columns in keep (default doc_id and lang) with n_tokens, perplexity, threshold and kept."""
     keep = keep or ["doc_id", "lang"]
     trusted = trusted_ids(labels)
     held = held_out("doc_id", FOLDS, HELD_OUT)
     good = docs.select("doc_id", "text").where(~held & F.col("text").isNotNull()).join(trusted, F.col("doc_id") == F.col("__good"), "left_semi")
-    model = value_table(good)
+    shards = shard_count(docs)
+    model = value_table(good, shards)
     if model:
-        scores = materialise(sharded_scores(docs, *model), "kn-scores")
+        scores = sharded_scores(docs, *model, shards)
+        discard(*model[0])
     else:  # without trusted words only lengths are known
         scores = docs.select(F.xxhash64("text").alias("__key"), F.size(native_words(F.col("text"))).cast("long").alias("n_tokens"), F.lit(0.0).alias("log10_prob")).where("n_tokens > 0").distinct()
     with_scores = lambda rows: rows.join(scores, "__key", "left").withColumns({"n_tokens": F.coalesce("n_tokens", F.lit(0)), "log10_prob": F.coalesce("log10_prob", F.lit(0.0))})
     # thresholds: means first, then quantiles of the shrunken log probability
     tested = docs.where(held).select("doc_id", "lang", F.xxhash64("text").alias("__key")).join(trusted, F.col("doc_id") == F.col("__good"), "left_semi")
-    scored = with_scores(tested).where("n_tokens > 0").persist()
+    scored = materialise(with_scores(tested).where("n_tokens > 0").select("lang", "n_tokens", "log10_prob"), "kn-tested")
     means = {r[0]: (r[1] / r[2], r[3]) for r in scored.groupBy("lang").agg(F.sum("log10_prob"), F.sum("n_tokens"), F.count(F.lit(1))).limit(1001).collect()}
     if len(means) > 1000:
         raise ValueError("more than 1000 languages")
@@ -381,7 +538,7 @@ def classify(docs: DataFrame, labels: DataFrame, keep: list[str] | None = None)
     shrunk = -(F.col("log10_prob") + PRIOR_WORDS * prior) / (F.col("n_tokens") + PRIOR_WORDS)
     cuts = {r[0]: r[1] for r in scored.withColumn("m", shrunk).groupBy("lang").agg(F.percentile_approx("m", QUANTILE, 10_000)).collect()}
     every = scored.withColumn("m", shrunk).agg(F.percentile_approx("m", QUANTILE, 10_000)).first()[0]
-    scored.unpersist()
+    discard(scored)
     cut = F.lit(every + MARGIN if every is not None else float("inf"))
     for lang, (_, n) in means.items():
         if lang is not None and n >= LEAST_TRUSTED:
