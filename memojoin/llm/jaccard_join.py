@@ -158,19 +158,19 @@ def signatures(tokens: np.ndarray, bands: Bands) -> list[tuple[np.ndarray, int]]
 
 
 def keyed_rows(docs: DataFrame, words: int) -> DataFrame:
-    """doc_id, n and key (null for an empty set) of every row."""
+    """doc_id, text_key (a hash of the text), n and key (null for an empty set) of every row."""
 
     def run(batches):
         shingle = Shingler(words)
         for part in _parts(batches):
             n, keys = [], []
-            for text in part.column(1).to_pylist():
+            for text in part.column(2).to_pylist():
                 t = shingle.tokens(text)
                 n.append(len(t))
                 keys.append(key_of(t) if len(t) else None)
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(keys, pa.int64())], ["doc_id", "n", "key"])
+            yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(n, pa.int64()), pa.array(keys, pa.int64())], ["doc_id", "text_key", "n", "key"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, key long")
+    return docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text").mapInArrow(run, "doc_id long, text_key long, n long, key long")
 
 
 def _runs(signs: np.ndarray, marked: np.ndarray):
@@ -429,11 +429,16 @@ def links(docs: DataFrame, groups: DataFrame, words: int, percent: int) -> DataF
     return placed.repartition(n, "component", "lo", "hi").sortWithinPartitions("component", "lo", "hi").mapInArrow(join, "a long, b long")
 
 
-def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
-    """doc_id, n_shingles and component_id of every row."""
+def _labelled(docs: DataFrame, words: int, percent: int) -> tuple[DataFrame, DataFrame]:
+    """keyed_rows(), and the component (a set's key) of every set that links with another."""
     rows = materialise(keyed_rows(docs, words), "jaccard-rows")
     groups = materialise(candidate_groups(docs, words, percent).select(F.col("node").alias("key"), "component"), "jaccard-groups")
-    label = components(links(docs, groups, words, percent)).withColumnRenamed("node", "key")
+    return rows, components(links(docs, groups, words, percent)).withColumnRenamed("node", "key")
+
+
+def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
+    """doc_id, n_shingles and component_id of every row."""
+    rows, label = _labelled(docs, words, percent)
     firsts = rows.where("key IS NOT NULL").groupBy("key").agg(F.min("doc_id").alias("first"))
     names = label.join(firsts, "key").groupBy("component").agg(F.min("first").alias("c"))
     linked = label.join(names, "component").select("key", "c")
@@ -446,7 +451,28 @@ def op1_jaccard_join(spark, sf_dir: str) -> DataFrame:
 
 
 def keep_first(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
-    """One document of each component, the one of the smallest id; of rows without an id one for each text."""
-    firsts = jaccard_components(docs, words, percent).where("doc_id = component_id").select(F.col("doc_id").alias("__first")).distinct()
-    named = docs.join(firsts, F.col("doc_id") == F.col("__first"), "left_semi").dropDuplicates(["doc_id"])
-    return named.unionByName(docs.where("doc_id IS NULL").dropDuplicates(["text"]))
+    """One row of each component: the one of the smallest id (null last), of equal ids the one whose text hashes lowest.
+
+    Rows without words link with nothing and all stay, but for repeated rows (one id and one text), of which one does.
+    """
+    rows, label = _labelled(docs, words, percent)
+    own = rows.where("key IS NOT NULL").join(label, "key", "left").withColumn("label", F.coalesce("component", "key"))
+    first = own.groupBy("label").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "text_key")).alias("f"))
+    chosen = first.select("f.doc_id", "f.text_key").unionByName(rows.where("key IS NULL").select("doc_id", "text_key").distinct())
+    chosen = chosen.select(F.col("doc_id").alias("__first"), F.col("text_key").alias("__text_key"))
+    marked = docs.withColumn("__own_key", F.xxhash64("text"))
+    kept = marked.join(chosen, F.col("doc_id").eqNullSafe(F.col("__first")) & (F.col("__own_key") == F.col("__text_key")), "left_semi")
+    return kept.dropDuplicates(["doc_id", "__own_key"]).drop("__own_key")
+
+
+#: The join by pairs that share a shingle, and the closure of its links; for tables of oracle size.
+OP1_SQL = f"""
+WITH RECURSIVE t AS (SELECT doc_id, list_filter(string_split(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ' || chr(9)||chr(10)||chr(11)||chr(12)||chr(13), 'abcdefghijklmnopqrstuvwxyz     '), ' '), lambda x: x <> '') AS w FROM documents),
+g AS (SELECT doc_id, CASE WHEN len(w) >= {WORDS} THEN list_distinct(list_transform(range(1, len(w) - {WORDS - 2}), lambda i: array_to_string(w[i:i + {WORDS - 1}], ' '))) WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END AS s FROM t),
+e AS (SELECT s, min(doc_id) AS rep, len(s)::BIGINT AS n FROM g WHERE len(s) > 0 GROUP BY s),
+x AS (SELECT rep, n, unnest(s) AS token FROM e),
+l AS (SELECT a.rep AS a, b.rep AS b FROM x a JOIN x b ON a.token = b.token AND a.rep <> b.rep GROUP BY a.rep, b.rep, a.n, b.n HAVING 100 * count(*) >= {PERCENT} * (a.n + b.n - count(*))),
+r(a, c) AS (SELECT rep, rep FROM e UNION SELECT r.a, l.b FROM r JOIN l ON l.a = r.c),
+c AS (SELECT a, min(c) AS c FROM r GROUP BY a)
+SELECT g.doc_id, len(g.s)::BIGINT AS n_shingles, coalesce(c.c, g.doc_id) AS component_id
+FROM g LEFT JOIN e ON g.s = e.s LEFT JOIN c ON c.a = e.rep"""

@@ -16,9 +16,11 @@ first in order; repeated rows give equal results; a null id is never held out; e
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -253,17 +255,19 @@ def identify(docs: DataFrame, model: Model | None) -> DataFrame:
 
 def keep_identified(docs: DataFrame, model: Model | None, least_score: float) -> DataFrame:
     """The rows of docs, all columns, whose language is told with at least this score."""
-    column = docs.columns.index("text")
-
-    def run(batches):
-        scorer = Scorer(model) if model else None
-        for batch in batches:
-            for at in range(0, batch.num_rows, 500):
-                part = batch.slice(at, 500)
-                pred, score = _predict(scorer, part.column(column).to_pylist())
-                yield part.filter(pa.array([p != "und" and s >= least_score for p, s in zip(pred, score)], pa.bool_()))
-
-    return docs.mapInArrow(run, docs.schema)
+    table = docs.sparkSession.sparkContext.broadcast(model)
+
+    def told(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        scorer = Scorer(table.value) if table.value else None
+        for part in texts:
+            out = []
+            for at in range(0, len(part), 500):
+                pred, score = _predict(scorer, [t if isinstance(t, str) else None for t in part.iloc[at : at + 500]])
+                out += [p != "und" and s >= least_score for p, s in zip(pred, score)]
+            yield pd.Series(out, dtype=bool)
+
+    # only texts go through Python, the other columns stay where they are
+    return docs.where(F.pandas_udf(told, "boolean")(F.col("text")))
 
 
 def label_positions(text: str, model: Model) -> list[str]:
