@@ -1,14 +1,18 @@
 """Near-duplicate vectors by lattice hashing, verified by cosine in double precision.
 
-Each table projects the unit vectors to two blocks of eight dimensions and decodes each block to its nearest point
-of the E8 lattice; the pair of points names a cell. A vector stands in its home cell and in neighbouring cells that
-the residuals make likely. Vectors that share a cell, at least one of them at home, are compared. Sharing is sought
+Each table projects the unit vectors to a few blocks of eight dimensions and decodes each block to its nearest point
+of the E8 lattice; the points together name a cell. A vector stands in its home cell and in neighbouring cells that
+the residuals make likely. How many blocks, how wide cells and how many tables there are follows from the number of
+vectors (``choose_grid``): projections of unit vectors are normal whatever the data, so the chances that a pair at the
+threshold and a random pair meet are simulated once; the tables are as many as the recall asks for, and of the grids
+that reach it the one with the least expected work is taken. So cells shrink as vectors grow in number. Vectors that share a cell, at least one of them at home, are compared. Sharing is sought
 on narrow rows (cell and key); only vectors of shared cells travel. A crowded cell is cut into blocks, and every
 pair of its blocks is compared, so nothing is capped. Comparisons within a cell leave at most one link for each
 vector (a spanning forest), so a crowd gives no quadratic output; links make components, and then all pairs within
 a component are compared block by block to count links exactly.
 
-Vectors equal bit for bit are one representative with a weight. Recall against brute force is tested.
+Equal vectors are one representative with a weight; keys of representatives are checked to be unique. Recall against
+brute force is tested.
 
 Defined cases: null, zero and empty vectors, and ones with a null or non-finite component, link with nothing, as
 do rows with a null id; vectors of different lengths never link; repeated rows count as vectors of their own; ties
@@ -18,18 +22,24 @@ do not arise; an empty table gives an empty result; extra columns are ignored.
 from __future__ import annotations
 
 import itertools
+import math
+from dataclasses import dataclass
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from memojoin.llm.common import materialise, read
+from memojoin.llm.common import discard, materialise, read
 from memojoin.llm.components import components
 
-TABLES, BLOCKS, WIDTH, COSINE, SEED = 16, 2, 1.75, 0.9, 11
-#: Neighbours tried: pairs of ranks (0 is home) in the two blocks.
-PROBES = ((0, 0), (0, 1), (1, 0), (0, 2), (2, 0), (1, 1))
+COSINE, SEED = 0.9, 11
+#: The share of the links at the threshold itself that the tables are to find.
+RECALL = 0.975
+#: Grids to choose from, and what it costs to post a vector in a cell and to compare a pair that met there.
+GRIDS = tuple((blocks, width) for blocks in (2, 3, 4) for width in (1.5, 1.75, 2.0, 2.25))
+POST_COST, MEET_COST = 1.0, 25.0
 BLOCK_ROWS = 1024
 
 
@@ -62,22 +72,84 @@ def shortest_vectors() -> np.ndarray:
     return np.array(out)
 
 
+def probes(blocks: int) -> tuple[tuple[int, ...], ...]:
+    """Cells tried, as ranks of neighbours by block (0 is home): one or two steps in one block, or one in two blocks."""
+    at = lambda ranks: tuple(ranks.get(b, 0) for b in range(blocks))
+    near = [at({b: r}) for r in (1, 2) for b in range(blocks)]
+    return (at({}), *near, *(at({b: 1, c: 1}) for b, c in itertools.combinations(range(blocks), 2)))
+
+
+@dataclass(frozen=True)
+class Grid:
+    blocks: int
+    width: float
+    tables: int
+
+
+def _ranks(x: np.ndarray, home: np.ndarray, other: np.ndarray) -> np.ndarray:
+    """The rank (0, 1, 2; 3 for further ones) that the cell other has for points x at home."""
+    out = np.full(len(x), 3)
+    step = other - home
+    out[(step == 0).all(1)] = 0
+    close = np.flatnonzero(np.isclose((step * step).sum(1), 2.0))
+    if len(close):
+        gain = (x[close] - home[close]) @ shortest_vectors().T
+        own = ((x[close] - home[close]) * step[close]).sum(1)
+        out[close] = np.minimum(1 + (gain > own[:, None] + 1e-9).sum(1), 3)
+    return out
+
+
+@lru_cache(maxsize=None)
+def meeting_chances(blocks: int, width: float, samples: int = 40_000) -> tuple[float, float]:
+    """The chance that one table brings a pair at the threshold, and a random pair, together."""
+    rng, table = np.random.default_rng(SEED), []
+    for cosine in (COSINE, 0.0):
+        x = rng.standard_normal((samples, 8))
+        y = (cosine * x + math.sqrt(1 - cosine**2) * rng.standard_normal((samples, 8))) / width
+        x = x / width
+        hx, hy = decode_e8(x), decode_e8(y)
+        joint = np.zeros((4, 4))
+        np.add.at(joint, (_ranks(x, hx, hy), _ranks(y, hy, hx)), 1.0 / samples)
+        table.append((joint + joint.T) / 2)
+    tried, out = set(probes(blocks)), []
+    for joint in table:
+        met = 0.0
+        for pairs in itertools.product(itertools.product(range(4), repeat=2), repeat=blocks):
+            if tuple(p[0] for p in pairs) in tried or tuple(p[1] for p in pairs) in tried:
+                met += math.prod(joint[p] for p in pairs)
+        out.append(met)
+    return out[0], out[1]
+
+
+def choose_grid(n: int) -> Grid:
+    """The grid of least expected work for n vectors that finds the share RECALL of the pairs at the threshold."""
+    best = None
+    for blocks, width in GRIDS:
+        close, random = meeting_chances(blocks, width)
+        tables = math.ceil(math.log(1 - RECALL) / math.log(1 - close))
+        work = tables * (len(probes(blocks)) * POST_COST + n * random * MEET_COST)
+        if best is None or work < best[0]:
+            best = work, Grid(blocks, width, tables)
+    return best[1]
+
+
 class Lattice:
     """Cells of unit vectors of one length."""
 
-    def __init__(self, length: int, tables: int = TABLES, width: float = WIDTH, seed: int = SEED):
+    def __init__(self, length: int, grid: Grid, seed: int = SEED):
         rng = np.random.default_rng([seed, length])
-        self.tables, self.near = tables, shortest_vectors()
-        self.project = rng.standard_normal((tables, BLOCKS, length, 8)) / width
-        self.mix = rng.integers(1, 1 << 62, (tables, BLOCKS, 8), dtype=np.int64) | 1
+        self.grid, self.near, self.probes = grid, shortest_vectors(), probes(grid.blocks)
+        self.project = rng.standard_normal((grid.tables, grid.blocks, length, 8)) / grid.width
+        self.mix = rng.integers(1, 1 << 62, (grid.tables, grid.blocks, 8), dtype=np.int64) | 1
 
     def cells(self, unit: np.ndarray) -> np.ndarray:
         """(n, tables, probes): the home cell first."""
-        out = np.empty((len(unit), self.tables, len(PROBES)), np.int64)
-        ranks = 1 + max(max(p) for p in PROBES)
-        for t in range(self.tables):
-            codes = np.empty((BLOCKS, ranks, len(unit)), np.int64)
-            for b in range(BLOCKS):
+        blocks = self.grid.blocks
+        out = np.empty((len(unit), self.grid.tables, len(self.probes)), np.int64)
+        ranks = 1 + max(max(p) for p in self.probes)
+        for t in range(self.grid.tables):
+            codes = np.empty((blocks, ranks, len(unit)), np.int64)
+            for b in range(blocks):
                 x = unit @ self.project[t, b]
                 home = decode_e8(x)
                 gain = (x - home) @ self.near.T
@@ -86,8 +158,11 @@ class Lattice:
                 for r in range(ranks):
                     point = home if r == 0 else home + self.near[best[:, r - 1]]
                     codes[b, r] = (np.rint(2 * point).astype(np.int64) * self.mix[t, b]).sum(1)
-            for k, (p, q) in enumerate(PROBES):
-                z = codes[0, p] * np.int64(0x9E3779B97F4A7C1 | 1) + codes[1, q] + np.int64(t)
+            for k, probe in enumerate(self.probes):
+                z = np.full(len(unit), t, np.int64)
+                for b, r in enumerate(probe):
+                    z = z * np.int64(0x9E3779B97F4A7C1 | 1) + codes[b, r]
+                    z ^= z >> 31
                 out[:, t, k] = (z ^ (z >> 29)) * np.int64(0x3F58476D1CE4E5B9)
         return out
 
@@ -97,12 +172,17 @@ def representatives(vectors: DataFrame) -> tuple[DataFrame, DataFrame]:
     v = F.col("embedding")
     good = F.col("vec_id").isNotNull() & v.isNotNull() & (F.size(v) > 0)
     finite = ~F.exists(v, lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf"))) & F.exists(v, lambda x: x != 0)
-    # two hashes of the whole vector make the key; a zero's sign must not part equal vectors
+    # a zero's sign must not part equal vectors
     clean = F.transform(v, lambda x: x.cast("double") + F.lit(0.0))
-    key = F.when(good & finite, F.xxhash64(clean, F.size(v)))
-    rows = vectors.select("vec_id", key.alias("key"), clean.alias("vector"))
-    reps = rows.where("key IS NOT NULL").groupBy("key").agg(F.min("vec_id").alias("first"), F.count(F.lit(1)).alias("weight"), F.first("vector").alias("vector"))
-    return rows.select("vec_id", "key"), reps
+    for seed in itertools.count():
+        key = F.when(good & finite, F.xxhash64(clean, F.size(v), F.lit(seed)))
+        rows = vectors.select("vec_id", key.alias("key"), clean.alias("vector"))
+        equal = rows.where("key IS NOT NULL").groupBy("key", "vector").agg(F.min("vec_id").alias("first"), F.count(F.lit(1)).alias("weight"))
+        reps = materialise(equal.select("key", "first", "weight", "vector"), "e8-reps")
+        # different vectors with one hash must not be linked: hash anew
+        if not reps.groupBy("key").count().where("count > 1").take(1):
+            return rows.select("vec_id", "key"), reps
+        discard(reps)
 
 
 def _matrix(column) -> np.ndarray:
@@ -111,7 +191,7 @@ def _matrix(column) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(len(column), -1)
 
 
-def cell_rows(reps: DataFrame) -> DataFrame:
+def cell_rows(reps: DataFrame, grid: Grid) -> DataFrame:
     """key, cell, home for every cell that a representative stands in."""
 
     def run(batches):
@@ -123,10 +203,12 @@ def cell_rows(reps: DataFrame) -> DataFrame:
                 sizes = np.array([len(x) for x in lists])
                 for n in np.unique(sizes):
                     pick = np.flatnonzero(sizes == n)
+                    if int(n) not in lattices:
+                        lattices[int(n)] = Lattice(int(n), grid)
                     x = _matrix(lists.take(pa.array(pick)))
                     x = x / np.abs(x).max(1, keepdims=True)
                     x /= np.linalg.norm(x, axis=1, keepdims=True)
-                    cells = lattices.setdefault(int(n), Lattice(int(n))).cells(x) + int(n)
+                    cells = lattices[int(n)].cells(x) + int(n)
                     home = np.zeros(cells.shape, bool)
                     home[:, :, 0] = True
                     wide = cells.shape[1] * cells.shape[2]
@@ -245,14 +327,14 @@ def link_counts(rows: DataFrame) -> DataFrame:
     return dealt.mapInArrow(run, "key long, links long").groupBy("key").agg(F.sum("links").alias("links"))
 
 
-def near_duplicates(vectors: DataFrame) -> DataFrame:
-    """vec_id, n_links, component_id and kept for every row."""
+def near_duplicates(vectors: DataFrame, grid: Grid | None = None) -> DataFrame:
+    """vec_id, n_links, component_id and kept for every row; grid: instead of the chosen one."""
     rows, reps = representatives(vectors)
-    reps = materialise(reps, "e8-reps")
-    cells = materialise(cell_rows(reps), "e8-cells")
+    cells = materialise(cell_rows(reps, grid or choose_grid(reps.count())), "e8-cells")
     shared = cells.groupBy("cell").agg(F.count(F.lit(1)).alias("n"), F.max(F.col("home").cast("int")).alias("h")).where("n > 1 AND h = 1").drop("h")
     members = _blocked(cells, "cell", shared).join(reps.select("key", "vector"), "key")
     links = components(cell_links(members))
+    discard(cells)
     label = links.withColumnRenamed("node", "key")
     names = label.join(reps.select("key", "first"), "key").groupBy("component").agg(F.min("first").alias("component_id"), F.count(F.lit(1)).alias("n"))
     inside = _blocked(label.join(reps, "key"), "component", names.select("component", "n"))
@@ -267,3 +349,15 @@ def near_duplicates(vectors: DataFrame) -> DataFrame:
 
 def op6_e8_dedup(spark, sf_dir: str) -> DataFrame:
     return near_duplicates(read(spark, sf_dir, "embeddings"))
+
+
+#: All pairs, for tables of oracle size; the lattice may miss links near the threshold (RECALL).
+OP6_SQL = f"""
+WITH RECURSIVE v AS (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS x FROM embeddings),
+ok AS (SELECT vec_id, x FROM v WHERE vec_id IS NOT NULL AND len(x) > 0 AND len(list_filter(x, lambda y: y IS NULL OR NOT isfinite(y))) = 0 AND len(list_filter(x, lambda y: y <> 0)) > 0),
+l AS (SELECT a.vec_id AS a, b.vec_id AS b FROM ok a JOIN ok b ON a.vec_id <> b.vec_id AND len(a.x) = len(b.x) WHERE list_cosine_similarity(a.x, b.x) >= {COSINE}),
+r(a, c) AS (SELECT vec_id, vec_id FROM v UNION SELECT r.a, l.b FROM r JOIN l ON l.a = r.c),
+c AS (SELECT a, min(c) AS c FROM r GROUP BY a),
+n AS (SELECT a, count(*) AS n FROM l GROUP BY a)
+SELECT v.vec_id, coalesce(n.n, 0)::BIGINT AS n_links, c.c AS component_id, v.vec_id = c.c AS kept
+FROM v LEFT JOIN c ON c.a = v.vec_id LEFT JOIN n ON n.a = v.vec_id"""

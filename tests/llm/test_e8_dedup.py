@@ -52,3 +52,46 @@ def test_matches_brute_force_and_edges(spark):
 
 def test_empty(spark):
     assert e8.near_duplicates(spark.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
+
+
+def test_scattered_pairs_by_cosine_band(spark):
+    """Recall of lone pairs, which no crowd makes up for; every grid that could be chosen keeps it."""
+    rng = np.random.default_rng(5)
+    bands, each = (0.901, 0.91, 0.92, 0.95), 150
+    a = rng.normal(size=(len(bands) * each, 64))
+    a /= np.linalg.norm(a, axis=1)[:, None]
+    other = rng.normal(size=a.shape)
+    other -= (other * a).sum(1)[:, None] * a
+    other /= np.linalg.norm(other, axis=1)[:, None]
+    cosine = np.repeat(bands, each)[:, None]
+    x = np.concatenate([a, cosine * a + np.sqrt(1 - cosine**2) * other])
+    df = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<double>")
+    for grid in (None, e8.choose_grid(10_000_000)):
+        got = {r["vec_id"]: r["n_links"] for r in e8.near_duplicates(df, grid).collect()}
+        found = np.array([got[k] > 0 for k in range(len(a))]).reshape(len(bands), each).mean(1)
+        assert found[0] >= 0.93 and found[1] >= 0.93 and found[2] >= 0.95 and found[3] >= 0.98, (grid, found)
+
+
+def test_work_for_random_vectors_grows_slower_than_with_all_pairs():
+    met = []
+    for n in (5_000, 50_000, 5_000_000, 500_000_000):
+        g = e8.choose_grid(n)
+        close, random = e8.meeting_chances(g.blocks, g.width)
+        assert 1 - (1 - close) ** g.tables >= e8.RECALL
+        met.append(g.tables * (len(e8.probes(g.blocks)) + n * random * e8.MEET_COST))
+    assert met[1] < 4 * met[0] and met[3] < 12 * met[2]  # work a vector: n grew tenfold, then a hundredfold
+
+
+def test_equal_hashes_of_different_vectors_are_hashed_anew(spark, monkeypatch):
+    df = spark.createDataFrame([(1, [1.0, 0.0]), (2, [0.0, 1.0]), (3, [2.0, 0.0]), (4, [1.0, 0.0])], "vec_id long, embedding array<double>")
+    real, seen = e8.F.xxhash64, []
+
+    def weak(*columns):
+        if len(columns) == 3 and not seen:
+            seen.append(1)
+            return real(e8.F.lit(7)) + e8.F.size(columns[0])
+        return real(*columns)
+
+    monkeypatch.setattr(e8.F, "xxhash64", weak)
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in e8.near_duplicates(df).collect()}
+    assert got == {1: (2, 1), 2: (0, 2), 3: (2, 1), 4: (2, 1)}
