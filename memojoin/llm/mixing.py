@@ -17,12 +17,14 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from memojoin.llm.common import native_words, read
+from memojoin.llm.common import discard, materialise, native_words, read
 
 WEIGHTS = (1, 2, 3)
 MAX_REPEATS = 3
-#: Source totals are planned on the driver; more sources than this raise an error.
-MAX_SOURCES = 1_000_000
+#: Up to so many sources and bytes of their names are planned on the driver and broadcast; more stay a table.
+MAX_SOURCES, MAX_NAME_BYTES = 100_000, 16 << 20
+#: Parts into which each source is cut for the join with a table of sources, so that no task gets a whole one.
+SALTS = 32
 SEED = "mix-1"
 
 
@@ -41,49 +43,88 @@ def share_out(sizes: list[int], weights: list[int], total: int, max_repeats: int
     return targets
 
 
-def source_plan(docs: DataFrame, sized: DataFrame, weights=WEIGHTS, max_repeats=MAX_REPEATS) -> DataFrame:
-    """One row for each source: __source, source_size, target."""
-    spark = docs.sparkSession
-    rows = sized.groupBy("__source").agg(F.sum("size").alias("s")).limit(MAX_SOURCES + 1).collect()
-    if len(rows) > MAX_SOURCES:
-        raise ValueError(f"more than {MAX_SOURCES} sources")
-    rows.sort(key=lambda r: (r[0] is None, r[0] or ""))  # Python orders strings by code point
+SCHEMA = T.StructType([T.StructField("__source", T.StringType()), T.StructField("source_size", T.LongType()), T.StructField("target", T.DoubleType())])
+
+
+def source_plan(sized: DataFrame, weights=WEIGHTS, max_repeats=MAX_REPEATS) -> tuple[DataFrame, bool]:
+    """One row for each source (__source, source_size, target), and whether it is small enough to broadcast."""
+    sums = sized.groupBy("__source").agg(F.sum("size").alias("source_size"))
+    sums = materialise(sums, "mix-sources")
+    n, wide = sums.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("__source")), F.lit(0))).first()
+    if n > MAX_SOURCES or wide > MAX_NAME_BYTES:
+        return _planned_as_table(sums, weights, max_repeats), False
+    rows = sorted(sums.collect(), key=lambda r: (r[0] is None, r[0] or ""))  # Python orders strings by code point
+    discard(sums)
     sizes = [r[1] for r in rows]
     targets = share_out(sizes, [weights[k % len(weights)] for k in range(len(rows))], sum(sizes), max_repeats)
-    schema = T.StructType([T.StructField("__source", T.StringType()), T.StructField("source_size", T.LongType()), T.StructField("target", T.DoubleType())])
-    return spark.createDataFrame([(r[0], s, t) for r, s, t in zip(rows, sizes, targets)], schema)
+    return sized.sparkSession.createDataFrame([(r[0], s, t) for r, s, t in zip(rows, sizes, targets)], SCHEMA), True
+
+
+def _planned_as_table(sums: DataFrame, weights, max_repeats) -> DataFrame:
+    """The same for any number of sources: capped sources are found in rounds, as a level that rises."""
+    ranked = sums.orderBy(F.col("__source").asc_nulls_last()).withColumn("__id", F.monotonically_increasing_id())
+    ranked = materialise(ranked, "mix-ranked")
+    part = F.shiftright("__id", 33)
+    before, offsets = 0, []
+    for p, n in sorted(map(tuple, ranked.groupBy(part).count().collect())):  # a row for each partition
+        offsets.append((p, before))
+        before += n
+    offsets = sums.sparkSession.createDataFrame(offsets, "__p long, __before long")
+    rank = F.col("__before") + F.col("__id").bitwiseAND(F.lit((1 << 33) - 1))
+    weight = F.element_at(F.array(*[F.lit(w) for w in weights]), (F.pmod(rank, F.lit(len(weights))) + 1).cast("int")).cast("decimal(38,0)")
+    size = F.col("source_size").cast("decimal(38,0)")
+    rows = ranked.join(F.broadcast(offsets), part == F.col("__p")).select("__source", "source_size", weight.alias("__w"))
+    rows = materialise(rows, "mix-weighted")
+    total, heavy = rows.agg(F.sum(size), F.sum("__w")).first()
+    left, weight_left = total, heavy
+    while True:
+        capped = F.lit(int(max_repeats)).cast("decimal(38,0)") * size * F.lit(weight_left) <= F.col("__w") * F.lit(left)
+        got = rows.where(capped).agg(F.sum(size), F.sum("__w")).first()
+        now = total - max_repeats * (got[0] or 0), heavy - (got[1] or 0)
+        if now == (left, weight_left) or not now[1]:
+            break
+        left, weight_left = now
+    share = F.col("__w").cast("double") * F.lit(float(left)) / F.lit(float(weight_left))
+    return rows.select("__source", "source_size", F.when(capped, (F.lit(max_repeats) * F.col("source_size")).cast("double")).otherwise(share).alias("target"))
 
 
 def _uniform(key: Column) -> Column:
     return F.conv(F.substring(F.md5(F.concat(F.lit(SEED + "|"), key).cast("binary")), 1, 13), 16, 10).cast("double") / F.lit(float(1 << 52))
 
 
-def _planned(docs: DataFrame, weights, max_repeats) -> DataFrame:
-    """Every row as a struct, __row, so that no column of docs can clash, with size, source_size, target and copies."""
+def _planned(docs: DataFrame, keep: Column, weights, max_repeats) -> DataFrame:
+    """keep as __row (a struct, so that no column of docs can clash), size, source_size, target and copies."""
     size = F.size(native_words(F.col("text"))).cast("long").alias("size")
     sized = docs.select(
-        F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("__row"),
-        F.col("source").alias("__source"),
-        size,
+        keep.alias("__row"), F.col("source").alias("__source"), size,
         _uniform(F.coalesce(F.col("doc_id").cast("string"), F.md5(F.col("text").cast("binary")), F.lit(""))).alias("__u"),
-    )
-    plan = source_plan(docs, docs.select(F.col("source").alias("__source"), size), weights, max_repeats).withColumnRenamed("__source", "__s")
+    )
+    plan, small = source_plan(docs.select(F.col("source").alias("__source"), size), weights, max_repeats)
+    plan = plan.withColumnRenamed("__source", "__s")
+    same = F.col("__source").eqNullSafe(F.col("__s"))
+    if small:
+        joined = sized.join(F.broadcast(plan), same, "inner")
+    else:
+        salted = sized.withColumn("__salt", F.floor(F.col("__u") * SALTS).cast("int"))
+        copies = plan.withColumn("__part", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        joined = salted.join(copies, same & (F.col("__salt") == F.col("__part")), "inner").drop("__salt", "__part")
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
-    joined = sized.join(plan, F.col("__source").eqNullSafe(F.col("__s")), "inner").withColumn("__rate", rate)
+    joined = joined.withColumn("__rate", rate)
     whole = F.floor("__rate")
     copies = whole + F.when(F.col("__u") < F.col("__rate") - whole, 1).otherwise(0)
     return joined.withColumn("copies", copies.cast("long")).drop("__source", "__s", "__u", "__rate")
 
 
 def plan_documents(docs: DataFrame, weights=WEIGHTS, max_repeats=MAX_REPEATS) -> DataFrame:
-    """doc_id with size, source_size, target and copies."""
-    return _planned(docs, weights, max_repeats).select(F.col("__row.doc_id").alias("doc_id"), "size", "source_size", "target", "copies")
+    """doc_id with size, source_size, target and copies; texts are measured where they lie and go nowhere."""
+    return _planned(docs, F.struct("doc_id"), weights, max_repeats).select(F.col("__row.doc_id").alias("doc_id"), "size", "source_size", "target", "copies")
 
 
 def mix(docs: DataFrame, weights=WEIGHTS, max_repeats=MAX_REPEATS) -> DataFrame:
     """The mixed corpus: every row of docs as often as its rate says, with the columns of docs."""
     copies = F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))
-    return _planned(docs, weights, max_repeats).where("copies > 0").select("__row", copies.alias("__copy")).select("__row.*")
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
+    return _planned(docs, row, weights, max_repeats).where("copies > 0").select("__row", copies.alias("__copy")).select("__row.*")
 
 
 def op7_mixing(spark, sf_dir: str) -> DataFrame:
