@@ -138,6 +138,10 @@ def parse(data: bytes) -> dict:
     }
 
 
+#: Fixed value: how a record begins.
+MARK = b"WARC/1."
+
+
 class Bytes:
     """A forward window over a file: keeps only what lies at or behind the position in use."""
 
@@ -147,11 +151,18 @@ class Bytes:
 
     def more(self) -> bool:
         if not self.ended:
-            got = self.f.read(CHUNK)
+            got = self.f.read(max(CHUNK, len(self.data)))  # twice as much each time
             self.ended = not got
             self.data += got
         return not self.ended
 
+    def peek(self, offset: int, n: int) -> bytes:
+        """n bytes from an offset on, without reading what lies before."""
+        self.f.seek(offset)
+        got = self.f.read(n)
+        self.f.seek(self.start + len(self.data))
+        return got
+
     def drop_to(self, offset: int) -> None:
         self.data = self.data[offset - self.start :]
         self.start = offset
@@ -168,7 +179,7 @@ def _member(w: Bytes, at: int) -> tuple[bytes, int]:
         except zlib.error as e:
             raise Damaged(f"member: {str(e)[:60]}") from None
         k = len(w.data) - len(z.unused_data)
-        if out and len(out) == 1 and out[0] and not out[0].startswith(b"WARC/1."[: len(out[0])]):
+        if out and len(out) == 1 and out[0] and not out[0].startswith(MARK[: len(out[0])]):
             raise Damaged("member holds no record")
     return b"".join(out), w.start + k
 
@@ -180,14 +191,17 @@ def _plain(w: Bytes, at: int) -> tuple[bytes, int]:
         if e < 0 and (len(w.data) - k > CHUNK or not w.more()):
             raise Damaged("no header end")
     m = re.search(rb"(?i)\r\ncontent-length: *(\d+)(?=\r\n|$)", w.data[k:e])
-    if not m or not w.data.startswith(b"WARC/1.", k):
+    if not m or not w.data.startswith(MARK, k):
         raise Damaged("no version line or length")
     end = e + len(END) + int(m[1]) + len(END)
-    while len(w.data) < end:
-        if not w.more():
-            raise Damaged("record cut short")
-    if w.data[end - len(END) : end] != END:
+    # a length is believed, and read, only if a record's end stands there, and the file's or another record behind
+    edge = w.peek(w.start + end - len(END), len(END) + len(MARK))
+    if len(edge) < len(END):
+        raise Damaged("record cut short")
+    if not edge.startswith(END) or not MARK.startswith(edge[len(END) :]):
         raise Damaged("block length does not match")
+    while len(w.data) < end and w.more():
+        pass
     return w.data[k:end], w.start + end
 
 
@@ -200,7 +214,7 @@ def salvage_range(f, path: str, start: int, end: int, span: bool = False) -> Ite
     """
     f.seek(0)
     compressed = path.endswith(".gz") or f.read(2) == MAGIC[:2]
-    mark, take = (MAGIC, _member) if compressed else (b"WARC/1.", _plain)
+    mark, take = (MAGIC, _member) if compressed else (MARK, _plain)
     w, at, gap, why = Bytes(f, start), start, None, ""
     searching, first, last = start > 0, None, None
     while True:

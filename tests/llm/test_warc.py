@@ -72,3 +72,22 @@ def test_gaps_across_ranges_are_logged_whole(spark, tmp_path, compressed, step):
     want = [(at[a], at[b] - at[a]) for a, b in ((0, 1), (3, 7), (11, 12), (18, 20))]
     gaps = got.where("kind = 'gap'").collect()
     assert sorted((r["offset"], r["length"]) for r in gaps) == want and all(r["reason"] for r in gaps)
+
+
+def test_a_damaged_length_is_not_read():
+    data, at = make(30, compressed=False)
+    for length in (b"9" * 12, b"7"):
+        start = data.index(b"Content-Length: ", at[3]) + 16
+        bad = data[:start] + length + data[data.index(b"\r\n", start) :]
+        read = []
+
+        class Counted(io.BytesIO):
+            def read(self, n=-1):
+                got = super().read(n)
+                read.append(len(got))
+                return got
+
+        got = list(warc.salvage_range(Counted(bad), "a.warc", 0, len(bad)))
+        assert [r["page_id"] for r in got if r["kind"] == "record"] == [k for k in range(30) if k != 3]
+        assert [r["offset"] for r in got if r["kind"] == "gap"] == [at[3]]
+        assert sum(read) <= 2 * len(bad) + 100 * 30
