@@ -17,6 +17,7 @@ give repeated results; an empty table gives an empty result; extra columns are i
 from __future__ import annotations
 
 import hashlib
+import heapq
 import json
 import unicodedata
 from functools import lru_cache
@@ -30,6 +31,8 @@ from memojoin.llm.common import read, texts_of
 SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 #: Words that a worker remembers; the table is emptied when full.
 REMEMBERED = 300_000
+#: Words of more bytes are merged from a heap, and not remembered.
+SHORT = 200
 #: Unicode's White_Space, as a character class body.
 SPACE = r"\x09-\x0D \x85\xA0  -     　"
 NO_MERGE = 1 << 60
@@ -64,6 +67,8 @@ class WordBpe:
         """The symbols of one word after all merges."""
         text = [self.symbols[b] for b in word.encode("utf-8")]
         text[-1] += self.suffix
+        if len(text) > SHORT:
+            return self._long_parts(text)
         starts = list(range(len(text) + 1))
         piece = lambda k: "".join(text[starts[k] : starts[k + 1]])
 
@@ -83,6 +88,27 @@ class WordBpe:
                 ranks[at - 1] = rank(at - 1)
         return [piece(k) for k in range(len(starts) - 1)]
 
+    def _long_parts(self, text: list[str]) -> list[str]:
+        """The same merges in the same order (lowest rank, then leftmost) from a heap: n log n steps for long words."""
+        ranks, n = self.ranks, len(text)
+        piece: list[str | None] = list(text)
+        before, after = list(range(-1, n - 1)), [*range(1, n), -1]
+        heap = [(r, k, text[k], text[k + 1]) for k in range(n - 1) if (r := ranks.get((text[k], text[k + 1]))) is not None]
+        heapq.heapify(heap)
+        while heap:
+            _, k, a, b = heapq.heappop(heap)
+            j = after[k]
+            if piece[k] != a or j < 0 or piece[j] != b:
+                continue  # one of the two has been merged since
+            piece[k], piece[j] = a + b, None
+            after[k] = after[j]
+            if after[j] >= 0:
+                before[after[j]] = k
+            for x, y in ((before[k], k), (k, after[k])):
+                if x >= 0 and y >= 0 and (r := ranks.get((piece[x], piece[y]))) is not None:
+                    heapq.heappush(heap, (r, x, piece[x], piece[y]))
+        return [p for p in piece if p is not None]
+
     def ids(self, word: str) -> list[int]:
         return [self.vocab[p] for p in self.parts(word)]
 
@@ -107,7 +133,9 @@ class WordBpe:
         if len(self.known) >= REMEMBERED:
             self.known.clear()
         ids = self.ids(word)
-        found = self.known[word] = (len(ids), " ".join(map(str, ids)), self.decode(ids))
+        found = (len(ids), " ".join(map(str, ids)), self.decode(ids))
+        if len(word) <= SHORT:
+            self.known[word] = found
         return found
 
     def digest(self, text: str | None) -> tuple[int, str, str]:
