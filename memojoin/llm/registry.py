@@ -21,4 +21,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_warc": warc.OP3_SQL, "op4_quality_rules": quality_rules.OP4_SQL, "op7_mixing": mixing.OP7_SQL}
+    return {"op1_jaccard_join": jaccard_join.OP1_SQL, "op6_e8_dedup": e8_dedup.OP6_SQL, "op3_warc": warc.OP3_SQL, "op4_quality_rules": quality_rules.OP4_SQL, "op7_mixing": mixing.OP7_SQL}

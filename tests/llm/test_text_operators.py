@@ -7,8 +7,12 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from memojoin.llm import bpe, brown_lm, kn_quality, langid, mixing, quality_rules, toxicity
+from memojoin.llm.common import WordHasher
+from memojoin.llm.packets import unpack
+from tests_brute import PlainKneserNey
 
 ODD = [None, "", " \n\t ", "one", "ÀÉ ß", "a\x0bb\x0cc", "x" * 5000, "word " * 3000, "!!! ### $$$", "\n\n\n"]
 
@@ -19,8 +23,8 @@ def table(spark, texts, **more):
 
 
 def tokenizer():
-    tokenizers = pytest.importorskip("tokenizers")
     import public_tokenizers
+    import tokenizers
 
     return tokenizers.Tokenizer.from_file(public_tokenizers.path(bpe.VOCABULARY))
 
@@ -43,6 +47,20 @@ def test_bpe_equals_the_library(spark):
     assert bpe.digests(df.limit(0), bpe.VOCABULARY).count() == 0
 
 
+def test_bpe_of_long_words_equals_the_library(monkeypatch):
+    lib, own = tokenizer(), bpe.load(bpe.VOCABULARY)
+    rng = random.Random(9)
+    for word in ["x" * 5000, "ab" * 3000, "".join(rng.choices("etaoinshr", k=4000)), "é" * 700]:
+        assert own.encode(word) == lib.encode(word, add_special_tokens=False).ids
+    for _ in range(200):
+        word = "".join(rng.choices("etaoinsh", k=rng.randrange(2, 60)))
+        text = [own.symbols[b] for b in word.encode()]
+        text[-1] += own.suffix
+        assert own._long_parts(text) == own.parts(word)
+    own.digest("y" * 300_000)
+    assert not any(len(w) > bpe.SHORT for w in own.known)
+
+
 def plain_rules(text):
     w = "".join(" " if c in "\t\n\x0b\x0c\r" else c for c in text or "").split(" ")
     w = [x for x in w if x]
@@ -90,6 +108,23 @@ def test_mixing_targets_copies_and_reruns(spark):
     assert mixing.plan_documents(df.limit(0)).count() == 0
 
 
+def test_mixing_plans_many_sources_as_a_table(spark, monkeypatch):
+    rng = random.Random(6)
+    names = [None, "", "ü", "z", *(f"s{k}" for k in range(40))]
+    rows = [(k, "w " * rng.choice([0, 1, 5, 200]) * (len(s or "") % 3), s) for k in range(600) for s in [rng.choice(names)]] + [(None, None, "only null")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    small = sorted(map(str, mixing.plan_documents(df).collect()))
+    monkeypatch.setattr(mixing, "MAX_SOURCES", 3)
+    assert sorted(map(str, mixing.plan_documents(df).collect())) == small
+    assert mixing.plan_documents(df.where("text IS NULL")).collect()[0]["target"] == 0
+
+
+def test_mixing_sends_no_text_and_broadcasts_the_plan(spark):
+    df = spark.createDataFrame([(1, "a b", "s"), (2, "c", "t")], "doc_id long, text string, source string")
+    plan = mixing.plan_documents(df)._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan and "BuildRight" in plan and "SortMergeJoin" not in plan
+
+
 @pytest.mark.parametrize(("sizes", "weights", "total"), [([10, 10, 100], [1, 2, 3], 120), ([0, 5, 5], [1, 2, 3], 10), ([], [], 0), ([7], [1], 7)])
 def test_share_out_keeps_caps_and_total(sizes, weights, total):
     t = mixing.share_out(sizes, weights, total)
@@ -132,40 +167,115 @@ def test_exchange_clustering_raises_likelihood_and_groups_by_context():
     assert len(set(c[:3])) == 1 and len(set(c[3:])) == 1 and c[0] != c[3]
 
 
-def test_class_model_base_scores_equal_brute_force(spark):
+def word_classes(m):
+    out = {}
+    for r in m.words.collect():
+        keys, n, c = unpack(r["data"])
+        out.update(zip(keys.tolist(), zip(n.tolist(), c.tolist())))
+    return out
+
+
+@pytest.mark.parametrize("head", [0, 4, 1000])
+def test_class_model_scores_equal_brute_force(spark, head):
     rng = random.Random(5)
     texts = ODD + [" ".join(rng.choices(["the", "The", "of", "rare%d" % k, "xx", "yy"], k=rng.randrange(40))) for k in range(80)]
-    counts, total = Counter(), 0
-    for k, t in enumerate(texts):
-        if zlib.crc32(str(k).encode()) % 5 != 1:
-            counts.update(brown_lm.ascii_words(t))
-            counts[None] += 1
+    texts += [texts[20], None]
+    docs = table(spark, texts)
+    counts, bigrams = Counter(), Counter()
+    trained = [k for k in range(len(texts)) if zlib.crc32(str(k).encode()) % 5 != 1]
+    hasher = WordHasher(lower=True)
+    key = lambda w: int(hasher.hashes(pa.array([w.decode()]))[0][0] >> np.uint64(8))
+    m = brown_lm.cluster(docs, head_size=head, core=3)
+    s, of = m.scales, {}
+    named = word_classes(m)
+    for k in trained:
+        w = [*brown_lm_words(texts[k]), None]
+        counts.update(w)
+    for w, n in counts.items():
+        if w is not None:
+            assert named[key(w)][0] == n
+            of[w] = named[key(w)][1]
+    assert len(named) == len(of)
+    unknown = Counter(of[w] for w, n in counts.items() if w and n == 1)
+    unknown = min(range(s.classes), key=lambda c: (-unknown[c], c))
+    at = lambda w: "end" if w is None else of.get(w, unknown)
+    for k in trained:
+        c = ["end", *(at(w) for w in brown_lm_words(texts[k])), "end"]
+        bigrams.update(zip(c, c[1:]))
     total, kinds = sum(counts.values()), len(counts)
-    got = {r["doc_id"]: r for r in brown_lm.score(table(spark, texts), head_size=4, assigned=4, core=3).collect()}
+    live = sorted(set(of.values()))
+    prior = {c: 1 + sum(n for (_, b), n in bigrams.items() if b == c) for c in [*live, "end"]}
+    prior = {c: n / sum(prior.values()) for c, n in prior.items()}
+    after = Counter()
+    for (a, _), n in bigrams.items():
+        after[a] += n
+    by = {c: sum(counts[w] + 0.5 for w in of if of[w] == c) for c in live}
+    weight = lambda w: counts[w] / (counts[w] + brown_lm.RELIABLE)
+
+    def step(a, b):
+        p = (bigrams[a, b] + brown_lm.INTERPOLATION * prior[b]) / (after[a] + brown_lm.INTERPOLATION)
+        return p * (1 - 1e-6) if b == "end" else p
+
+    left = {a: 1 - step(a, "end") - sum(weight(w) * step(a, of[w]) * (counts[w] + 0.5) / by[of[w]] for w in of) for a in [*live, "end"]}
+    rest = sum((1 - weight(w)) * (counts[w] + 0.5) for w in of) + 0.5
+
+    def probability(a, w):
+        if w is None:
+            return step(a, "end")
+        told = weight(w) * step(a, of[w]) / by[of[w]] if w in of else 0.0
+        return (counts[w] + 0.5) * (told + left[a] * (1 - weight(w)) / rest)
+
+    for a in [*live, "end"]:
+        assert math.isclose(sum(probability(a, w) for w in [*of, None, b"never seen"]), 1.0, rel_tol=1e-9)
+    got = {r["doc_id"]: r for r in brown_lm.score(docs, head_size=head, core=3).collect()}
+    assert len(got) == len(texts)
     for k, t in enumerate(texts):
-        w = [*brown_lm.ascii_words(t), None]
+        w = [*brown_lm_words(t), None]
         base = sum(math.log10((counts[x] + 0.5) / (total + 0.5 * (kinds + 1))) for x in w)
+        c = ["end", *map(at, w)]
+        model = sum(math.log10(probability(x, y)) for x, y in zip(c, w))
         r = got[k]
+        assert r["held_out"] == (k not in trained)
         assert (r["n_tokens"], r["n_known"], r["train_tokens"]) == (len(w), sum(counts[x] > 0 for x in w), total)
-        assert math.isclose(r["base_score"], base, rel_tol=1e-9, abs_tol=1e-9) and math.isfinite(r["score"])
-    empty = table(spark, ["a b"]).limit(0)
-    assert brown_lm.score(empty).count() == 0
+        assert math.isclose(r["base_score"], base, rel_tol=1e-9, abs_tol=1e-9) and math.isclose(r["score"], model, rel_tol=1e-9, abs_tol=1e-9)
+
+
+def brown_lm_words(text):
+    return text.encode().lower().split() if text else []
+
+
+def test_every_word_gets_a_class_by_its_neighbours(spark):
+    rng = random.Random(8)
+    first, second = [f"det{k}" for k in range(30)], [f"noun{k}" for k in range(60)]
+    texts = [" ".join(w for _ in range(rng.randint(3, 9)) for w in (rng.choice(first), rng.choice(second))) for _ in range(500)]
+    m = brown_lm.cluster(table(spark, texts), head_size=40, core=10)
+    named = word_classes(m)
+    hasher = WordHasher(lower=True)
+    groups = [Counter(named[int(k)][1] for k in hasher.hashes(pa.array(g))[0] >> np.uint64(8)) for g in (first, second)]
+    assert len(named) == 90 and sum(min(groups[0][c], groups[1][c]) for c in groups[0]) <= 5
+
+
+def test_class_model_without_training_or_rows(spark):
+    held = [k for k in range(60) if zlib.crc32(str(k).encode()) % 5 == 1]
+    docs = spark.createDataFrame([(k, "a b") for k in held], "doc_id long, text string")
+    got = brown_lm.score(docs).collect()
+    assert len(got) == len(held)
+    assert all((r["n_tokens"], r["n_known"], r["train_tokens"], r["base_score"]) == (3, 0, 0, 0.0) and math.isfinite(r["score"]) for r in got)
+    assert brown_lm.score(docs.limit(0)).count() == 0
+    nulls = spark.createDataFrame([(None, "a b"), (None, None), (None, "a b")], "doc_id long, text string")
+    assert sorted((r["n_tokens"], r["held_out"]) for r in brown_lm.score(nulls).collect()) == [(1, False), (3, False), (3, False)]
 
 
 def test_kneser_ney_sums_to_one_and_prefers_trusted_text(spark):
-    texts = ["the cat sat on the mat", "the dog sat on the rug", "a cat and a dog sat"] * 4 + ["the bird sang"]
-    m = kn_quality.fit(spark.createDataFrame([(t,) for t in texts], "text string"))
-    for context in ((0, 0), (0, 1), (1, 2), (2, 5), (-1, 3), (-1, -1)):
-        p = sum(10 ** float(m.log10(np.array([*context, c]))[0]) for c in range(1, len(m.words) + 1))
-        unknown = 10 ** float(m.log10(np.array([*context, -1]))[0])
-        assert math.isclose(p + unknown * kn_quality.UNKNOWN_WORDS, 1.0, rel_tol=1e-4)
+    m = PlainKneserNey(["the cat sat on the mat", "the dog sat on the rug", "a cat and a dog sat"] * 4 + ["the bird sang"])
+    for context in (("", ""), ("", b"the"), (b"the", b"cat"), (b"zz", b"sat"), (b"zz", b"zz")):
+        assert math.isclose(sum(m.p(*context, c) for c in m.one) + m.p(*context, b"other") * kn_quality.UNKNOWN_WORDS, 1.0, rel_tol=1e-9)
     docs = table(spark, ["the cat sat on the rug", "zq xv kk", None, ""])
-    got = {r["doc_id"]: r for r in kn_quality.perplexities(docs, m, ["doc_id"]).collect()}
-    assert got[0]["log10_prob"] > got[1]["log10_prob"] and got[2]["n_tokens"] == got[3]["n_tokens"] == 0
-    good = kn_quality.keep_good(docs, spark.createDataFrame([], "doc_id long, quality int, toxic int"))
+    labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    good = kn_quality.keep_good(docs, labels)
     assert good.columns == docs.columns and good.count() == 2
-    none = kn_quality.classify(docs, spark.createDataFrame([], "doc_id long, quality int, toxic int")).collect()
-    assert {r["doc_id"]: r["kept"] for r in none} == {0: True, 1: True, 2: False, 3: False}
+    assert {r["doc_id"]: r["kept"] for r in kn_quality.classify(docs, labels).collect()} == {0: True, 1: True, 2: False, 3: False}
+    assert kn_quality.classify(docs.limit(0), labels).count() == 0
 
 
 def test_levenshtein_search_equals_edit_distance():
@@ -210,20 +320,26 @@ def test_misspelled_short_and_learned_terms_match():
     assert 0 < lexicon.match("tr4sh") < seeds.match("tr4sh")
 
 
-def test_sharded_kneser_ney_counts_all_trusted_texts_and_equals_the_model_in_memory(spark):
+@pytest.mark.parametrize("tokens", [kn_quality.PACKET_TOKENS, 500])
+def test_sharded_kneser_ney_counts_all_trusted_texts_and_equals_plain_python(spark, monkeypatch, tokens):
+    monkeypatch.setattr(kn_quality, "PACKET_TOKENS", tokens)
     rng = random.Random(4)
-    texts = [" ".join(rng.choices(["a", "b", "c", "d", "e"], [5, 4, 3, 2, 1], k=rng.randint(1, 12))) for _ in range(300)]
-    train = spark.createDataFrame([(t,) for t in texts], "text string")
-    docs = table(spark, [*texts[:40], "a zz b", "a zz b", "zz yy", *ODD])
-    m = kn_quality.fit(train)
-    want = {r["doc_id"]: r for r in kn_quality.perplexities(docs, m, ["doc_id", "text"]).collect()}
-    scores = kn_quality.sharded_scores(docs, *kn_quality.value_table(train)).collect()
-    key = {r["doc_id"]: r["k"] for r in docs.selectExpr("doc_id", "xxhash64(text) AS k").collect()}
+    texts = [" ".join(rng.choices([*"abcde", "é"], [5, 4, 3, 2, 1, 1], k=rng.randint(1, 12))) for _ in range(300)]
+    train = spark.createDataFrame([(t,) for t in [*texts, None, " "]], "text string")
+    docs = table(spark, [*texts[:40], "a zz b", "a zz b", "zz yy", *ODD]).repartition(3)
+    plain = PlainKneserNey(texts)
+    values, unknown = kn_quality.value_table(train, 5)
+    assert math.isclose(unknown, math.log10(plain.unknown), rel_tol=1e-9)
+    scores = kn_quality.sharded_scores(docs, values, unknown, 5).collect()
     got = {r["__key"]: r for r in scores}
-    assert len(got) == len(scores) == len({key[d] for d, r in want.items() if r["n_tokens"]})
-    for d, r in want.items():
-        if r["n_tokens"]:
-            assert got[key[d]]["n_tokens"] == r["n_tokens"] and math.isclose(got[key[d]]["log10_prob"], r["log10_prob"], rel_tol=1e-4)
+    want = {r["k"]: r["text"] for r in docs.selectExpr("text", "xxhash64(text) AS k").collect() if (r["text"] or "").encode().split()}
+    assert len(scores) == len(got) and set(got) == set(want), ([want[k] for k in set(want) - set(got)], len(got))
+    for k, t in want.items():
+        assert got[k]["n_tokens"] == len(t.encode().split())
+        assert math.isclose(got[k]["log10_prob"], plain.log10(t), rel_tol=1e-4), t
+
+
+def test_quality_classifier_counts_every_trusted_text(spark):
     # far more trusted texts than a sample would take, each with a word of its own: all are counted
     rows = [(k, " ".join(f"own{k} {c}" for c in "pqrs"[: 1 + k % 4]), "en", 1) for k in range(2000)]
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, quality int")
@@ -231,3 +347,21 @@ def test_sharded_kneser_ney_counts_all_trusted_texts_and_equals_the_model_in_mem
     held = {k for k in got if zlib.crc32(str(k).encode()) % 4 == 2}
     for size in range(4):
         assert max(p for k, p in got.items() if k % 4 == size and k not in held) < min(got[k] for k in held if k % 4 == size)
+
+
+def test_language_and_toxicity_of_empty_null_and_repeated_rows(spark):
+    words = {"en": "the cat and the dog sat on the mat", "xx": "ju zolle mi karra ju benno zo"}
+    rows = [(k, words[lang], lang) for k in range(40) for lang in words for _ in range(2)]
+    docs = spark.createDataFrame([*rows, (None, words["en"], "en"), (None, None, None), (None, "12 !!", "en"), (900, "", "xx")], "doc_id long, text string, lang string")
+    model = langid.train(docs, per_language=20)
+    got = langid.identify(docs, model).collect()
+    assert len(got) == docs.count() and all(0 <= r["score"] <= 1 for r in got)
+    assert [r["lang_pred"] for r in got if r["doc_id"] in (None, 900)].count("und") == 3
+    kept = langid.keep_identified(docs, model, 0.0)
+    assert kept.columns == docs.columns and kept.count() == len(rows) + 1
+    assert langid.train(docs.limit(0)) is None and langid.identify(docs.limit(0), None).count() == 0
+    assert langid.keep_identified(docs.limit(0), None, 0.4).count() == 0
+    labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    scorer = toxicity.fit([], [])
+    assert toxicity.score(docs.limit(0), scorer).count() == 0 and toxicity.score(docs, scorer).count() == docs.count()
+    assert labels.count() == 0
