@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from memojoin.operators import kernel as K
 from memojoin.operators.bagtree import bagtree_count, bagtree_evaluate
-from memojoin.operators.catalog import Catalog
+from memojoin.operators.catalog import Catalog, prereduce
 from memojoin.operators.factorised import FactorisedResult, evaluate_factorised, memo_evaluate
 from memojoin.operators.frontier import memo_count, plain_count, plain_rows
 from memojoin.operators.pairwise import pairwise_count, pairwise_rows
@@ -19,6 +19,14 @@ from memojoin.plans.stats import Stats, collect_stats
 METHODS = ("memo", "plain", "bagtree", "pairwise")
 
 
+def _check(method: str, executor: str, executors: tuple[str, ...]) -> None:
+    """Refuse what would run as something else."""
+    if method not in METHODS or executor not in executors:
+        raise ValueError(f"method {method!r} or executor {executor!r} is not one of {METHODS}, {executors}")
+    if executor != "frontier" and method not in ("memo", "plain"):
+        raise ValueError(f"the {executor} executor runs methods memo and plain")
+
+
 class Bound:
     """A query over the facade's relations."""
 
@@ -33,6 +41,13 @@ class Bound:
     def having(self, comparison: str) -> Bound:
         return Bound(self.owner, self.query.having(comparison))
 
+    def prereduced(self) -> Bound:
+        """The same query over atoms without rows that some other atom rules out."""
+        query, catalog = prereduce(self.query, self.owner.catalog)
+        owner = MemoJoin(self.owner.spark)
+        owner.catalog = catalog
+        return Bound(owner, query)
+
     def stats(self) -> Stats:
         self._stats = self._stats or collect_stats(self.query, self.owner.catalog)
         return self._stats
@@ -46,6 +61,7 @@ class Bound:
     def count(self, method: str = "memo", executor: str = "frontier", count_type: str = "auto", td=None, order=None, policy=None, **options) -> DataFrame:
         """One row, cnt. count_type auto: bigint, and decimal(38,0) where that overflows (which runs the count)."""
         q, c = self.query, self.owner.catalog
+        _check(method, executor, ("frontier", "kernel", "hypercube"))
         if method == "pairwise":
             return pairwise_count(q, c, **options)
         p = self.plan(td, order, policy)
@@ -68,6 +84,9 @@ class Bound:
 
     def evaluate(self, method: str = "memo", executor: str = "frontier", td=None, order=None, **options) -> DataFrame:
         q, c = self.query, self.owner.catalog
+        _check(method, executor, ("frontier", "kernel"))
+        if executor == "kernel" and method == "memo":
+            raise ValueError("the kernel evaluates without a memo: use method plain, or the frontier executor")
         if method == "pairwise":
             return pairwise_rows(q, c, **options)
         p = self.plan(td, order)

@@ -18,9 +18,23 @@ def key(column: Column, kind: T.DataType) -> Column:
     return column
 
 
-def product(columns: list[Column]) -> Column:
-    """The product of counts; multiplication of integers raises on overflow in ANSI mode."""
-    return reduce(lambda a, b: a * b, columns) if columns else F.lit(1).cast("long")
+OVERFLOW = "ARITHMETIC_OVERFLOW: count beyond 64 bits"
+
+
+def _checked(value: Column, there: Column) -> Column:
+    """value, or an error where it is null though there holds: overflow, whatever the session's ANSI mode."""
+    return F.when(there & value.isNull(), F.raise_error(F.lit(OVERFLOW)).cast("bigint")).otherwise(value)
+
+
+def product(columns: list[Column], decimal: bool = False) -> Column:
+    """The product of counts as bigint, which raises on overflow, or as decimal(38,0)."""
+    if not columns:
+        return F.lit(1).cast(count_type(decimal))
+    if decimal:
+        return reduce(lambda a, b: (a * b).cast("decimal(38,0)"), [c.cast("decimal(38,0)") for c in columns])
+    if len(columns) == 1:
+        return columns[0]
+    return _checked(reduce(F.try_multiply, columns), reduce(lambda a, b: a & b, [c.isNotNull() for c in columns]))
 
 
 def count_type(decimal: bool) -> str:
@@ -30,8 +44,8 @@ def count_type(decimal: bool) -> str:
 def sum_product(columns: list[Column], decimal: bool = False) -> Column:
     """Sum over rows of the product of counts, as bigint or, for counts beyond 2**63, decimal(38,0)."""
     if decimal:
-        return F.sum(product([c.cast("decimal(38,0)") for c in columns]).cast("decimal(38,0)")).cast("decimal(38,0)")
-    return F.sum(product(columns))
+        return F.sum(product(columns, True)).cast("decimal(38,0)")
+    return _checked(F.try_sum(product(columns)), F.count(columns[0]) > 0)
 
 
 def cheapest(degrees: list[Column]) -> Column:

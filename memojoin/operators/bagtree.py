@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from memojoin.functions.scalars import count_type, sum_product
 from memojoin.operators.catalog import Catalog, empty_row
+from memojoin.operators.factorised import evaluate_factorised
 from memojoin.operators.frontier import Frontier
 from memojoin.plans.decomp import OrderedTD
 from memojoin.plans.query import ConjunctiveQuery
@@ -76,3 +77,14 @@ def bagtree_evaluate(query: ConjunctiveQuery, catalog: Catalog, td: OrderedTD, r
         shared = sorted(td.adhesion(v))
         out = out.join(nodes[v], shared) if shared else out.crossJoin(nodes[v])
     return out.select(*query.variables)
+
+
+def bag_rows(query: ConjunctiveQuery, catalog: Catalog, td: OrderedTD) -> DataFrame:
+    """node, in_bags, demanded: rows of each whole bag, and of those the ones that earlier nodes and children ask for."""
+    whole, asked = bags(query, catalog, td), evaluate_factorised(query, catalog, td).nodes
+    out = None
+    for v in td.preorder():
+        n = whole[v].agg(F.count(F.lit(1)).alias("in_bags")).crossJoin(asked[v].agg(F.count(F.lit(1)).alias("demanded")))
+        one = n.select(F.lit(v).cast("long").alias("node"), "in_bags", "demanded")
+        out = one if out is None else out.unionByName(one)
+    return out

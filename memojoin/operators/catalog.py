@@ -67,3 +67,33 @@ def atom_tables(query: ConjunctiveQuery, catalog: Catalog) -> list[tuple[tuple[s
 def empty_row(spark) -> DataFrame:
     """One row without a binding: where every search starts."""
     return spark.range(1).select(F.lit(0).cast(T.ByteType()).alias("__start"))
+
+
+def prereduce(query: ConjunctiveQuery, catalog: Catalog) -> tuple[ConjunctiveQuery, Catalog]:
+    """The query over atoms without dangling rows: each keeps the rows whose values every other atom has too.
+
+    For each variable, the values that all its atoms share are intersected first, so an atom is read once and meets
+    one list of values for each of its variables.
+    """
+    tables = atom_tables(query, catalog)
+    shared = {}
+    for x in query.variables:
+        lists = [df.select(x).distinct() for v, df in tables if x in v]
+        if len(lists) > 1:
+            keep = lists[0]
+            for other in lists[1:]:
+                keep = keep.join(other, x, "left_semi")
+            shared[x] = keep
+    reduced, atoms = Catalog(), []
+    for k, (variables, df) in enumerate(tables):
+        if not variables:
+            atoms.append(query.atoms[k])
+            reduced.bind(query.atoms[k].relation, catalog[query.atoms[k].relation])
+            continue
+        for x in variables:
+            if x in shared:
+                df = df.join(shared[x], x, "left_semi")
+        name = f"__atom{k}"
+        reduced.bind(name, df.select(*variables))
+        atoms.append(Atom(name, variables))
+    return ConjunctiveQuery(atoms, query.selections, query.comparisons), reduced

@@ -10,7 +10,8 @@ from pyspark.sql import functions as F
 from memojoin.functions.scalars import sum_product
 from memojoin.operators.catalog import Catalog, empty_row
 from memojoin.operators.frontier import _options, check_plan
-from memojoin.plans.decomp import OrderedTD
+from memojoin.operators.policy import CachePolicy
+from memojoin.plans.decomp import OrderedTD, is_strongly_compatible
 from memojoin.plans.query import ConjunctiveQuery
 
 
@@ -69,12 +70,17 @@ class FactorisedResult:
         return up(0)
 
 
-def evaluate_factorised(query: ConjunctiveQuery, catalog: Catalog, td: OrderedTD, order=None, proposer: str = "static") -> FactorisedResult:
+def evaluate_factorised(query: ConjunctiveQuery, catalog: Catalog, td: OrderedTD, order=None, proposer: str = "static", policy: CachePolicy | None = None) -> FactorisedResult:
     """Memoised evaluation: each node is solved once for the distinct keys that the nodes before it demand.
 
     A child's survivors prune its parent before the next sibling is demanded; a last pass from the root down takes
-    out what later siblings have made useless.
+    out what later siblings have made useless. A node that the policy neither caches nor has below a cached one keeps
+    no table of its own: it is part of its parent.
     """
+    if policy:
+        policy.check_frontier()
+        td = policy.pruned(td)
+        order = order if order is None or is_strongly_compatible(td, order) else None
     order = check_plan(query, td, order)
     f = _options(query, catalog, order, proposer, False)
     nodes: dict[int, DataFrame] = {}

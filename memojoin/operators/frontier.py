@@ -134,19 +134,23 @@ def check_plan(query: ConjunctiveQuery, td: OrderedTD, order) -> tuple[str, ...]
 
 
 def memo_count(query: ConjunctiveQuery, catalog: Catalog, td: OrderedTD, order=None, policy: CachePolicy | None = None, proposer: str = "static", decimal: bool = False, observe: Callable | None = None) -> DataFrame:
-    """One row: cnt. observe(node, frontier, adhesion) sees the frontier that demands each node, before reduction."""
+    """One row: cnt. observe(node, frontier, adhesion) sees the frontier that demands each node, before reduction.
+
+    On the way from the root along last children, a key's demand carries how many bindings ask for it, so each
+    frontier is read once: equal keys are added up instead of being looked up. Counts of the other children come
+    back to their parent's rows by a join, and so do those below them.
+    """
     order, policy = check_plan(query, td, order), policy or CachePolicy.always()
+    policy.check_frontier()
     f = _options(query, catalog, order, proposer, decimal)
 
     def owned(v):
         return [x for x in order if td.owner(x) == v]
 
-    def solve(v: int, demand: DataFrame, keys: list[str]) -> DataFrame:
-        """keys and cnt for every row of demand that has an extension (keys name the columns that come back)."""
-        bound = sorted(td.adhesion(v))
-        rows = f.grow(demand, bound, owned(v))
-        counts = []
-        for c in td.children(v):
+    def counted(rows, children):
+        """rows with the counts of these children, and the names of their columns."""
+        names = []
+        for c in children:
             shared, name = sorted(td.adhesion(c)), f"__c{c}"
             if observe:
                 observe(c, rows, shared)
@@ -155,12 +159,38 @@ def memo_count(query: ConjunctiveQuery, catalog: Catalog, td: OrderedTD, order=N
                 rows = rows.crossJoin(message.withColumnRenamed("cnt", name))
             else:
                 rows = _recall(f, td, policy, c, rows, shared, name, solve)
-            counts.append(F.col(name))
-        total = sum_product(counts, decimal) if counts else F.count(F.lit(1)).cast(count_type(decimal))
+            names.append(name)
+        return rows, names
+
+    def solve(v: int, demand: DataFrame, keys: list[str]) -> DataFrame:
+        """keys and cnt for every row of demand that has an extension (keys name the columns that come back)."""
+        rows, names = counted(f.grow(demand, sorted(td.adhesion(v)), owned(v)), td.children(v))
+        total = sum_product([F.col(n) for n in names], decimal) if names else F.count(F.lit(1)).cast(count_type(decimal))
         return (rows.groupBy(*keys) if keys else rows.groupBy()).agg(total.alias("cnt"))
 
-    out = solve(0, f.constants_hold(empty_row(f.spark)), [])
-    return out.select(F.coalesce("cnt", F.lit(0)).cast(count_type(decimal)).alias("cnt"))
+    def follow(v: int, demand: DataFrame) -> DataFrame:
+        """The one-row count below a demand whose rows stand for __times bindings each."""
+        children = td.children(v)
+        rows, names = counted(f.grow(demand, sorted(td.adhesion(v)), owned(v)), children[:-1])
+        times = [F.col("__times"), *(F.col(n) for n in names)]
+        if not children:
+            return rows.groupBy().agg(sum_product(times, decimal).alias("cnt"))
+        c = children[-1]
+        shared = sorted(td.adhesion(c))
+        if observe:
+            observe(c, rows, shared)
+        rows = rows.select(*[x for x in rows.columns if not x.startswith("__")], product(times, decimal).alias("__times"))
+        add = lambda part: (part.groupBy(*shared) if shared else part.groupBy()).agg(sum_product([F.col("__times")], decimal).alias("__times")).where("__times IS NOT NULL")
+        narrow = lambda part: part.select(*shared, "__times")
+        if not policy.caches(c, shared):
+            return follow(c, narrow(rows))
+        admitted = policy.admitted_rows(f, rows, shared, c)
+        if admitted is None:
+            return follow(c, add(rows))
+        return follow(c, add(admitted[0]).unionByName(narrow(admitted[1])))
+
+    start = f.constants_hold(empty_row(f.spark)).withColumn("__times", F.lit(1).cast(count_type(decimal)))
+    return follow(0, start).select(F.coalesce("cnt", F.lit(0)).cast(count_type(decimal)).alias("cnt"))
 
 
 def _recall(f: Frontier, td, policy, c, rows, shared, name, solve) -> DataFrame:
@@ -170,11 +200,11 @@ def _recall(f: Frontier, td, policy, c, rows, shared, name, solve) -> DataFrame:
     def direct(part):
         # bindings are distinct, so a row's own variables name it and no row numbers are needed
         names = [x for x in part.columns if not x.startswith("__")]
-        return part.join(solve(c, part.select(*names), names).withColumnRenamed("cnt", name), names)
+        return part.join(solve(c, part.select(*names).distinct(), names).withColumnRenamed("cnt", name), names)
 
     if not policy.caches(c, shared):
         return direct(rows)
-    admitted = policy.admitted_rows(f, rows, shared)
+    admitted = policy.admitted_rows(f, rows, shared, c)
     if admitted is None:
         return memo(rows)
     yes, no = admitted

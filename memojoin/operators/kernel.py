@@ -25,8 +25,8 @@ from memojoin.plans.decomp import OrderedTD
 from memojoin.plans.query import ConjunctiveQuery
 
 BLOCK_ROWS = 1 << 16
-#: Relations of so many rows in total at most are sent to every task.
-BROADCAST_ROWS = 5_000_000
+#: Relations of so many rows, and so many bytes, in total at most are sent to every task.
+BROADCAST_ROWS, BROADCAST_BYTES = 5_000_000, 256 << 20
 OUT = "kind string, name string, value decimal(38,0)"
 
 
@@ -81,6 +81,10 @@ class Kernel:
                 most = np.maximum(most, n)
         return lambda c, most=most: most[c]
 
+    def _weights(self, names: list[str], keys: np.ndarray) -> list[int]:
+        """The support of each key: that of its rarest value."""
+        return np.min([self.support[x](keys[:, j]) for j, x in enumerate(names)], axis=0).tolist() if names else [0] * len(keys)
+
     def start(self) -> Block:
         return Block({}, {a: np.zeros(1, np.int64) for a in range(len(self.tries))}, 1)
 
@@ -173,15 +177,18 @@ class Kernel:
             got = [self.memo.get((c, *k)) for k in keys.tolist()]
             self.counters["memo_lookups"] += len(at)
             missing = [k for k, g in enumerate(got) if g is None]
-            if self.memo.limit is not None and self.policy.replacement == "none":
-                missing = missing[: max(0, self.memo.limit - len(self.memo.entries))]
+            found, weight = len(got) - len(missing), {}
+            if self.support and missing:
+                weight = dict(zip(missing, self._weights(names, keys[missing])))
+            room = self.memo.shareable(found)
+            if room is not None and len(missing) > room:  # what no entry is free for is solved row by row
+                missing = sorted(missing, key=lambda k: (-weight.get(k, 0), first[k]))[:room]
             values = np.array([-1 if g is None else g for g in got], np.int64)
             if missing:
+                self.memo.note(found + len(missing))
                 values[missing] = self.solve(c, rows.take(at[first[missing]]))
                 for k in missing:
-                    key = keys[k].tolist()
-                    weight = min((int(self.support[x](np.array([y]))[0]) for x, y in zip(names, key)), default=0) if self.support else 0
-                    self.counters["memo_stores"] += self.memo.put((c, *key), int(values[k]), weight)
+                    self.counters["memo_stores"] += self.memo.put((c, *keys[k].tolist()), int(values[k]), weight.get(k, 0))
             out[at] = values[back]
             unsolved = at[values[back] < 0]  # admitted, but the memo is full: row by row, as without a memo
             hits = len(at) - len(unsolved) - len(missing)
@@ -225,8 +232,8 @@ class Numbers:
 
 
 def _gather(query, catalog, order, most_rows):
-    """The atoms' rows on the driver, after their number has been checked."""
-    tables = []
+    """The atoms' rows on the driver, after their number and bytes have been checked."""
+    tables, held = [], 0
     for variables, df in atom_tables(query, catalog):
         if not variables:
             if not df.take(1):
@@ -235,6 +242,10 @@ def _gather(query, catalog, order, most_rows):
         n, left = df.limit(most_rows + 1).count(), most_rows - sum(t.num_rows for _, t in tables)
         if n > left:
             raise ValueError(f"relations of more than {most_rows} rows do not fit every task; use the hypercube or the frontier executor")
+        wide = sum((F.octet_length(x) if df.schema[x].dataType.simpleString() == "string" else F.lit(8) for x in variables), F.lit(0))
+        held += df.agg(F.coalesce(F.sum(wide.cast("long")), F.lit(0))).first()[0]
+        if held > BROADCAST_BYTES:
+            raise ValueError(f"relations of more than {BROADCAST_BYTES} bytes do not fit every task; use the hypercube or the frontier executor")
         tables.append((_arranged(variables, order), df.toArrow()))
     return tables
 

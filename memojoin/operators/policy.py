@@ -6,12 +6,16 @@ from collections.abc import Callable
 from dataclasses import dataclass, replace
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import functions as F
 
 
 @dataclass(frozen=True)
 class CachePolicy:
-    """Admission holds for both executors; capacity, replacement and resizing are the kernel's, per task."""
+    """Admission holds for both executors; capacity, replacement and resizing are the kernel's, per task.
+
+    The frontier executor's memo is a table that spills like any shuffle: it refuses bounds instead of ignoring them.
+    """
 
     admit: str = "always"  # always, never, support, custom
     tau: int = 0
@@ -37,7 +41,7 @@ class CachePolicy:
 
     @classmethod
     def custom(cls, rule: Callable) -> CachePolicy:
-        """rule(node, key columns as arrays) gives a mask; kernel only."""
+        """rule(node, key columns as arrays) gives a mask; the frontier runs it over Arrow batches."""
         return cls("custom", rule=rule)
 
     def capacity(self, entries: int) -> CachePolicy:
@@ -61,9 +65,36 @@ class CachePolicy:
     def caches(self, node: int, shared) -> bool:
         return self.admit != "never" and (self.only_nodes is None or node in self.only_nodes) and (self.most_columns is None or len(shared) <= self.most_columns)
 
-    def admitted_rows(self, frontier, rows, shared):
+    def needs_intermediate(self, td) -> set[int]:
+        """The nodes whose intermediate results a run keeps: those with a memo, and all below one."""
+        kept: set[int] = set()
+        for v in td.preorder():
+            if v and (td.parents[v] in kept or self.caches(v, sorted(td.adhesion(v)))):
+                kept.add(v)
+        return kept
+
+    def pruned(self, td):
+        """The decomposition without nodes that keep nothing: each is joined with its parent."""
+        while True:
+            kept = self.needs_intermediate(td)
+            gone = [v for v in td.preorder() if v and v not in kept]
+            if not gone:
+                return td
+            if self.only_nodes is not None:
+                raise ValueError("nodes are chosen by number: prune the decomposition itself with merge()")
+            td = td.merge(gone[-1])
+
+    def check_frontier(self) -> None:
+        if self.entries is not None or self.replacement != "none" or self.resize is not None:
+            raise ValueError("capacity, replacement and resizing bound a task's memo: use the kernel executor")
+
+    def admitted_rows(self, frontier, rows, shared, node: int = -1):
         """None if all rows are admitted, else (admitted, others)."""
-        if self.admit != "support":
+        if self.admit == "custom" and shared:
+            ask = F.pandas_udf(lambda *keys: pd.Series(np.asarray(self.rule(node, [k.to_numpy() for k in keys]), bool)), "boolean")
+            marked = rows.withColumn("__admit", ask(*[F.col(x) for x in shared]))
+            return marked.where("__admit").drop("__admit"), marked.where("NOT __admit").drop("__admit")
+        if self.admit != "support" or not shared:
             return None
         for x in shared:
             counts = None
@@ -109,6 +140,19 @@ class Memo:
     def room(self) -> bool:
         return self.limit is None or self.limit > 0
 
+    def shareable(self, held: int) -> int | None:
+        """How many results a block may share beyond those that it found here; None: any number.
+
+        Without replacement as many as still fit; otherwise what is found stays and the rest makes room.
+        """
+        if self.limit is None:
+            return None
+        return max(0, self.limit - (len(self.entries) if self.policy.replacement == "none" else held))
+
+    def note(self, held: int) -> None:
+        """Results that a block shares count as entries."""
+        self.peak = max(self.peak, held)
+
     def get(self, key):
         got = self.entries.get(key)
         if got is not None and self.policy.replacement == "lru":

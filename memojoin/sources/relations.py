@@ -16,20 +16,34 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def g_flat(spark, d) -> DataFrame:
-    """A user's purchase and the next user's, in time: small and balanced."""
-    e = load(spark, d, "events").where("event_type = 'purchase'").select("ts", "event_id", "user_id")
-    w = Window.orderBy("ts", "event_id")
-    return e.select(F.col("user_id").alias("s"), F.lead("user_id").over(w).alias("t")).dropna().distinct()
+    """A user's purchase and the next user's, in time: small and balanced.
+
+    Rows are ordered within each hour; the last of an hour is followed by the first of the next hour that has some,
+    so that no task orders the whole table.
+    """
+    e = load(spark, d, "events").where("event_type = 'purchase'").select("ts", "event_id", "user_id", F.date_trunc("hour", "ts").alias("hour"))
+    own = Window.partitionBy("hour").orderBy("ts", "event_id")
+    follow = e.select("hour", F.col("user_id").alias("s"), F.lead(F.struct("user_id")).over(own).alias("next"))
+    firsts = e.groupBy("hour").agg(F.min(F.struct("ts", "event_id", "user_id")).alias("f"))  # a row for each hour
+    after = firsts.select("hour", F.lead(F.struct("f.user_id")).over(Window.orderBy("hour")).alias("first"))
+    return follow.join(after, "hour").select("s", F.coalesce("next", "first").getField("user_id").alias("t")).dropna().distinct()
 
 
 def _lines(spark, d, where: str) -> DataFrame:
     return load(spark, d, "lineitem").where(where)
 
 
+def _side(spark, d, table: str, share: int, least: int) -> int:
+    """How many numbers keys are mapped onto: a share of the table's rows; cubes of it stay within 64 bits."""
+    return min(max(load(spark, d, table).count() // share, least), 1_000_000)
+
+
 def g_skew(spark, d, power: int = 3) -> DataFrame:
-    """Part and order of some returned lines, both crowded towards small numbers by an integer power."""
+    """Part and order of some returned lines, both crowded towards small numbers by an integer power; the range of the
+    numbers grows with the table of parts."""
+    n = _side(spark, d, "part", 10, 200)
     x = _lines(spark, d, "l_returnflag = 'R' AND l_linestatus = 'F' AND l_quantity <= 10").select("l_partkey", "l_orderkey")
-    return x.select(S.skew_map(F.col("l_partkey"), 200, power).alias("s"), S.skew_map(F.col("l_orderkey"), 200, power).alias("t")).distinct()
+    return x.select(S.skew_map(F.col("l_partkey"), n, power).alias("s"), S.skew_map(F.col("l_orderkey"), n, power).alias("t")).distinct()
 
 
 def g_clustered(spark, d) -> DataFrame:
@@ -55,7 +69,7 @@ def g_words(spark, d) -> DataFrame:
 def _cast(spark, d, status: str) -> DataFrame:
     lines = _lines(spark, d, f"l_returnflag = 'R' AND l_linestatus = '{status}'").select("l_orderkey", "l_partkey")
     orders = load(spark, d, "orders").select(F.col("o_orderkey").alias("l_orderkey"), "o_custkey")
-    return lines.join(orders, "l_orderkey").select(S.skew_map(F.col("o_custkey"), 300, 3).alias("p"), F.col("l_partkey").alias("m")).distinct()
+    return lines.join(orders, "l_orderkey").select(S.skew_map(F.col("o_custkey"), _side(spark, d, "customer", 5, 300), 3).alias("p"), F.col("l_partkey").alias("m")).distinct()
 
 
 def cast_a(spark, d) -> DataFrame:
@@ -110,12 +124,12 @@ SQL = {
 
 
 def skew_sql(power: int) -> str:
-    f = lambda c: f"(({c} % 200) ** {power})::BIGINT // {200 ** (power - 1)}" if power > 1 else f"{c} % 200"
-    return f"SELECT DISTINCT {f('l_partkey')} AS s, {f('l_orderkey')} AS t FROM lineitem WHERE l_returnflag = 'R' AND l_linestatus = 'F' AND l_quantity <= 10"
+    f = lambda c: f"(({c} % n) ** {power})::BIGINT // (n ** {power - 1})::BIGINT"
+    return f"SELECT DISTINCT {f('l_partkey')} AS s, {f('l_orderkey')} AS t FROM lineitem, (SELECT least(greatest(count(*) // 10, 200), 1000000) AS n FROM part) WHERE l_returnflag = 'R' AND l_linestatus = 'F' AND l_quantity <= 10"
 
 
 def cast_sql(status: str) -> str:
-    return f"SELECT DISTINCT ((o_custkey % 300) ** 3)::BIGINT // 90000 AS p, l_partkey AS m FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE l_returnflag = 'R' AND l_linestatus = '{status}'"
+    return f"SELECT DISTINCT ((o_custkey % n) ** 3)::BIGINT // (n * n) AS p, l_partkey AS m FROM lineitem JOIN orders ON l_orderkey = o_orderkey, (SELECT least(greatest(count(*) // 5, 300), 1000000) AS n FROM customer) WHERE l_returnflag = 'R' AND l_linestatus = '{status}'"
 
 
 SQL |= {"g_skew": skew_sql(3), "cast_a": cast_sql("O"), "cast_b": cast_sql("F")}

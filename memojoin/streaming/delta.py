@@ -40,10 +40,8 @@ class DeltaCounter:
         if batch_id in done:
             return done[batch_id]
         schema = batch.schema
-        old = None
-        for b in sorted(done):
-            one = self._rows(b, schema)
-            old = one if old is None else old.unionByName(one)
+        # one scan over all folders, whatever the number of past batches
+        old = self.spark.read.schema(schema).parquet(*[f"{self.folder}/edges/batch={b}" for b in sorted(done)]) if done else None
         fresh = batch.dropna().distinct()
         fresh = fresh.join(old, batch.columns, "left_anti") if old is not None else fresh
         fresh.write.mode("overwrite").parquet(f"{self.folder}/edges/batch={batch_id}")

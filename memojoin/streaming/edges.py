@@ -43,3 +43,8 @@ def transitions(events: DataFrame, key: str, node: str, delay: str = "1 hour") -
     are not to be had there); within a batch rows go by time."""
     rows = _timed(events).select(F.col(key).cast("string").alias("k"), F.col(node).cast("long").alias("node"), "ts").dropna()
     return rows.withWatermark("ts", delay).groupBy("k").applyInPandasWithState(_last, EDGE, "last long", "append", "NoTimeout")
+
+
+def late_rows(query) -> int:
+    """Rows that a running or ended streaming query has dropped as later than its watermark, over recent batches."""
+    return sum(int(op.get("numRowsDroppedByWatermark", 0)) for p in query.recentProgress for op in p["stateOperators"])

@@ -244,3 +244,75 @@ def test_no_cartesian_products_and_pruned_scans(spark, sf):
     assert "CartesianProduct" not in plan
     scan = R.g_skew(spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "EqualTo(l_returnflag,R)" in scan and "l_extendedprice" not in scan
+
+
+def test_accesses_fall_step_by_step_with_capacity():
+    rng = random.Random(3)
+    rows = sorted({(min(rng.randrange(40), rng.randrange(40)), min(rng.randrange(40), rng.randrange(40))) for _ in range(500)})
+    query, td = W.cycle(5), W.cycle_td(5)
+    order = default_order(td)
+    atoms = [(K._arranged(a.variables, order), [np.array([r[a.terms.index(x)] for r in rows]) for x in K._arranged(a.variables, order)]) for a in query.atoms]
+
+    def run(policy):
+        k = K.Kernel([(v, list(c)) for v, c in atoms], order, td, policy, 40)
+        n, m = k.count(), k.metrics()
+        return n, m["accesses"] - m.get("memo_lookups", 0) - m.get("memo_stores", 0), m["entries_peak"]
+
+    want, plain, _ = run(CachePolicy.never())
+    for replacement in ("none", "fifo", "lru", "support"):
+        work = []
+        for capacity in (0, 10, 100, 400, 4000):
+            n, accesses, peak = run(CachePolicy.always().capacity(capacity).evict(replacement))
+            assert n == want and peak <= capacity
+            work.append(accesses)
+        n, least, _ = run(CachePolicy.always().evict(replacement))
+        assert work[0] == plain and all(a > b for a, b in zip(work[:-1], work[1:])), (replacement, work)
+        assert n == want and work[-1] >= least and plain > 3 * least
+
+
+def test_frontier_runs_own_rules_and_refuses_bounds(spark):
+    rows = sorted(set(tables(5, 2, 7, 30)))
+    c, q, td = Catalog({"E": frame(spark, rows)}), W.cycle(4), W.cycle_td(4)
+    want = len(brute(q, {"E": rows}))
+    seen = []
+
+    def even(node, columns):
+        seen.append(node)
+        return columns[0] % 2 == 0
+
+    assert memo_count(q, c, td, policy=CachePolicy.custom(even)).first()["cnt"] == want
+    for policy in (CachePolicy.always().capacity(5), CachePolicy.always().evict("lru"), CachePolicy.always().dynamic(lambda s, n: 3)):
+        with pytest.raises(ValueError):
+            memo_count(q, c, td, policy=policy)
+    m = MemoJoin(spark).relation("E", frame(spark, rows)).query(q)
+    for method, executor in (("bagtree", "kernel"), ("pairwise", "hypercube"), ("memo", "none"), ("other", "frontier")):
+        with pytest.raises(ValueError):
+            m.count(method, executor, td=td)
+    with pytest.raises(ValueError):
+        m.evaluate("memo", "kernel", td=td)
+
+
+def test_branching_decompositions_carry_demand_along_the_last_child(spark):
+    rows = sorted(set(tables(8, 2, 6, 25)))
+    c = Catalog({"E": frame(spark, rows)})
+    q = parse_cq("E(a,b), E(b,c), E(b,d), E(d,e), E(d,f)")
+    td = OrderedTD.from_nested(({"a", "b"}, [({"b", "c"}, []), ({"b", "d"}, [({"d", "e"}, []), ({"d", "f"}, [])])]))
+    want = len(brute(q, {"E": rows}))
+    for policy in (None, CachePolicy.never(), CachePolicy.support(4), CachePolicy.always().nodes([2])):
+        assert memo_count(q, c, td, policy=policy).first()["cnt"] == want
+    plan = memo_count(W.path(7), c, W.path_td(7))._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("Join ") <= 12  # a join and a check for each of the six atoms: no frontier is read twice
+
+
+def test_counts_raise_on_overflow_without_ansi(spark):
+    full = [(a, b) for a in range(16) for b in range(16)]
+    c = Catalog({"E": frame(spark, full)})
+    before = spark.conf.get("spark.sql.ansi.enabled")
+    spark.conf.set("spark.sql.ansi.enabled", "false")
+    try:
+        for run in (memo_count, bagtree_count):
+            with pytest.raises(Exception, match="ARITHMETIC_OVERFLOW"):
+                run(W.path(17), c, W.path_td(17)).collect()
+        assert memo_count(W.path(15), c, W.path_td(15)).first()["cnt"] == 16**15
+    finally:
+        spark.conf.set("spark.sql.ansi.enabled", before)
