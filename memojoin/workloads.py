@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 
 from memojoin.functions.measures import hit_account, skew_profile
 from memojoin.operators import kernel as K
-from memojoin.operators.bagtree import bagtree_count, bagtree_evaluate
-from memojoin.operators.catalog import Catalog
+from memojoin.operators.bagtree import bag_rows, bagtree_count, bagtree_evaluate
+from memojoin.operators.catalog import Catalog, prereduce
 from memojoin.operators.factorised import evaluate_factorised, memo_evaluate
 from memojoin.operators.frontier import memo_count, plain_count, plain_rows
 from memojoin.operators.pairwise import pairwise_count, pairwise_rows
@@ -217,6 +217,37 @@ def _union(frames: list[DataFrame]) -> DataFrame:
     return out
 
 
+def evaluated_structured(name: str, graph: str, method: str):
+    query, td = structured(RANDOM[name])
+    return evaluated(query, edges(graph), td, method), rows_sql(query, {"E": R.SQL[graph]}, EDGE)
+
+
+def narrowest(query) -> OrderedTD:
+    """The decomposition of least width, as a planner that knows nothing of memos chooses it."""
+    return min(enumerate_tds(query, len(query.variables)), key=lambda t: (t.width(), cost.width(t, query, "fractional"), len(t), str(t.canonical())))
+
+
+def sweep_work(query, catalog, td, capacities):
+    """replacement, capacity (-1: unbounded), accesses and the entries held, all in one task."""
+
+    def run(spark, d):
+        c, out = catalog(spark, d), []
+        for replacement in ("none", "fifo", "lru", "support"):
+            for n in capacities:
+                policy = CachePolicy.always().evict(replacement)
+                got = K.kernel_metrics(query, c, td, policy=policy if n < 0 else policy.capacity(n), parts=1)
+                value = lambda name: F.max(F.when(F.col("name") == name, F.col("total"))).alias(name)
+                out.append(got.agg(value("cnt"), value("accesses"), value("entries_peak")).select(F.lit(replacement).alias("replacement"), F.lit(n).cast("long").alias("capacity"), "cnt", "accesses", "entries_peak"))
+        return _union(out)
+
+    return run
+
+
+def reduced(query, catalog, td):
+    """The memoised count over atoms without dangling rows."""
+    return lambda spark, d: memo_count(*prereduce(query, catalog(spark, d)), td)
+
+
 def sweep(query, catalog, td, capacities, replacement="lru"):
     """capacity (-1: unbounded) and cnt, which no capacity may change."""
 
@@ -249,8 +280,9 @@ def td_listing(spark, d) -> DataFrame:
 
 
 def td_counts(spark, d) -> DataFrame:
-    """shape, decompositions found with adhesions of two at most."""
-    rows = [(f"cycle{k}", sum(1 for _ in enumerate_tds(cycle(k)))) for k in (3, 4, 5, 6)] + [("clique4", sum(1 for _ in enumerate_tds(clique(4))))]
+    """shape, decompositions with adhesions of two at most, all of them."""
+    every = lambda q: sum(1 for _ in enumerate_tds(q, per_call=None, limit=None))
+    rows = [(f"cycle{k}", every(cycle(k))) for k in (3, 4, 5, 6)] + [("clique4", every(clique(4)))]
     return spark.createDataFrame(rows, "shape string, decompositions long")
 
 
@@ -355,13 +387,37 @@ def _registry() -> tuple[dict, dict]:
     add("cycle5_g_clustered_count_memo", counted(cycle(5), edges("g_clustered"), cycle_td(5), "memo"), elimination_sql(cycle(5), on("g_clustered"), EDGE))
     for name, text in RANDOM.items():
         query, td = structured(text)
-        add(f"{name}_count", counted(query, skew, td, "memo"), elimination_sql(query, on("g_skew"), EDGE))
+        n, few = elimination_sql(query, on("g_skew"), EDGE), elimination_sql(query, on("g_flat"), EDGE)
+        add(f"{name}_count", counted(query, skew, td, "memo"), n)
+        add(f"{name}_count_bagtree", counted(query, skew, td, "bagtree"), n)
+        for m in ("memo", "plain", "bagtree"):
+            add(f"{name}_flat_count_{m}", counted(query, flat, td, m), few)
+            if name.startswith("rand5"):
+                run, sql = evaluated_structured(name, "g_flat", m)
+                add(f"{name}_flat_eval_{m}", run, sql)
+    for g in ("g_flat", "g_clustered", "g_parts"):
+        query, td = structured(RANDOM["rand5_4_1"])
+        for m in ("memo", "bagtree"):
+            add(f"path5_{g}_count_{m}", counted(path(5), edges(g), path_td(5), m), elimination_sql(path(5), on(g), EDGE))
+            if g != "g_parts":
+                add(f"cycle5_{g}_count_{m}", counted(cycle(5), edges(g), cycle_td(5), m), elimination_sql(cycle(5), on(g), EDGE))
+                add(f"rand5_4_1_{g}_count_{m}", counted(query, edges(g), td, m), elimination_sql(query, on(g), EDGE))
+    add("path5_g_words_count_bagtree", counted(path(5), edges("g_words"), path_td(5), "bagtree"), elimination_sql(path(5), on("g_words"), EDGE))
+    for m in ("plain", "bagtree", "pairwise"):
+        for k in (6, 7):
+            add(f"path{k}_flat_count_{m}", counted(path(k), flat, path_td(k), m), elimination_sql(path(k), on("g_flat"), EDGE))
+        add(f"cycle6_flat_count_{m}", counted(cycle(6), flat, cycle_td(6), m), elimination_sql(cycle(6), on("g_flat"), EDGE))
+    for name, query, graph in (("path7", path(7), "g_skew"), ("cycle4", cycle(4), "g_skew"), ("cycle5", cycle(5), "g_skew"), ("cycle6", cycle(6), "g_skew"), ("lollipop", LOLLIPOP, "g_skew")):
+        add(f"{name}_count_bagtree_width", counted(query, edges(graph), narrowest(query), "bagtree"), elimination_sql(query, on(graph), EDGE))
+    add("lollipop_count_plain", counted(LOLLIPOP, skew, LOLLIPOP_TDS["cs1"], "plain"), elimination_sql(LOLLIPOP, on("g_skew"), EDGE))
+    add("prereduced_cycle4_count", reduced(cycle(4), skew, cycle_td(4)), elimination_sql(cycle(4), on("g_skew"), EDGE))
+    add("intermediate_rows_cycle5", lambda spark, d: bag_rows(cycle(5), edges("g_flat")(spark, d), cycle_td(5)))
     for k in (3, 4):
         for m in ("memo", "plain", "bagtree", "pairwise"):
             add(f"path{k}_eval_{m}", evaluated(path(k), skew, path_td(k), m), rows_sql(path(k), on("g_skew"), EDGE))
             add(f"cycle{k}_eval_{m}", evaluated(cycle(k), skew, cycle_td(k), m), rows_sql(cycle(k), on("g_skew"), EDGE))
     add("cycle4_eval_kernel", evaluated(cycle(4), skew, cycle_td(4), "kernel"), rows_sql(cycle(4), on("g_skew"), EDGE))
-    for m in ("memo", "bagtree"):
+    for m in ("memo", "plain", "bagtree"):
         add(f"cycle5_eval_{m}", evaluated(cycle(5), flat, cycle_td(5), m), rows_sql(cycle(5), on("g_flat"), EDGE))
     for name, g in (("rand5_6_2", "g_clustered"), ("rand5_6_4", "g_flat")):
         query, td = structured(RANDOM[name])
@@ -373,6 +429,9 @@ def _registry() -> tuple[dict, dict]:
     caps = (0, 100, 10_000, -1)
     bip4, bip6 = elimination_sql(BIP4, CAST_SQL, CAST), elimination_sql(BIP6, CAST_SQL, CAST)
     add("cachesweep_bip4", sweep(BIP4, cast, BIP_TDS["4", "person"], caps), with_column(bip4, "capacity", caps))
+    add("cachesweep_cycle6_skew", sweep(cycle(6), skew, cycle_td(6), caps), with_column(elimination_sql(cycle(6), on("g_skew"), EDGE), "capacity", caps))
+    add("cachesweep_bip6", sweep(BIP6, cast, BIP_TDS["6", "person"], caps), with_column(bip6, "capacity", caps))
+    add("cachesweep_work_cycle5", sweep_work(cycle(5), skew, cycle_td(5), (0, 100, 1_000, 10_000, -1)))
     add("cachesweep_cycle5_skew", sweep(cycle(5), skew, cycle_td(5), caps, "support"), with_column(five, "capacity", caps))
     for cs, td in LOLLIPOP_TDS.items():
         add(f"lollipop_{cs}_count", counted(LOLLIPOP, skew, td, "memo"), elimination_sql(LOLLIPOP, on("g_skew"), EDGE))
@@ -381,6 +440,7 @@ def _registry() -> tuple[dict, dict]:
         add(f"bip4_td_{side}_count", counted(BIP4, cast, td, "memo"), bip4)
         add(f"bip4_plain_{side}order_count", counted(BIP4, cast, td, "kernel_plain"), bip4)
         add(f"bip6_td_{side}_count", counted(BIP6, cast, BIP_TDS["6", side], "memo"), bip6)
+        add(f"bip6_plain_{side}order_count", counted(BIP6, cast, BIP_TDS["6", side], "kernel_plain"), bip6)
     add("bip4_planned_count", planned(BIP4, cast), bip4)
     for side, (a, b) in {"person": ("p1", "p2"), "movie": ("m1", "m2")}.items():
         bag = "SELECT a.p AS p1, b.p AS p2, a.m AS m1 FROM A a JOIN B b ON a.m = b.m" if side == "person" else "SELECT a.m AS m1, c.m AS m2, a.p AS p1 FROM A a JOIN A c ON a.p = c.p"
