@@ -30,9 +30,10 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from memojoin.llm.common import ascii_words, materialise, read
+from memojoin.llm.common import ascii_words, dealt, materialise, read
 from memojoin.llm.components import components
 from memojoin.llm.e8_dedup import _sorted_groups
+from memojoin.llm.packets import runs
 
 WORDS, PERCENT = 3, 90
 #: Parts beyond the differences that linked sets can have: at least so many, and this share of the differences.
@@ -43,7 +44,7 @@ FREQUENT = 6
 BAND_STEPS = 4
 SEEN_SETS = 500_000
 #: Signatures that a task holds before it passes them on.
-POSTS_HELD = 1_500_000
+POSTS_HELD = 600_000
 BITMAP_BITS = 26
 BLOCK_SETS = 2048
 POSITION_BLOCK = 8
@@ -191,7 +192,7 @@ def candidate_groups(docs: DataFrame, words: int, percent: int) -> DataFrame:
     passes on two for all, so a signature that very many sets share is two numbers from each task.
     """
     spark = docs.sparkSession
-    blocks = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    blocks = 2 * int(spark.conf.get("spark.sql.shuffle.partitions"))
     packed = "block int, kind int, data binary"
 
     def post(batches):
@@ -256,14 +257,18 @@ def candidate_groups(docs: DataFrame, words: int, percent: int) -> DataFrame:
             yield from rows(COMMON, signs[common], marked[common])
             # few sets share each of the others: all their pairs, with how often they meet here
             signs, marked = signs[~common], marked[~common]
-            pairs = []
+            low, high = [], []
             for step in range(1, FREQUENT):
-                same = signs[step:] == signs[:-step]
-                pairs.append(np.stack([marked[:-step][same], marked[step:][same]], axis=1))
-            pairs, times = np.unique(np.sort(np.concatenate(pairs), axis=1), axis=0, return_counts=True)
-            yield from rows(LINK, pairs[:, 0], pairs[:, 1], times)
-
-    found = materialise(docs.select("text").mapInArrow(post, packed).repartition(blocks, "block").mapInArrow(link, "kind int, a long, b long, times long"), "jaccard-links")
+                same = np.flatnonzero(signs[step:] == signs[:-step])
+                low.append(np.minimum(marked[same], marked[same + step]))
+                high.append(np.maximum(marked[same], marked[same + step]))
+            low, high = np.concatenate(low), np.concatenate(high)
+            at = np.lexsort((high, low))
+            low, high = low[at], high[at]
+            new = runs(low, high)
+            yield from rows(LINK, low[new], high[new], np.diff(np.append(new, len(low))))
+
+    found = materialise(docs.select("text").mapInArrow(post, packed).transform(dealt, blocks, F.col("block")).mapInArrow(link, "kind int, a long, b long, times long"), "jaccard-links")
     common = found.where(f"kind = {COMMON}").select(F.col("a").alias("sign"), F.col("b").alias("marked")).distinct()
     need = found.where(f"kind = {NEED}").groupBy(F.col("a").alias("marked")).agg(F.min("b").alias("need"))
     known = need.join(common.groupBy("marked").agg(F.count(F.lit(1)).alias("n")), "marked", "left").select("marked", "need", F.coalesce("n", F.lit(0)).alias("n"))
