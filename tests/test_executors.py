@@ -8,7 +8,7 @@ from memojoin import workloads as W
 from memojoin.facade import MemoJoin
 from memojoin.functions.measures import check_mvd, hit_account
 from memojoin.operators import kernel as K
-from memojoin.operators.bagtree import bagtree_count, bagtree_evaluate
+from memojoin.operators.bagtree import bag_rows, bagtree_count, bagtree_evaluate
 from memojoin.operators.catalog import Catalog
 from memojoin.operators.factorised import evaluate_factorised, memo_evaluate
 from memojoin.operators.frontier import memo_count, plain_count, plain_rows
@@ -316,3 +316,27 @@ def test_counts_raise_on_overflow_without_ansi(spark):
         assert memo_count(W.path(15), c, W.path_td(15)).first()["cnt"] == 16**15
     finally:
         spark.conf.set("spark.sql.ansi.enabled", before)
+
+
+def test_nodes_that_keep_nothing_join_their_parents(spark):
+    rows = sorted(set(tables(12, 2, 6, 25)))
+    c, q, td = Catalog({"E": frame(spark, rows)}), W.cycle(5), W.cycle_td(5)
+    assert CachePolicy.always().needs_intermediate(td) == {1, 2}
+    assert CachePolicy.always().nodes([1]).needs_intermediate(td) == {1, 2} and CachePolicy.always().nodes([2]).needs_intermediate(td) == {2}
+    assert CachePolicy.never().needs_intermediate(td) == set() and len(CachePolicy.never().pruned(td)) == 1
+    assert len(CachePolicy.always().max_dimension(1).pruned(td)) == 1 and CachePolicy.always().pruned(td) == td
+    want = brute(q, {"E": rows})
+    for policy, nodes in ((CachePolicy.always(), 3), (CachePolicy.never(), 1)):
+        f = evaluate_factorised(q, c, td, policy=policy)
+        assert len(f.nodes) == nodes and rows_of(f.flatten().select(*q.variables), q.variables) == want
+
+
+def test_prereduction_and_bag_rows(spark):
+    rows = sorted(set(tables(13, 2, 9, 20)))
+    c, q, td = Catalog({"E": frame(spark, rows)}), W.path(4), W.path_td(4)
+    want = brute(q, {"E": rows})
+    m = MemoJoin(spark).relation("E", frame(spark, rows)).query(q).prereduced()
+    assert m.count(td=td).first()["cnt"] == len(want)
+    for r in bag_rows(q, c, td).collect():
+        names = sorted(td.bags[r["node"]])
+        assert r["demanded"] == len({tuple(w[q.variables.index(x)] for x in names) for w in want}) <= r["in_bags"]
