@@ -28,6 +28,24 @@ def _give_memory_back() -> None:
 _give_memory_back()
 
 
+def give_back() -> None:
+    """Give what this process has freed back to the system."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
+def trimmed(run):
+    """A function over batches that gives back what its worker has freed when it is done."""
+
+    def each(batches):
+        yield from run(batches)
+        give_back()
+
+    return each
+
+
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
@@ -150,7 +168,7 @@ class WordHasher:
     it depends on the word alone. With lower, A-Z count as a-z.
     """
 
-    STRETCH = 1 << 21
+    STRETCH = 1 << 19
 
     def __init__(self, lower: bool = False):
         rng = np.random.default_rng(29)

@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from memojoin.llm.common import ascii_words, dealt, materialise, read
+from memojoin.llm.common import ascii_words, dealt, materialise, read, trimmed
 from memojoin.llm.components import components
 from memojoin.llm.e8_dedup import _sorted_groups
 from memojoin.llm.packets import runs
@@ -171,7 +171,7 @@ def keyed_rows(docs: DataFrame, words: int) -> DataFrame:
                 keys.append(key_of(t) if len(t) else None)
             yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(n, pa.int64()), pa.array(keys, pa.int64())], ["doc_id", "text_key", "n", "key"])
 
-    return docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text").mapInArrow(run, "doc_id long, text_key long, n long, key long")
+    return docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text").mapInArrow(trimmed(run), "doc_id long, text_key long, n long, key long")
 
 
 def _runs(signs: np.ndarray, marked: np.ndarray):
@@ -268,7 +268,7 @@ def candidate_groups(docs: DataFrame, words: int, percent: int) -> DataFrame:
             new = runs(low, high)
             yield from rows(LINK, low[new], high[new], np.diff(np.append(new, len(low))))
 
-    found = materialise(docs.select("text").mapInArrow(post, packed).transform(dealt, blocks, F.col("block")).mapInArrow(link, "kind int, a long, b long, times long"), "jaccard-links")
+    found = materialise(docs.select("text").mapInArrow(trimmed(post), packed).transform(dealt, blocks, F.col("block")).mapInArrow(trimmed(link), "kind int, a long, b long, times long"), "jaccard-links")
     common = found.where(f"kind = {COMMON}").select(F.col("a").alias("sign"), F.col("b").alias("marked")).distinct()
     need = found.where(f"kind = {NEED}").groupBy(F.col("a").alias("marked")).agg(F.min("b").alias("need"))
     known = need.join(common.groupBy("marked").agg(F.count(F.lit(1)).alias("n")), "marked", "left").select("marked", "need", F.coalesce("n", F.lit(0)).alias("n"))
@@ -414,7 +414,7 @@ def links(docs: DataFrame, groups: DataFrame, words: int, percent: int) -> DataF
             yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(data, pa.binary())], ["key", "tokens"])
 
     own = F.pmod(F.xxhash64("key", F.lit("block")), F.col("blocks")).cast("int")
-    placed = docs.select("text").mapInArrow(hit, "key long, tokens binary").join(sized, "key").withColumn("own", own)
+    placed = docs.select("text").mapInArrow(trimmed(hit), "key long, tokens binary").join(sized, "key").withColumn("own", own)
     placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     placed = placed.select("component", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), F.when(F.col("own") <= F.col("other"), 1).otherwise(2).alias("side"), "key", "tokens")
 
@@ -431,7 +431,7 @@ def links(docs: DataFrame, groups: DataFrame, words: int, percent: int) -> DataF
         yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    return placed.repartition(n, "component", "lo", "hi").sortWithinPartitions("component", "lo", "hi").mapInArrow(join, "a long, b long")
+    return placed.repartition(n, "component", "lo", "hi").sortWithinPartitions("component", "lo", "hi").mapInArrow(trimmed(join), "a long, b long")
 
 
 def _labelled(docs: DataFrame, words: int, percent: int) -> tuple[DataFrame, DataFrame]:

@@ -37,7 +37,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from memojoin.llm.common import WordHasher, dealt, discard, held_out, materialise, native_words, read
+from memojoin.llm.common import WordHasher, dealt, discard, held_out, materialise, native_words, read, trimmed
 from memojoin.llm.packets import PACKED, by_ranges, by_shard, joined, met, pack, rows_of, runs, shard_of, slices, unpack
 
 FOLDS, HELD_OUT = 4, 2
@@ -132,7 +132,7 @@ def trigrams(texts: DataFrame, shards: int) -> DataFrame:
         n = np.add.reduceat(n, new)
         return [(shard, TRIGRAMS, pack(a[new], b[new], c[new], n)), (shard, STATS, pack(*_few(n)))]
 
-    return met(texts.select("text").mapInArrow(post, PACKED), shards, add)
+    return met(texts.select("text").mapInArrow(trimmed(post), PACKED), shards, add)
 
 
 def pairs(tri: DataFrame, shards: int) -> DataFrame:
@@ -152,7 +152,7 @@ def pairs(tri: DataFrame, shards: int) -> DataFrame:
         n = np.add.reduceat(n, new)
         return [(shard, PAIRS, pack(b[new], c[new], n)), (shard, STATS, pack(*_few(n)))]
 
-    return met(tri.where(f"kind = {TRIGRAMS}").mapInArrow(post, PACKED), shards, add)
+    return met(tri.where(f"kind = {TRIGRAMS}").mapInArrow(trimmed(post), PACKED), shards, add)
 
 
 def words(two: DataFrame, shards: int) -> DataFrame:
@@ -178,7 +178,7 @@ def words(two: DataFrame, shards: int) -> DataFrame:
         last = sums[4][sums[4] > 0]
         return [*out, (shard, WORDS, pack(ids, *sums)), (shard, STATS, pack(np.append(_few(last)[0], [len(last), int(last.sum())])))]
 
-    return met(two.where(f"kind = {PAIRS}").mapInArrow(post, PACKED), shards, add)
+    return met(two.where(f"kind = {PAIRS}").mapInArrow(trimmed(post), PACKED), shards, add)
 
 
 def _stats(table: DataFrame, width: int = 4) -> list[int]:
@@ -191,7 +191,7 @@ def _stats(table: DataFrame, width: int = 4) -> list[int]:
                 total += unpack(data)[0]
         yield pa.RecordBatch.from_arrays([pa.array([total.tolist()], pa.list_(pa.int64()))], ["s"])
 
-    got = table.where(f"kind = {STATS}").select("data").mapInArrow(run, "s array<long>")
+    got = table.where(f"kind = {STATS}").select("data").mapInArrow(trimmed(run), "s array<long>")
     return list(got.agg(*[F.coalesce(F.sum(F.col("s")[k]), F.lit(0)) for k in range(width)]).first())
 
 
@@ -286,11 +286,11 @@ def value_table(texts: DataFrame, shards: int, waves: int = WAVES) -> tuple[list
         out = [(k, VALUES, pack(*part, zero(part[0]))) for k, part in by_ranges(own, shards, here)]
         return [*out, (shard, VALUES, pack(key, np.log10(p / (back * low)[order]).astype(np.float32), zero(key)))]
 
-    single = tri.where(f"kind = {TRIGRAMS}").mapInArrow(contexts, PACKED).unionByName(one.where(f"kind = {WORDS}").mapInArrow(lone, PACKED))
+    single = tri.where(f"kind = {TRIGRAMS}").mapInArrow(trimmed(contexts), PACKED).unionByName(one.where(f"kind = {WORDS}").mapInArrow(trimmed(lone), PACKED))
     parts = [materialise(single, "kn-contexts")]
     for low, high in _waves(shards, waves):
         inside = f"shard >= {low} AND shard < {high}"
-        inputs = tri.where(f"kind = {TRIGRAMS}").mapInArrow(move(low, high), PACKED).unionByName(two.where(f"kind = {PAIRS} AND {inside}")).unionByName(one.where(f"kind = {ANSWERS} AND {inside}"))
+        inputs = tri.where(f"kind = {TRIGRAMS}").mapInArrow(trimmed(move(low, high)), PACKED).unionByName(two.where(f"kind = {PAIRS} AND {inside}")).unionByName(one.where(f"kind = {ANSWERS} AND {inside}"))
         parts.append(materialise(met(inputs, high - low, value, low), "kn-values"))
     discard(tri, two, one)
     return parts, float(np.log10(s.unknown))
@@ -353,7 +353,7 @@ def hot_keys(docs: DataFrame) -> np.ndarray:
             often = np.flatnonzero(times > 1)
             yield pa.RecordBatch.from_arrays([pa.array(keys[often].view(np.int64)), pa.array(times[often]), pa.array(np.full(len(often), count.sum() / max(len(often), 1)))], ["k", "n", "t"])
 
-    got = sample.select(F.xxhash64("text"), "text").mapInArrow(run, "k long, n long, t double").groupBy("k").agg(F.sum("n").alias("n"), F.sum("t").alias("t"))
+    got = sample.select(F.xxhash64("text"), "text").mapInArrow(trimmed(run), "k long, n long, t double").groupBy("k").agg(F.sum("n").alias("n"), F.sum("t").alias("t"))
     got = materialise(got, "kn-sample")
     least = (got.agg(F.sum("t")).first()[0] or 0.0) * HOT_SHARE
     keys = got.where(F.col("n") > max(least, 2)).select("k").toArrow().column(0).to_numpy()
@@ -390,7 +390,7 @@ def _lookup(table: DataFrame, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]
                 at = np.flatnonzero(_found(asked.value, own)[1])
                 yield pa.RecordBatch.from_arrays([pa.array(own[at].view(np.int64)), pa.array(here[at]), pa.array(after[at])], ["k", "here", "next"])
 
-    got = table.select("data").mapInArrow(run, "k long, here float, next float").toArrow()
+    got = table.select("data").mapInArrow(trimmed(run), "k long, here float, next float").toArrow()
     have, values = _summed(got.column("k").to_numpy().view(np.uint64), got.column("here").to_numpy(), got.column("next").to_numpy())
     out = np.zeros((3, len(keys)), np.float32)
     at, hit = _found(have, keys)
@@ -490,9 +490,9 @@ def _wave(docs: DataFrame, values: DataFrame, hot, shards: int, low: int, high:
         if packet is not None:
             yield done()
 
-    asked = docs.select(F.xxhash64("text").alias("k"), "text").mapInArrow(ask, PACKED)
-    answers = dealt(values.unionByName(asked), high - low, F.col("shard") - low).sortWithinPartitions("shard", "kind").mapInArrow(answer, told)
-    sums = answers.repartition(high - low, "packet").sortWithinPartitions("packet").mapInArrow(gather, "__key long, task long, number long, n long, part double")
+    asked = docs.select(F.xxhash64("text").alias("k"), "text").mapInArrow(trimmed(ask), PACKED)
+    answers = dealt(values.unionByName(asked), high - low, F.col("shard") - low).sortWithinPartitions("shard", "kind").mapInArrow(trimmed(answer), told)
+    sums = answers.repartition(high - low, "packet").sortWithinPartitions("packet").mapInArrow(trimmed(gather), "__key long, task long, number long, n long, part double")
     # the parts of a long text add up; copies of a text have one score
     sums = sums.where("n > 0").groupBy("__key", "task", "number").agg(F.sum("n").alias("n"), F.sum("part").alias("part"))
     return sums.groupBy("__key").agg(F.max("n").alias("n"), F.max("part").alias("part"))

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from memojoin.llm.common import hash_sample, held_out, read
+from memojoin.llm.common import give_back, hash_sample, held_out, read, trimmed
 
 PER_LANGUAGE = 500
 WINDOWS_PER_TEXT = 4
@@ -250,7 +250,7 @@ def identify(docs: DataFrame, model: Model | None) -> DataFrame:
                 pred, score = _predict(scorer, part.column(1).to_pylist())
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(pred, pa.string()), pa.array(score, pa.float64())], ["doc_id", "held_out", "lang_pred", "score"])
 
-    return rows.mapInArrow(run, SCHEMA)
+    return rows.mapInArrow(trimmed(run), SCHEMA)
 
 
 def keep_identified(docs: DataFrame, model: Model | None, least_score: float) -> DataFrame:
@@ -265,6 +265,8 @@ def keep_identified(docs: DataFrame, model: Model | None, least_score: float) ->
                 pred, score = _predict(scorer, [t if isinstance(t, str) else None for t in part.iloc[at : at + 500]])
                 out += [p != "und" and s >= least_score for p, s in zip(pred, score)]
             yield pd.Series(out, dtype=bool)
+        scorer = None
+        give_back()
 
     # only texts go through Python, the other columns stay where they are
     return docs.where(F.pandas_udf(told, "boolean")(F.col("text")))

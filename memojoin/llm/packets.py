@@ -12,7 +12,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from memojoin.llm.common import dealt
+from memojoin.llm.common import dealt, trimmed
 
 #: Texts of a slice at most.
 MOST_TEXTS = 16_000
@@ -81,7 +81,7 @@ def met(df: DataFrame, shards: int, run, low: int = 0) -> DataFrame:
             for at in range(0, len(rows), 64):
                 yield rows_of(rows[at : at + 64])
 
-    return dealt(df, shards, F.col("shard") - low).sortWithinPartitions("shard", "kind").mapInArrow(each, PACKED)
+    return dealt(df, shards, F.col("shard") - low).sortWithinPartitions("shard", "kind").mapInArrow(trimmed(each), PACKED)
 
 
 def joined(packets: list[list[np.ndarray]]) -> list[np.ndarray]:
