@@ -32,7 +32,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from memojoin.llm.common import WordHasher, discard, held_out, materialise, read
+from memojoin.llm.common import WordHasher, discard, held_out, materialise, read, trimmed
 from memojoin.llm.packets import PACKED, by_ranges, by_shard, joined, met, pack, rows_of, runs, slices, unpack
 
 FOLDS, HELD_OUT = 5, 1
@@ -45,6 +45,8 @@ ADD = 0.5
 RELIABLE = 2.0
 #: Counts up to here find the change of likelihood in a table.
 SMALL = 32
+#: Counts of words that are weighed at a time.
+MOST_COUNTS = 16_384
 #: Bytes of text for each shard at most.
 SHARD_BYTES = 128 << 20
 #: Kinds of packed rows.
@@ -74,7 +76,7 @@ def word_counts(train: DataFrame, shards: int) -> DataFrame:
         keys, n = keys[new], np.add.reduceat(n, new)
         return [(shard, WORDS, pack(keys, n)), (shard, STATS, pack(np.concatenate([[len(n), n.sum()], np.bincount(_band(n), minlength=1024)]).astype(np.int64)))]
 
-    return met(train.select("text").mapInArrow(post, PACKED), shards, add)
+    return met(train.select("text").mapInArrow(trimmed(post), PACKED), shards, add)
 
 
 def _band(n: np.ndarray) -> np.ndarray:
@@ -97,7 +99,7 @@ def _added(df: DataFrame, width: int) -> np.ndarray:
         for k in range(0, len(at), 100_000):
             yield pa.RecordBatch.from_arrays([pa.array(at[k : k + 100_000]), pa.array(total[at[k : k + 100_000]])], ["cell", "n"])
 
-    got = df.select("data").mapInArrow(run, "cell long, n double").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
+    got = df.select("data").mapInArrow(trimmed(run), "cell long, n double").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
     out = np.zeros(width)
     out[got.column("cell").to_numpy()] = got.column("n").to_numpy()
     return out
@@ -119,7 +121,7 @@ def head_words(words: DataFrame, stats: np.ndarray, most: int) -> tuple[np.ndarr
             keep = (band >= full) | ((band == full - 1) & (keys < np.uint64(low)))
             yield pa.RecordBatch.from_arrays([pa.array(keys[keep].view(np.int64)), pa.array(n[keep].astype(np.int64))], ["k", "n"])
 
-    got = words.where(f"kind = {WORDS}").mapInArrow(run, "k long, n long").toArrow()
+    got = words.where(f"kind = {WORDS}").mapInArrow(trimmed(run), "k long, n long").toArrow()
     keys, n = got.column("k").to_numpy().view(np.uint64), got.column("n").to_numpy()
     order = np.lexsort((keys, -n))[:most]
     return keys[order], n[order]
@@ -153,7 +155,7 @@ def encode(docs: DataFrame, head: np.ndarray, shards: int) -> DataFrame:
             yield rows_of([(packet % shards, TEXTS, data)])
             packet += 1
 
-    return rows.mapInArrow(run, PACKED)
+    return rows.mapInArrow(trimmed(run), PACKED)
 
 
 def _framed(tokens: np.ndarray, n: np.ndarray, end: int) -> tuple[np.ndarray, np.ndarray]:
@@ -241,7 +243,7 @@ def _cells(texts: DataFrame, of: np.ndarray, wide: int) -> np.ndarray:
             if rows:
                 yield rows_of(rows)
 
-    return _added(texts.mapInArrow(run, PACKED), wide * wide).reshape(wide, wide)
+    return _added(texts.mapInArrow(trimmed(run), PACKED), wide * wide).reshape(wide, wide)
 
 
 class Step:
@@ -260,8 +262,9 @@ class Step:
         wide = len(self.g)
         out = np.zeros((len(first), self.classes))
         edges = np.append(first, len(code))
-        for lo in range(0, len(first), 1024):
-            hi = min(lo + 1024, len(first))
+        lo = 0
+        while lo < len(first):  # words with a bounded number of counts, or one
+            hi = max(lo + 1, int(np.searchsorted(edges, edges[lo] + MOST_COUNTS, side="right")) - 1)
             at = slice(edges[lo], edges[hi])
             c, k = code[at].astype(np.int64), n[at].astype(np.int64)
             side, c = c // wide, c % wide
@@ -278,6 +281,7 @@ class Step:
             base = np.where(side[here] == 0, self.g[own[here], c[here]], self.g[c[here], own[here]])
             change[here, own[here]] = _f(base) - _f(np.maximum(base - k[here], 0))
             out[lo:hi] = np.add.reduceat(change, edges[lo:hi] - edges[lo], axis=0)
+            lo = hi
         t = total[:, None].astype(np.float64)
         for sums in (self.rows[None, :], self.cols[None, :]):
             out -= _f(sums + t) - _f(sums)
@@ -342,7 +346,7 @@ def move_words(texts: DataFrame, words: DataFrame, head: np.ndarray, of: np.ndar
         best[settled[~better]] = now[settled[~better]]
         return [(shard, WORDS, pack(keys, n, best.astype(np.uint16)))]
 
-    return met(texts.mapInArrow(post, PACKED).unionByName(words.where(f"kind = {WORDS}")), shards, add)
+    return met(texts.mapInArrow(trimmed(post), PACKED).unionByName(words.where(f"kind = {WORDS}")), shards, add)
 
 
 def head_classes(words: DataFrame, head: np.ndarray) -> np.ndarray:
@@ -355,7 +359,7 @@ def head_classes(words: DataFrame, head: np.ndarray) -> np.ndarray:
             at = np.flatnonzero(np.isin(keys, table.value, assume_unique=True))
             yield pa.RecordBatch.from_arrays([pa.array(keys[at].view(np.int64)), pa.array(c[at].astype(np.int64))], ["k", "c"])
 
-    got = words.mapInArrow(run, "k long, c long").toArrow()
+    got = words.mapInArrow(trimmed(run), "k long, c long").toArrow()
     keys, c = got.column("k").to_numpy().view(np.uint64), got.column("c").to_numpy()
     order = np.argsort(keys)
     return c[order][np.searchsorted(keys, head, sorter=order)].astype(np.int64)
@@ -412,7 +416,7 @@ def class_sizes(words: DataFrame, classes: int) -> np.ndarray:
             parts = [n, np.ones(len(n)), n == 1, weight(n) * (n + ADD), (1 - weight(n)) * (n + ADD)]
             yield rows_of([(shard, STATS, pack(np.concatenate([np.bincount(c, x, classes) for x in parts])))])
 
-    return _added(words.mapInArrow(run, PACKED), 5 * classes).reshape(5, classes)
+    return _added(words.mapInArrow(trimmed(run), PACKED), 5 * classes).reshape(5, classes)
 
 
 def classed(texts: DataFrame, words: DataFrame, head: tuple[np.ndarray, np.ndarray, np.ndarray], s: Scales, shards: int) -> DataFrame:
@@ -450,7 +454,7 @@ def classed(texts: DataFrame, words: DataFrame, head: tuple[np.ndarray, np.ndarr
             out.append((shard, TEXTS, pack(ids, there, held, n, kinds[tokens], count[tokens])))
         return out
 
-    asked = texts.mapInArrow(ask, PACKED).unionByName(words.where(f"kind = {WORDS}"))
+    asked = texts.mapInArrow(trimmed(ask), PACKED).unionByName(words.where(f"kind = {WORDS}"))
     return met(met(asked, shards, answer).unionByName(texts), shards, score)
 
 
@@ -505,7 +509,7 @@ def score(docs: DataFrame, head_size: int = HEAD, core: int = CORE, rounds: int
                 cells, times = np.unique(x[:-1] * wide + x[1:], return_counts=True)
                 yield rows_of([(0, STATS, pack(cells, times.astype(np.float64)))])
 
-    g = _added(done.mapInArrow(pairs, PACKED), wide * wide).reshape(wide, wide)
+    g = _added(done.mapInArrow(trimmed(pairs), PACKED), wide * wide).reshape(wide, wide)
     table = docs.sparkSession.sparkContext.broadcast((s, *transitions(g, s)))
 
     def told(batches):
@@ -524,7 +528,7 @@ def score(docs: DataFrame, head_size: int = HEAD, core: int = CORE, rounds: int
                 columns = [pa.array(ids, mask=~there), pa.array(held), pa.array(n + 1), pa.array(np.diff(known[edge]) + (s.ends > 0)), pa.array(np.full(len(n), s.total)), pa.array(np.diff(base[edge]) + float(s.base(s.ends))), pa.array(np.diff(np.concatenate([[0.0], sums[ends_at]])))]
                 yield pa.RecordBatch.from_arrays(columns, ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
-    return done.mapInArrow(told, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+    return done.mapInArrow(trimmed(told), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
 
 def op8_brown_lm(spark, sf_dir: str) -> DataFrame:
