@@ -41,7 +41,7 @@ def _side(spark, d, table: str, share: int, least: int) -> int:
 def g_skew(spark, d, power: int = 3) -> DataFrame:
     """Part and order of some returned lines, both crowded towards small numbers by an integer power; the range of the
     numbers grows with the table of parts."""
-    n = _side(spark, d, "part", 10, 200)
+    n = _side(spark, d, "part", 100, 200)
     x = _lines(spark, d, "l_returnflag = 'R' AND l_linestatus = 'F' AND l_quantity <= 10").select("l_partkey", "l_orderkey")
     return x.select(S.skew_map(F.col("l_partkey"), n, power).alias("s"), S.skew_map(F.col("l_orderkey"), n, power).alias("t")).distinct()
 
@@ -69,7 +69,7 @@ def g_words(spark, d) -> DataFrame:
 def _cast(spark, d, status: str) -> DataFrame:
     lines = _lines(spark, d, f"l_returnflag = 'R' AND l_linestatus = '{status}'").select("l_orderkey", "l_partkey")
     orders = load(spark, d, "orders").select(F.col("o_orderkey").alias("l_orderkey"), "o_custkey")
-    return lines.join(orders, "l_orderkey").select(S.skew_map(F.col("o_custkey"), _side(spark, d, "customer", 5, 300), 3).alias("p"), F.col("l_partkey").alias("m")).distinct()
+    return lines.join(orders, "l_orderkey").select(S.skew_map(F.col("o_custkey"), _side(spark, d, "customer", 50, 300), 3).alias("p"), F.col("l_partkey").alias("m")).distinct()
 
 
 def cast_a(spark, d) -> DataFrame:
@@ -125,11 +125,11 @@ SQL = {
 
 def skew_sql(power: int) -> str:
     f = lambda c: f"(({c} % n) ** {power})::BIGINT // (n ** {power - 1})::BIGINT"
-    return f"SELECT DISTINCT {f('l_partkey')} AS s, {f('l_orderkey')} AS t FROM lineitem, (SELECT least(greatest(count(*) // 10, 200), 1000000) AS n FROM part) WHERE l_returnflag = 'R' AND l_linestatus = 'F' AND l_quantity <= 10"
+    return f"SELECT DISTINCT {f('l_partkey')} AS s, {f('l_orderkey')} AS t FROM lineitem, (SELECT least(greatest(count(*) // 100, 200), 1000000) AS n FROM part) WHERE l_returnflag = 'R' AND l_linestatus = 'F' AND l_quantity <= 10"
 
 
 def cast_sql(status: str) -> str:
-    return f"SELECT DISTINCT ((o_custkey % n) ** 3)::BIGINT // (n * n) AS p, l_partkey AS m FROM lineitem JOIN orders ON l_orderkey = o_orderkey, (SELECT least(greatest(count(*) // 5, 300), 1000000) AS n FROM customer) WHERE l_returnflag = 'R' AND l_linestatus = '{status}'"
+    return f"SELECT DISTINCT ((o_custkey % n) ** 3)::BIGINT // (n * n) AS p, l_partkey AS m FROM lineitem JOIN orders ON l_orderkey = o_orderkey, (SELECT least(greatest(count(*) // 50, 300), 1000000) AS n FROM customer) WHERE l_returnflag = 'R' AND l_linestatus = '{status}'"
 
 
 SQL |= {"g_skew": skew_sql(3), "cast_a": cast_sql("O"), "cast_b": cast_sql("F")}
