@@ -1,8 +1,8 @@
 """Headline queries at $BENCH_SF_DIR on local[$BENCH_CPUS]: prints one JSON line.
 
 Each query runs once to warm up and then $BENCH_RUNS times (default 3; the mean counts) into a sink that stores nothing;
-it is not repeated once $BENCH_ENOUGH seconds (default 15) have been measured. A run is charged $BENCH_LIMIT seconds
-(default 60) if it takes longer, and listed under timed_out; the warm-up counts where it takes longer than the half.
+it is not repeated once $BENCH_ENOUGH seconds (default 8) have been measured. A run is charged $BENCH_LIMIT seconds
+(default 40) if it takes longer, and listed under timed_out; the warm-up counts where it takes longer than the half.
 Ratios compare methods.
 """
 
@@ -37,8 +37,8 @@ def main() -> None:
     from pyspark.sql import SparkSession
 
     cpus, sf = os.environ.get("BENCH_CPUS", "8"), os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
-    runs, limit = int(os.environ.get("BENCH_RUNS", "3")), float(os.environ.get("BENCH_LIMIT", "60"))
-    enough = float(os.environ.get("BENCH_ENOUGH", "15"))
+    runs, limit = int(os.environ.get("BENCH_RUNS", "3")), float(os.environ.get("BENCH_LIMIT", "40"))
+    enough = float(os.environ.get("BENCH_ENOUGH", "8"))
     only = sys.argv[1:] or HEADLINE
     spark = (
         SparkSession.builder.master(f"local[{cpus}]").appName("bench").config("spark.sql.shuffle.partitions", cpus).config("spark.ui.enabled", "false")
