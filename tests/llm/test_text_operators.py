@@ -365,3 +365,12 @@ def test_language_and_toxicity_of_empty_null_and_repeated_rows(spark):
     scorer = toxicity.fit([], [])
     assert toxicity.score(docs.limit(0), scorer).count() == 0 and toxicity.score(docs, scorer).count() == docs.count()
     assert labels.count() == 0
+
+
+def test_toxicity_learns_from_labels_without_texts_and_with_null_ids(spark):
+    clean, foul = "a quiet walk along the river", "you blargh fool"
+    docs = spark.createDataFrame([*((k, foul if k % 2 else clean) for k in range(200)), (None, foul)], "doc_id long, text string")
+    labels = spark.createDataFrame([*((k, 1, k % 2) for k in range(200)), (None, 1, 0), (7, 1, None)], "doc_id long, quality int, toxic int")
+    got = toxicity.score(docs, toxicity.train(docs, labels)).collect()
+    assert len(got) == 201
+    assert min(r["score"] for r in got if r["doc_id"] is None or r["doc_id"] % 2) > max(r["score"] for r in got if r["doc_id"] is not None and not r["doc_id"] % 2)
