@@ -430,7 +430,8 @@ def _wave(docs: DataFrame, values: DataFrame, hot, shards: int, low: int, high:
             times = np.searchsorted(keys, keys_hot, side="right") - begin
             often = np.repeat(np.arange(len(keys_hot)), times)
             where = np.arange(len(often)) + np.repeat(begin - np.cumsum(times) + times, times)
-            sums = np.bincount(codes[where] >> 2, values_hot[codes[where] & 3, often], len(texts))
+            # without any, bincount() forgets that it was to add fractions
+            sums = np.bincount(codes[where] >> 2, values_hot[codes[where] & 3, often], len(texts)).astype(np.float64)
             yield rows_of([(int(packet % (high - low)) + low, ASKED, pack(np.array([packet]), texts, numbers, n, sums))])
             other = np.ones(len(keys), bool)
             other[where] = False

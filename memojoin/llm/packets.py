@@ -27,13 +27,14 @@ def pack(*columns: np.ndarray) -> bytes:
 
 
 def unpack(data: bytes) -> list[np.ndarray]:
+    """The columns, to be written to as well, also those of one row."""
     data = zstandard.ZstdDecompressor().decompress(data)
     kinds = [struct.unpack_from("<cI", data, 1 + 5 * k) for k in range(data[0])]
     at, out = 1 + 5 * len(kinds), []
     for char, n in kinds:
         kind = np.dtype(char.decode())
         planes = np.frombuffer(data, np.uint8, n * kind.itemsize, at).reshape(kind.itemsize, n)
-        out.append(np.ascontiguousarray(planes.T).view(kind).reshape(n))
+        out.append(planes.T.copy().view(kind).reshape(n))
         at += n * kind.itemsize
     return out
 

@@ -10,8 +10,9 @@ import numpy as np
 import pyarrow as pa
 import pytest
 from memojoin.llm import bpe, brown_lm, kn_quality, langid, mixing, quality_rules, toxicity
-from memojoin.llm.common import WordHasher
+from memojoin.llm.common import WordHasher, dealt
 from memojoin.llm.packets import unpack
+from pyspark.sql import functions as F
 from tests_brute import PlainKneserNey
 
 ODD = [None, "", " \n\t ", "one", "ÀÉ ß", "a\x0bb\x0cc", "x" * 5000, "word " * 3000, "!!! ### $$$", "\n\n\n"]
@@ -339,6 +340,18 @@ def test_sharded_kneser_ney_counts_all_trusted_texts_and_equals_plain_python(spa
         assert math.isclose(got[k]["log10_prob"], plain.log10(t), rel_tol=1e-4), t
 
 
+def test_texts_without_a_frequent_ngram_are_scored(spark):
+    # one text is alone in its partition and shares only its start with the others
+    texts = [f"{a} {b} {c}" for a in "abcd" for b in "abcd" for c in "abcd"]
+    train = spark.createDataFrame([(t,) for t in [*texts, "p q r s t"]], "text string")
+    docs = dealt(table(spark, [*texts, "p q r s t u"]), 2, (F.col("text") > "p").cast("int"))
+    plain = PlainKneserNey([*texts, "p q r s t"])
+    values, unknown = kn_quality.value_table(train, 6)
+    got = {r["__key"]: r for r in kn_quality.sharded_scores(docs, values, unknown, 6).collect()}
+    for r in docs.selectExpr("text", "xxhash64(text) AS k").collect():
+        assert math.isclose(got[r["k"]]["log10_prob"], plain.log10(r["text"]), rel_tol=1e-4)
+
+
 def test_quality_classifier_counts_every_trusted_text(spark):
     # far more trusted texts than a sample would take, each with a word of its own: all are counted
     rows = [(k, " ".join(f"own{k} {c}" for c in "pqrs"[: 1 + k % 4]), "en", 1) for k in range(2000)]
