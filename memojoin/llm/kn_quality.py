@@ -10,8 +10,10 @@ keys in byte planes, compressed) that are dealt to shards by the hash of an n-gr
 
 Each step ends in a table. A text's log probability is a sum over its n-grams: what each word has on its own, what
 each context passes on to shorter n-grams, and what each bigram and trigram of training adds to that. So step 4 gives
-one table of values by n-gram key, and scoring joins the documents' n-grams with it, shard by shard. The shards are
-taken in ``WAVES``, so that only that part of the n-grams is on disk at a time. N-grams that a small sample
+a table of values by n-gram key, and scoring joins the documents' n-grams with it, shard by shard. Both are done in
+``WAVES``, each for the n-grams whose last word falls into it, so that only that part of the n-grams is on disk at a
+time, beside the counts; trigrams are counted in ``COUNT_WAVES`` of shards. A map of bits (bounded) of a wave's keys
+is sent to the texts, so that most n-grams that training lacks are not asked for. N-grams that a small sample
 shows to be very frequent (a bounded number) are looked up before and scored where the text is, so that no shard is hot.
 
 Words and n-grams stand as hashes of 48 and 56 bits: words and n-grams that share one count as equal.
@@ -38,7 +40,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from memojoin.llm.common import WordHasher, dealt, discard, held_out, materialise, native_words, read, trimmed
-from memojoin.llm.packets import PACKED, by_ranges, by_shard, joined, met, pack, rows_of, runs, shard_of, slices, unpack
+from memojoin.llm.packets import PACKED, by_ranges, by_shard, joined, met, pack, rows_of, runs, shard_of, slices, split, unpack
 
 FOLDS, HELD_OUT = 4, 2
 QUANTILE, MARGIN = 0.995, 0.25
@@ -46,15 +48,20 @@ PRIOR_WORDS = 20
 LEAST_TRUSTED = 50
 #: Words outside the training vocabulary share one probability; so many of them are assumed.
 UNKNOWN_WORDS = 1_000_000
-#: Parts in which the shards are scored; bytes of text for each shard at most; tokens of a packet.
-WAVES, SHARD_BYTES, PACKET_TOKENS = 3, 128 << 20, 1 << 19
+#: Parts in which n-grams are scored, by their last words, and those in which trigrams are counted, each of so many
+#: bytes of text at least; bytes of text for each shard at most; tokens of a packet.
+WAVES, COUNT_WAVES, WAVE_BYTES, SHARD_BYTES, PACKET_TOKENS = 7, 3, 8 << 20, 128 << 20, 1 << 19
+#: Trusted ids that are sent to every task at a time.
+SENT_IDS = 1 << 20
 #: A sample of about so many texts shows the frequent n-grams: those with more than this share of its n-grams.
 HOT_TEXTS, HOT_SHARE = 4_000, 1 / 20_000
 #: Texts that a task remembers, so as not to ask for copies again.
 REMEMBERED = 500_000
 START = np.uint64(0)
 #: Kinds of packed rows; values come before the questions about them.
-VALUES, TRIGRAMS, PAIRS, WORDS, ANSWERS, MOVED, STATS, ASKED = range(8)
+VALUES, TRIGRAMS, PAIRS, WORDS, ANSWERS, MOVED, STATS, ASKED, KNOWN = range(9)
+#: Powers of two: bits of the map of a wave's keys, for each key and at least and at most (64 MB).
+KEY_BITS, LEAST_BITS, MOST_BITS = 3, 16, 29
 #: What an n-gram of a text asks for: its own value and that as a context, or one of them.
 BOTH, HERE, NEXT = range(3)
 
@@ -105,8 +112,40 @@ def _framed(h: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.nd
     return x, at, of
 
 
-def trigrams(texts: DataFrame, shards: int) -> DataFrame:
-    """TRIGRAMS a, b, c, n of every shard (of the first two words), in the order b, a, c; STATS of the counts."""
+def _ranked(*columns: np.ndarray) -> tuple[np.ndarray, list[np.ndarray]]:
+    """The distinct words of all columns, rising, and the columns as places in them."""
+    ids, at = np.unique(np.concatenate(columns), return_inverse=True)
+    return ids, np.split(at.astype(np.uint32), np.cumsum([len(c) for c in columns])[:-1])
+
+
+def _order(*ranks: np.ndarray, words: int) -> np.ndarray:
+    """The order by these places in so many words, the first column first."""
+    bits = max(words - 1, 1).bit_length()
+    if bits * len(ranks) > 64:
+        return np.lexsort(ranks[::-1])
+    one = ranks[0].astype(np.uint64)
+    for r in ranks[1:]:
+        one = (one << np.uint64(bits)) | r
+    return np.argsort(one)
+
+
+def _added(columns: list[np.ndarray], n: np.ndarray) -> tuple[np.ndarray, list[np.ndarray], np.ndarray]:
+    """Words, the distinct rows of the columns as places in them, in order, and the sums of n."""
+    ids, ranks = _ranked(*columns)
+    order = _order(*ranks, words=len(ids))
+    ranks = [r[order] for r in ranks]
+    new = runs(*ranks)
+    return ids, [r[new] for r in ranks], np.add.reduceat(n[order].astype(np.uint64), new) if len(new) else n[:0].astype(np.uint64)
+
+
+def _narrow(n: np.ndarray) -> np.ndarray:
+    """Counts in as few bytes as hold them all."""
+    return n.astype(np.uint32 if n.max(initial=0) < 1 << 32 else np.uint64)
+
+
+def trigrams(texts: DataFrame, shards: int, low: int, high: int) -> DataFrame:
+    """TRIGRAMS (words; b, a, c as places in them; n) of the shards (of the first two words) from low on and below
+    high, in the order b, a, c; STATS of the counts."""
 
     def post(batches):
         hasher = WordHasher()
@@ -114,73 +153,83 @@ def trigrams(texts: DataFrame, shards: int) -> DataFrame:
             x, at, _ = _framed(*hasher.hashes(part.column(0)))
             for k in range(0, len(at), PACKET_TOKENS):
                 c = at[k : k + PACKET_TOKENS]
-                context = pair_key(x[c - 2], x[c - 1])
-                _, first, n = np.unique(key_of(context, pair_key(x[c - 1], x[c])), return_index=True, return_counts=True)
-                c = c[first]
-                rows = []
-                for shard, (_, p, q, r, m) in by_ranges(context[first], shards, x[c - 2], x[c - 1], x[c], n.astype(np.uint32)):
-                    order = np.lexsort((r, p, q))
-                    rows.append((shard, TRIGRAMS, pack(p[order], q[order], r[order], m[order])))
-                if rows:
-                    yield rows_of(rows)
+                shard = shard_of(pair_key(x[c - 2], x[c - 1]), shards)
+                c = c[(shard >= low) & (shard < high)]
+                if len(c):
+                    ids, (q, p, r), n = _added([x[c - 1], x[c - 2], x[c]], np.ones(len(c), np.uint64))
+                    shard = shard_of(key_of(word_key(ids)[p], word_key(ids)[q]), shards)
+                    yield rows_of([(s, TRIGRAMS, pack(*part, rising=True)) for s, part in split(shard, ids[q], ids[p], ids[r], _narrow(n))])
 
     def add(shard, packets):
-        a, b, c, n = joined(packets[TRIGRAMS])
-        order = np.lexsort((c, a, b))
-        a, b, c, n = a[order], b[order], c[order], n[order].astype(np.uint64)
-        new = runs(a, b, c)
-        n = np.add.reduceat(n, new)
-        return [(shard, TRIGRAMS, pack(a[new], b[new], c[new], n)), (shard, STATS, pack(*_few(n)))]
+        *columns, n = joined(packets[TRIGRAMS])
+        ids, ranks, n = _added(columns, n)
+        return [(shard, TRIGRAMS, pack(ids, *ranks, _narrow(n), rising=True)), (shard, STATS, pack(*_few(n)))]
 
-    return met(texts.select("text").mapInArrow(trimmed(post), PACKED), shards, add)
+    return met(texts.select("text").mapInArrow(trimmed(post), PACKED), high - low, add, low)
 
 
 def pairs(tri: DataFrame, shards: int) -> DataFrame:
-    """PAIRS b, c, n of every shard in the order b, c: n different words stand in front of b c; STATS of the counts."""
+    """PAIRS (words; b, c as places in them; n) of every shard in the order b, c: n different words stand in front of
+    b c; STATS of the counts."""
 
     def post(batches):
         for _, packets in by_shard(batches):
-            _, b, c, _ = packets[TRIGRAMS][0]
-            key, first, n = np.unique(pair_key(b, c), return_index=True, return_counts=True)
-            yield rows_of([(k, PAIRS, pack(p, q, m)) for k, (_, p, q, m) in by_ranges(key, shards, b[first], c[first], n.astype(np.uint32))])
+            for ids, b, _, c, _ in packets[TRIGRAMS]:
+                one = np.sort((b.astype(np.uint64) << np.uint64(32)) | c)
+                new = runs(one)
+                b, c = one[new] >> np.uint64(32), one[new] & np.uint64(0xFFFFFFFF)
+                key = word_key(ids)
+                yield rows_of([(k, PAIRS, pack(*part, rising=True)) for k, part in split(shard_of(key_of(key[b], key[c]), shards), ids[b], ids[c], _narrow(np.diff(np.append(new, len(one)))))])
 
     def add(shard, packets):
-        b, c, n = joined(packets[PAIRS])
-        order = np.lexsort((c, b))
-        b, c, n = b[order], c[order], n[order].astype(np.uint64)
-        new = runs(b, c)
-        n = np.add.reduceat(n, new)
-        return [(shard, PAIRS, pack(b[new], c[new], n)), (shard, STATS, pack(*_few(n)))]
+        *columns, n = joined(packets[PAIRS])
+        ids, ranks, n = _added(columns, n)
+        return [(shard, PAIRS, pack(ids, *ranks, _narrow(n), rising=True)), (shard, STATS, pack(*_few(n)))]
 
     return met(tri.where(f"kind = {TRIGRAMS}").mapInArrow(trimmed(post), PACKED), shards, add)
 
 
 def words(two: DataFrame, shards: int) -> DataFrame:
-    """WORDS (id, sum of n as first word, how many of these are 1, 2, more; pairs as last word), ANSWERS likewise
-    for each shard of pairs that holds a word, and STATS (words by 1 to 4 pairs, words, pairs)."""
+    """WORDS (id, sum of n as first word, how many of these are 1, 2, more; pairs as last word), ANSWERS (the shard
+    told from, and the same but for the id, in the order of the words' keys) for each shard of pairs that holds a word,
+    and STATS (words by 1 to 4 pairs, words, pairs)."""
 
     def post(batches):
         for shard, packets in by_shard(batches):
-            b, c, n = packets[PAIRS][0]
-            ids, at = np.unique(np.concatenate([b, c]), return_inverse=True)
-            first, last = at[: len(b)], at[len(b) :]
-            sums = [np.bincount(first, n.astype(np.float64), len(ids))]
-            sums += [np.bincount(first[np.minimum(n, 3) == k], minlength=len(ids)) for k in (1, 2, 3)]
-            sums += [np.bincount(last, minlength=len(ids))]
+            ids, b, c, n = packets[PAIRS][0]
+            sums = [np.bincount(b, n.astype(np.float64), len(ids))]
+            sums += [np.bincount(b[np.minimum(n, 3) == k], minlength=len(ids)) for k in (1, 2, 3)]
+            sums += [np.bincount(c, minlength=len(ids))]
             whence = np.array([shard], np.uint32)
-            yield rows_of([(k, WORDS, pack(whence, *part)) for k, (_, *part) in by_ranges(word_key(ids), shards, ids, *(s.astype(np.uint64) for s in sums))])
+            yield rows_of([(k, WORDS, pack(whence, *part)) for k, (_, *part) in by_ranges(word_key(ids), shards, ids, *(_narrow(s) for s in sums))])
 
     def add(shard, packets):
         ids, at = np.unique(np.concatenate([p[1] for p in packets[WORDS]]), return_inverse=True)
-        sums = [np.bincount(at, np.concatenate([p[k] for p in packets[WORDS]]).astype(np.float64), len(ids)).astype(np.uint64) for k in range(2, 7)]
+        sums = [np.bincount(at, np.concatenate([p[k] for p in packets[WORDS]]).astype(np.float64), len(ids)) for k in range(2, 7)]
+        sums = [_narrow(s) for s in sums]
         cuts = np.cumsum([0, *(len(p[1]) for p in packets[WORDS])])
-        out = [(int(p[0][0]), ANSWERS, pack(p[1], *(s[at[i:j]] for s in sums))) for p, i, j in zip(packets[WORDS], cuts[:-1], cuts[1:])]
+        out = [(int(p[0][0]), ANSWERS, pack(np.array([shard], np.uint32), *(s[at[i:j]] for s in sums))) for p, i, j in zip(packets[WORDS], cuts[:-1], cuts[1:])]
         last = sums[4][sums[4] > 0]
-        return [*out, (shard, WORDS, pack(ids, *sums)), (shard, STATS, pack(np.append(_few(last)[0], [len(last), int(last.sum())])))]
+        return [*out, (shard, WORDS, pack(ids, *sums, rising=True)), (shard, STATS, pack(np.append(_few(last)[0], [len(last), int(last.sum())])))]
 
     return met(two.where(f"kind = {PAIRS}").mapInArrow(trimmed(post), PACKED), shards, add)
 
 
+def pairs_told(two: DataFrame, one: DataFrame, shards: int) -> DataFrame:
+    """PAIRS with what words() says of each of their words: words, five columns for them, b, c, n."""
+
+    def add(shard, packets):
+        ids, *rows = packets[PAIRS][0]
+        answers = joined(sorted((p for p in packets[ANSWERS]), key=lambda p: p[0][0]))[1:]
+        order = np.argsort(word_key(ids))
+        said = [np.empty_like(x) for x in answers]
+        for to, x in zip(said, answers):
+            to[order] = x
+        return [(shard, PAIRS, pack(ids, *said, *rows, rising=True))]
+
+    return met(two.where(f"kind = {PAIRS}").unionByName(one.where(f"kind = {ANSWERS}")), shards, add)
+
+
 def _stats(table: DataFrame, width: int = 4) -> list[int]:
     """The sum of the STATS rows."""
 
@@ -201,6 +250,7 @@ class Scales:
     def __init__(self, three: list[int], two: list[int], one: list[int]):
         self.three, self.two, self.one = discounts(*three), discounts(*two), discounts(*one[:4])
         self.words, self.pairs = one[4:]
+        self.keys = sum(three) + self.pairs + self.words  # about
         mass = self.one[1] * one[0] + self.one[2] * one[1] + self.one[3] * (self.words - one[0] - one[1])
         self.unknown = mass / self.pairs / (self.words + UNKNOWN_WORDS)
 
@@ -214,105 +264,157 @@ class Scales:
         return np.where(total > 0, mass / np.maximum(total, 1), 1.0)
 
 
-def _contexts(columns: tuple[np.ndarray, ...], s: Scales) -> list[np.ndarray]:
-    """For trigrams in the order b, a, c: keys of their contexts, trigrams in each, total, discounted mass; discounts."""
-    a, b, _, n = columns
-    first = runs(b, a)
-    cut = _cut(s.three, n)
-    return [pair_key(a[first], b[first]), np.diff(np.append(first, len(n))), np.add.reduceat(n, first), np.add.reduceat(cut, first), cut]
+def wave_of(keys: np.ndarray, waves: int) -> np.ndarray:
+    """The wave of n-grams by the key of their last word."""
+    return ((keys & np.uint64(0xFFFFFF)) * np.uint64(waves)) >> np.uint64(24)
 
 
-def _waves(shards: int, waves: int) -> list[tuple[int, int]]:
-    edges = [shards * k // waves for k in range(waves + 1)]
-    return [(low, high) for low, high in zip(edges[:-1], edges[1:]) if low < high]
+class Model:
+    """What is counted; values() gives an n-gram's wave of the value table."""
 
+    def __init__(self, tri: list[DataFrame], two: DataFrame, one: DataFrame, scales: Scales, waves: int):
+        self.tables, self.two, self.one, self.scales, self.waves = [*tri, two, one], two, one, scales, waves
+        self.tri = reduce(DataFrame.unionByName, tri).where(f"kind = {TRIGRAMS}")
+        self.bits = min(max((scales.keys // waves).bit_length() + KEY_BITS, LEAST_BITS), MOST_BITS)
 
-def value_table(texts: DataFrame, shards: int, waves: int = WAVES) -> tuple[list[DataFrame], float] | None:
-    """VALUES (key, here, next) by shard, to be added up for each key; and the log10 of an unknown word's share.
+    def values(self, wave: int, shards: int) -> DataFrame:
+        """VALUES (key, here, next) of every shard of the n-grams whose last word is of a wave; KNOWN (where it starts,
+        bytes of a map of the keys' first bits).
 
-    here counts for each occurrence with its last word to be told, next for each as a context. None without words.
-    """
-    tri = materialise(trigrams(texts, shards), "kn-trigrams")
-    two = materialise(pairs(tri, shards), "kn-pairs")
+        here counts for each occurrence with its last word to be told, next for each as a context.
+        """
+        s, waves, bits = self.scales, self.waves, self.bits
+        zero = lambda x: np.zeros(len(x), np.float32)
+
+        def valued(keys, here, after):
+            return [(k, VALUES, pack(*part, rising=True)) for k, part in by_ranges(keys, shards, here.astype(np.float32), after.astype(np.float32))]
+
+        def move(batches):
+            """Trigrams to the shards of their last two words; contexts have their values."""
+            for _, packets in by_shard(batches):
+                for ids, b, a, c, n in packets[TRIGRAMS]:
+                    key = word_key(ids)
+                    inside = wave_of(key, waves) == wave
+                    first, cut = runs(b, a), _cut(s.three, n)
+                    mass = np.add.reduceat(cut, first)
+                    at = np.flatnonzero(inside[c])
+                    of = np.searchsorted(first, at, side="right") - 1
+                    before, word = key[b[at]], key[c[at]]
+                    suffix = key_of(before, word)
+                    # share / passed on: both have the total below
+                    ratio = ((n[at] - cut[at]) / mass[of]).astype(np.float32)
+                    rows = [(k, MOVED, pack(*part, rising=True)) for k, part in by_ranges(suffix, shards, key_of(key_of(key[a[at]], before), suffix), ratio)]
+                    mine = np.flatnonzero(inside[b[first]])
+                    total = np.add.reduceat(n.astype(np.float64), first)[mine]
+                    first = first[mine]
+                    yield rows_of([*rows, *valued(key_of(key[a[first]], key[b[first]]), zero(mine), np.log10(mass[mine] / total))])
+
+        def pair(batches):
+            for _, packets in by_shard(batches):
+                for ids, total, k1, k2, k3, last, b, c, n in packets[PAIRS]:
+                    key = word_key(ids)
+                    at = np.flatnonzero((wave_of(key, waves) == wave)[c])
+                    b, c, n = b[at], c[at], n[at]
+                    passed = s.passed(total, k1, k2, k3)[b] * s.single(last)[c]
+                    p = (n - _cut(s.two, n)) / total[b] + passed
+                    yield rows_of([(k, PAIRS, pack(*part, rising=True)) for k, part in by_ranges(key_of(key[b], key[c]), shards, p, np.log10(p / passed).astype(np.float32))])
+
+        def lone(batches):
+            for _, packets in by_shard(batches):
+                for columns in packets[WORDS]:
+                    key = word_key(columns[0])
+                    at = np.flatnonzero(wave_of(key, waves) == wave)
+                    total, k1, k2, k3, last = (x[at] for x in columns[1:])
+                    here = np.where(last > 0, np.log10(s.single(last) / s.unknown), 0.0)
+                    yield rows_of(valued(key[at], here, np.log10(s.passed(total, k1, k2, k3))))
+
+        def value(shard, packets):
+            own, out = packets.get(VALUES, []), []
+            if PAIRS in packets:
+                key, p, here = joined(packets[PAIRS])
+                order = np.argsort(key)
+                key, p, here = key[order], p[order], here[order]
+                own = [*own, [key, here, zero(key)]]
+            if MOVED in packets:  # a pair is the end of a trigram
+                suffix, moved, ratio = joined(packets[MOVED])
+                out = valued(moved, np.log10(1 + ratio / p[np.searchsorted(key, suffix)]), zero(moved))
+            if own:
+                key, (_, here, after) = _summed(*joined(own))
+                out.append((shard, VALUES, pack(key, here, after, rising=True)))
+            return out
+
+        def merge(shard, packets):
+            key, (_, here, after) = _summed(*joined(packets[VALUES]))
+            at = (key >> np.uint64(56 - bits)).astype(np.int64)
+            low = int(at[0]) >> 3
+            known = np.zeros(int(at[-1]) + 1 - 8 * low, np.uint8)
+            known[at - 8 * low] = 1
+            return [(shard, VALUES, pack(key, here, after, rising=True)), (shard, KNOWN, pack(np.array([low]), np.packbits(known, bitorder="little")))]
+
+        inputs = self.tri.mapInArrow(trimmed(move), PACKED).unionByName(self.two.mapInArrow(trimmed(pair), PACKED)).unionByName(self.one.mapInArrow(trimmed(lone), PACKED))
+        return materialise(met(met(inputs, shards, value), shards, merge), "kn-values")
+
+    def known(self, values: DataFrame) -> np.ndarray:
+        """The map of the keys in a table of values()."""
+        out = np.zeros(1 << (self.bits - 3), np.uint8)
+        for batch in values.where(f"kind = {KNOWN}").select("data").toArrow().to_batches(1):
+            for data in batch.column(0).to_pylist():
+                (low,), some = unpack(data)
+                out[low : low + len(some)] |= some
+        return out
+
+    def discard(self) -> None:
+        discard(*self.tables)
+
+
+def value_table(texts: DataFrame, shards: int, waves: int = WAVES) -> tuple[Model, float] | None:
+    """The model, and the log10 of an unknown word's share. None without words."""
+    tri = [materialise(trigrams(texts, shards, low, high), "kn-trigrams") for low, high in _waves(shards, min(COUNT_WAVES, waves))]
+    every = reduce(DataFrame.unionByName, tri)
+    two = materialise(pairs(every, shards), "kn-pairs")
     one = materialise(words(two, shards), "kn-words")
-    stats = _stats(tri), _stats(two), _stats(one, 6)
+    stats = _stats(every), _stats(two), _stats(one, 6)
     if not stats[2][4]:
-        discard(tri, two, one)
+        discard(*tri, two, one)
         return None
     s = Scales(*stats)
+    both = materialise(pairs_told(two, one, shards), "kn-told")
+    discard(two)
+    lone = materialise(one.where(f"kind = {WORDS}"), "kn-lone")
+    discard(one)
+    return Model(tri, both, lone, s, min(waves, shards)), float(np.log10(s.unknown))
 
-    def contexts(batches):
-        for shard, packets in by_shard(batches):
-            key, _, total, mass, _ = _contexts(packets[TRIGRAMS][0], s)
-            yield rows_of([(shard, VALUES, pack(key, np.zeros(len(key), np.float32), np.log10(mass / total).astype(np.float32)))])
-
-    def move(low, high):
-        """Trigrams to the shards of their last two words, if these are among those from low on and below high."""
 
-        def run(batches):
-            for _, packets in by_shard(batches):
-                a, b, c, n = packets[TRIGRAMS][0]
-                key, size, _, mass, cut = _contexts((a, b, c, n), s)
-                suffix = pair_key(b, c)
-                shard = shard_of(suffix, shards)
-                mine = np.flatnonzero((shard >= low) & (shard < high))
-                # share / passed on: both have the total below
-                ratio = ((n - cut) / np.repeat(mass, size)).astype(np.float32)[mine]
-                suffix = suffix[mine]
-                yield rows_of([(k, MOVED, pack(*part)) for k, part in by_ranges(suffix, shards, key_of(np.repeat(key, size)[mine], suffix), ratio)])
-
-        return run
-
-    def lone(batches):
-        for shard, packets in by_shard(batches):
-            ids, total, k1, k2, k3, last = packets[WORDS][0]
-            here = np.where(last > 0, np.log10(s.single(last) / s.unknown), 0.0)
-            after = np.log10(s.passed(total, k1, k2, k3))
-            yield rows_of([(shard, VALUES, pack(word_key(ids), here.astype(np.float32), after.astype(np.float32)))])
-
-    def value(shard, packets):
-        b, c, n = packets[PAIRS][0]
-        ids, total, k1, k2, k3, last = joined(packets[ANSWERS])
-        order = np.argsort(ids)
-        at, to = order[np.searchsorted(ids, b, sorter=order)], order[np.searchsorted(ids, c, sorter=order)]
-        back, low = s.passed(total, k1, k2, k3)[at], s.single(last[to])
-        p = (n - _cut(s.two, n)) / total[at] + back * low
-        key = pair_key(b, c)
-        order = np.argsort(key)
-        key, p = key[order], p[order]
-        suffix, own, ratio = joined(packets[MOVED])  # a pair is the end of a trigram
-        here = np.log10(1 + ratio / p[np.searchsorted(key, suffix)]).astype(np.float32)
-        zero = lambda x: np.zeros(len(x), np.float32)
-        out = [(k, VALUES, pack(*part, zero(part[0]))) for k, part in by_ranges(own, shards, here)]
-        return [*out, (shard, VALUES, pack(key, np.log10(p / (back * low)[order]).astype(np.float32), zero(key)))]
-
-    single = tri.where(f"kind = {TRIGRAMS}").mapInArrow(trimmed(contexts), PACKED).unionByName(one.where(f"kind = {WORDS}").mapInArrow(trimmed(lone), PACKED))
-    parts = [materialise(single, "kn-contexts")]
-    for low, high in _waves(shards, waves):
-        inside = f"shard >= {low} AND shard < {high}"
-        inputs = tri.where(f"kind = {TRIGRAMS}").mapInArrow(trimmed(move(low, high)), PACKED).unionByName(two.where(f"kind = {PAIRS} AND {inside}")).unionByName(one.where(f"kind = {ANSWERS} AND {inside}"))
-        parts.append(materialise(met(inputs, high - low, value, low), "kn-values"))
-    discard(tri, two, one)
-    return parts, float(np.log10(s.unknown))
+def _waves(shards: int, waves: int) -> list[tuple[int, int]]:
+    edges = [shards * k // waves for k in range(waves + 1)]
+    return [(low, high) for low, high in zip(edges[:-1], edges[1:]) if low < high]
 
 
 # ---------------------------------------------------------------- scores
 
 
-def _asked(x: np.ndarray, at: np.ndarray, of: np.ndarray, first: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Keys and codes (text * 4 + what is asked) of every n-gram; first and last mark the ends of texts."""
-    a, b, c = x[at - 2], x[at - 1], x[at]
-    word, before = word_key(c), word_key(b)
-    two = key_of(before, word)
-    context = key_of(word_key(a), before)
-    what = np.where(last, HERE, BOTH)
+def _asked(x: np.ndarray, at: np.ndarray, of: np.ndarray, first: np.ndarray, last: np.ndarray, wave: int | None, waves: int) -> tuple[np.ndarray, np.ndarray]:
+    """Keys and codes (text * 4 + what is asked) of every n-gram, or of those whose last word is of a wave; first and
+    last mark the ends of texts."""
+    of = of * 4
     begin = np.flatnonzero(first)  # the starts are contexts only
-    keys = np.concatenate([word, two, key_of(context, two), before[begin], context[begin]])
-    return keys, np.concatenate([of * 4 + what, of * 4 + what, of * 4 + HERE, of[begin] * 4 + NEXT, of[begin] * 4 + NEXT]).astype(np.uint16)
+    begin, into = at[begin], of[begin] + NEXT
+    what = of + np.where(last, HERE, BOTH)
+    if wave is not None:
+        if wave_of(word_key(np.array([START])), waves)[0] != wave:
+            begin, into = begin[:0], into[:0]
+        mine = np.flatnonzero(wave_of(word_key(x[at]), waves) == wave)
+        at, of, what = at[mine], of[mine], what[mine]
+    word, before = word_key(x[at]), word_key(x[at - 1])
+    two = key_of(before, word)
+    context = key_of(word_key(x[at - 2]), before)
+    start = word_key(x[begin - 1])
+    keys = np.concatenate([word, two, key_of(context, two), start, key_of(word_key(x[begin - 2]), start)])
+    return keys, np.concatenate([what, what, of + HERE, into, into]).astype(np.uint16)
 
 
-def _packets(batches):
-    """(keys of texts, their numbers, word counts, keys of n-grams, codes) for a bounded number of tokens.
+def _packets(batches, wave: int | None = None, waves: int = 1):
+    """(keys of texts, their numbers, word counts, keys of n-grams (of a wave), codes) for a bounded number of tokens.
 
     A long text comes in several parts with one number; copies of a text are left out as far as a task remembers it.
     """
@@ -337,7 +439,7 @@ def _packets(batches):
             cut = slice(k, k + PACKET_TOKENS)
             low = int(of[k])
             texts = names[low : int(of[cut][-1]) + 1]
-            yield texts, np.arange(len(texts)) + number + low, np.bincount(of[cut] - low, minlength=len(texts)), *_asked(x, at[cut], of[cut] - low, first[cut], last[cut])
+            yield texts, np.arange(len(texts)) + number + low, np.bincount(of[cut] - low, minlength=len(texts)), *_asked(x, at[cut], of[cut] - low, first[cut], last[cut], wave, waves)
         number += part.num_rows
 
 
@@ -369,6 +471,12 @@ def _found(have: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return at, have[at] == keys
 
 
+def _known(known: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    """Whether a map of Model.known() has the first bits of keys: it has those of all keys of the table, and some more."""
+    at = keys >> np.uint64(56 + 1 - (8 * len(known)).bit_length())
+    return (known[at >> np.uint64(3)] >> (at & np.uint64(7)).astype(np.uint8)) & np.uint8(1)
+
+
 def _summed(keys: np.ndarray, here: np.ndarray, after: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Distinct sorted keys, and a row for each of BOTH, HERE and NEXT."""
     order = np.argsort(keys)
@@ -398,31 +506,34 @@ def _lookup(table: DataFrame, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     return keys, out
 
 
-def sharded_scores(docs: DataFrame, tables: list[DataFrame], unknown: float, shards: int, waves: int = WAVES) -> DataFrame:
+def sharded_scores(docs: DataFrame, model: Model, unknown: float, shards: int) -> DataFrame:
     """__key (xxhash64 of the text), n_tokens and log10_prob of every text that has words."""
-    table = reduce(DataFrame.unionByName, tables)
-    hot = docs.sparkSession.sparkContext.broadcast(_lookup(table, hot_keys(docs)))
-    parts = []
-    for low, high in _waves(shards, waves):
-        values = table.where(f"shard >= {low} AND shard < {high}")
-        parts.append(materialise(_wave(docs, values, hot, shards, low, high), "kn-scores"))
+    often, parts = hot_keys(docs), []
+    each = max(-(-shards // model.waves), min(shards, docs.sparkSession.sparkContext.defaultParallelism))
+    for wave in range(model.waves):
+        values = model.values(wave, each)
+        known, values_only = model.known(values), values.where(f"kind = {VALUES}")
+        hot = docs.sparkSession.sparkContext.broadcast((*_lookup(values_only, often), known))
+        parts.append(materialise(_wave(docs, values_only, hot, each, wave, model.waves), "kn-scores"))
+        hot.unpersist()
+        discard(values)
     sums = reduce(DataFrame.unionByName, parts).groupBy("__key").agg(F.max("n").alias("n_tokens"), F.sum("part").alias("part"))
     out = materialise(sums.select("__key", "n_tokens", (F.col("part") + F.col("n_tokens") * F.lit(unknown)).alias("log10_prob")), "kn-sums")
     discard(*parts)
     return out
 
 
-def _wave(docs: DataFrame, values: DataFrame, hot, shards: int, low: int, high: int) -> DataFrame:
-    """__key, n and part: what the n-grams of some shards give each text."""
+def _wave(docs: DataFrame, values: DataFrame, hot, shards: int, wave: int, waves: int) -> DataFrame:
+    """__key, n and part: what the n-grams of a wave give each text."""
     # a packet's own row tells its texts; rows from shards tell what they add
     told = "packet long, texts binary, adds binary"
 
     def ask(batches):
         packet = TaskContext.get().partitionId() << 32
-        keys_hot, values_hot = hot.value
-        for texts, numbers, n, keys, codes in _packets(batches):
-            shard = shard_of(keys, shards)
-            mine = np.flatnonzero((shard >= low) & (shard < high))
+        keys_hot, values_hot, known = hot.value
+        for texts, numbers, n, keys, codes in _packets(batches, wave, waves):
+            # an n-gram that the map leaves out is not in the table and adds nothing
+            mine = np.flatnonzero(_known(known, keys))
             order = mine[np.argsort(keys[mine])]
             keys, codes = keys[order], codes[order]
             # frequent n-grams are runs of the sorted keys
@@ -432,13 +543,13 @@ def _wave(docs: DataFrame, values: DataFrame, hot, shards: int, low: int, high:
             where = np.arange(len(often)) + np.repeat(begin - np.cumsum(times) + times, times)
             # without any, bincount() forgets that it was to add fractions
             sums = np.bincount(codes[where] >> 2, values_hot[codes[where] & 3, often], len(texts)).astype(np.float64)
-            yield rows_of([(int(packet % (high - low)) + low, ASKED, pack(np.array([packet]), texts, numbers, n, sums))])
+            yield rows_of([(packet % shards, ASKED, pack(texts, numbers, n, sums, np.array([packet])))])
             other = np.ones(len(keys), bool)
             other[where] = False
             rows = []
             for k, (own, code) in by_ranges(keys[other], shards, codes[other], rising=True):
                 new = runs(own)
-                rows.append((k, ASKED, pack(np.array([packet]), own[new], np.diff(np.append(new, len(own))).astype(np.uint32), code)))
+                rows.append((k, ASKED, pack(own[new], np.diff(np.append(new, len(own))).astype(np.uint32), code, np.array([packet]), rising=True)))
             if rows:
                 yield rows_of(rows)
             packet += 1
@@ -456,11 +567,11 @@ def _wave(docs: DataFrame, values: DataFrame, hot, shards: int, low: int, high:
                 if parts:  # values come before questions
                     (have, of), parts = _summed(*joined(parts)), []
                 got = unpack(data)
-                packet = int(got[0][0])
-                if got[1].dtype == np.int64:  # the packet's own row
-                    out.append((packet, pack(*got[1:]), None))
+                packet = int(got[-1][0])
+                if got[0].dtype == np.int64:  # the packet's own row
+                    out.append((packet, pack(*got[:-1]), None))
                     continue
-                _, own, size, code = got
+                own, size, code, _ = got
                 at, hit = _found(have, own)
                 at, hit = np.repeat(at, size), np.repeat(hit, size)
                 code, at = code[hit], at[hit]
@@ -492,8 +603,8 @@ def _wave(docs: DataFrame, values: DataFrame, hot, shards: int, low: int, high:
             yield done()
 
     asked = docs.select(F.xxhash64("text").alias("k"), "text").mapInArrow(trimmed(ask), PACKED)
-    answers = dealt(values.unionByName(asked), high - low, F.col("shard") - low).sortWithinPartitions("shard", "kind").mapInArrow(trimmed(answer), told)
-    sums = answers.repartition(high - low, "packet").sortWithinPartitions("packet").mapInArrow(trimmed(gather), "__key long, task long, number long, n long, part double")
+    answers = dealt(values.unionByName(asked), shards, F.col("shard")).sortWithinPartitions("shard", "kind").mapInArrow(trimmed(answer), told)
+    sums = answers.repartition(shards, "packet").sortWithinPartitions("packet").mapInArrow(trimmed(gather), "__key long, task long, number long, n long, part double")
     # the parts of a long text add up; copies of a text have one score
     sums = sums.where("n > 0").groupBy("__key", "task", "number").agg(F.sum("n").alias("n"), F.sum("part").alias("part"))
     return sums.groupBy("__key").agg(F.max("n").alias("n"), F.max("part").alias("part"))
@@ -504,10 +615,17 @@ def trusted_ids(labels: DataFrame) -> DataFrame:
     return labels.where("quality = 1 AND doc_id IS NOT NULL").select(F.col("doc_id").alias("__good")).distinct()
 
 
-def shard_count(docs: DataFrame) -> int:
-    """Shards of bounded size, and as many as the session's partitions at least."""
+def trusted_texts(docs: DataFrame, trusted: DataFrame) -> list[DataFrame]:
+    """Tables of the texts of docs that trusted ids name. The ids are sent to the texts, a bounded number at a time."""
+    parts = max(1, -(-trusted.count() // SENT_IDS))
+    some = lambda k: F.broadcast(trusted.where(F.pmod(F.xxhash64("__good"), F.lit(parts)) == k))
+    return [materialise(docs.join(some(k), F.col("doc_id") == F.col("__good"), "left_semi").select("text"), "kn-trusted") for k in range(parts)]
+
+
+def shard_count(docs: DataFrame) -> tuple[int, int]:
+    """Shards of bounded size, and as many as the session's partitions at least; waves."""
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    return max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-size // SHARD_BYTES))
+    return max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-size // SHARD_BYTES)), min(WAVES, 1 + size // WAVE_BYTES)
 
 
 def classify(docs: DataFrame, labels: DataFrame, keep: list[str] | None = None) -> DataFrame:
@@ -515,12 +633,13 @@ def classify(docs: DataFrame, labels: DataFrame, keep: list[str] | None = None)
     keep = keep or ["doc_id", "lang"]
     trusted = trusted_ids(labels)
     held = held_out("doc_id", FOLDS, HELD_OUT)
-    good = docs.select("doc_id", "text").where(~held & F.col("text").isNotNull()).join(trusted, F.col("doc_id") == F.col("__good"), "left_semi")
-    shards = shard_count(docs)
-    model = value_table(good, shards)
+    good = trusted_texts(docs.select("doc_id", "text").where(~held & F.col("text").isNotNull()), trusted)
+    shards, waves = shard_count(docs)
+    model = value_table(reduce(DataFrame.unionByName, good), shards, waves)
+    discard(*good)
     if model:
         scores = sharded_scores(docs, *model, shards)
-        discard(*model[0])
+        model[0].discard()
     else:  # without trusted words only lengths are known
         scores = docs.select(F.xxhash64("text").alias("__key"), F.size(native_words(F.col("text"))).cast("long").alias("n_tokens"), F.lit(0.0).alias("log10_prob")).where("n_tokens > 0").distinct()
     with_scores = lambda rows: rows.join(scores, "__key", "left").withColumns({"n_tokens": F.coalesce("n_tokens", F.lit(0)), "log10_prob": F.coalesce("log10_prob", F.lit(0.0))})

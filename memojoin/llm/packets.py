@@ -19,9 +19,18 @@ MOST_TEXTS = 16_000
 PACKED = "shard int, kind int, data binary"
 
 
-def pack(*columns: np.ndarray) -> bytes:
-    """Columns as byte planes, compressed: sorted numbers and unused high bytes take little room."""
-    head = [struct.pack("<B", len(columns)), *(struct.pack("<cI", c.dtype.char.encode(), len(c)) for c in columns)]
+#: Set in a packet's first byte if its first column holds differences.
+RISING = 128
+
+
+def pack(*columns: np.ndarray, rising: bool = False) -> bytes:
+    """Columns as byte planes, compressed: sorted numbers and unused high bytes take little room.
+
+    With rising, the first column is unsigned and never falls, and travels as differences.
+    """
+    head = [struct.pack("<B", len(columns) | RISING * rising), *(struct.pack("<cI", c.dtype.char.encode(), len(c)) for c in columns)]
+    if rising:
+        columns = np.diff(columns[0], prepend=columns[0].dtype.type(0)), *columns[1:]
     planes = [np.ascontiguousarray(c).view(np.uint8).reshape(len(c), c.dtype.itemsize).T.tobytes() for c in columns]
     return zstandard.ZstdCompressor(level=1).compress(b"".join(head + planes))
 
@@ -29,13 +38,15 @@ def pack(*columns: np.ndarray) -> bytes:
 def unpack(data: bytes) -> list[np.ndarray]:
     """The columns, to be written to as well, also those of one row."""
     data = zstandard.ZstdDecompressor().decompress(data)
-    kinds = [struct.unpack_from("<cI", data, 1 + 5 * k) for k in range(data[0])]
+    kinds = [struct.unpack_from("<cI", data, 1 + 5 * k) for k in range(data[0] & ~RISING)]
     at, out = 1 + 5 * len(kinds), []
     for char, n in kinds:
         kind = np.dtype(char.decode())
         planes = np.frombuffer(data, np.uint8, n * kind.itemsize, at).reshape(kind.itemsize, n)
         out.append(planes.T.copy().view(kind).reshape(n))
         at += n * kind.itemsize
+    if data[0] & RISING:
+        out[0] = np.cumsum(out[0], dtype=out[0].dtype)
     return out
 
 
@@ -59,6 +70,16 @@ def by_ranges(keys: np.ndarray, shards: int, *columns: np.ndarray, rising: bool
             yield k, [keys[part], *(c[part] for c in columns)]
 
 
+def split(shard: np.ndarray, *columns: np.ndarray) -> Iterator[tuple[int, list[np.ndarray]]]:
+    """(shard, columns) for each shard that has some, in the order in which they come."""
+    few = shard.astype(np.uint16) if shard.max(initial=0) < 1 << 16 else shard
+    order = np.argsort(few, kind="stable")
+    shard = shard[order]
+    cuts = np.append(runs(shard), len(shard))
+    for low, high in zip(cuts[:-1], cuts[1:]):
+        yield int(shard[low]), [c[order[low:high]] for c in columns]
+
+
 def by_shard(batches) -> Iterator[tuple[int, dict[int, list[list[np.ndarray]]]]]:
     """(shard, packets by kind) of a stream in the order of shards."""
     shard, held = None, {}

@@ -340,6 +340,32 @@ def test_sharded_kneser_ney_counts_all_trusted_texts_and_equals_plain_python(spa
         assert math.isclose(got[k]["log10_prob"], plain.log10(t), rel_tol=1e-4), t
 
 
+def test_classifier_sends_trusted_ids_instead_of_shuffling_texts(spark, monkeypatch):
+    docs = table(spark, [f"a b c{k}" for k in range(50)])
+    trusted = spark.range(0, 30).withColumnRenamed("id", "__good")
+    for sent in (kn_quality.SENT_IDS, 7):  # at once, and a few at a time
+        monkeypatch.setattr(kn_quality, "SENT_IDS", sent)
+        plans, write = [], kn_quality.materialise
+        monkeypatch.setattr(kn_quality, "materialise", lambda df, name: plans.append(df._jdf.queryExecution().executedPlan().toString()) or write(df, name))  # noqa: B023
+        got = kn_quality.trusted_texts(docs.select("doc_id", "text"), trusted)
+        monkeypatch.setattr(kn_quality, "materialise", write)
+        assert sorted(r["text"] for t in got for r in t.collect()) == sorted(f"a b c{k}" for k in range(30))
+        assert all("BroadcastHashJoin" in p and "hashpartitioning" not in p for p in plans) and len(got) == -(-30 // sent)
+
+
+def test_map_of_keys_leaves_none_out(spark, monkeypatch):
+    train = spark.createDataFrame([(" ".join(f"w{k % 97} v{k % 53} u{k}" for k in range(i, i + 40)),) for i in range(0, 2000, 40)], "text string")
+    monkeypatch.setattr(kn_quality, "LEAST_BITS", 10)
+    model, _ = kn_quality.value_table(train, 5, 2)
+    for wave in range(2):
+        values = model.values(wave, 5)
+        known = model.known(values)
+        keys = np.concatenate([unpack(r["data"])[0] for r in values.where(f"kind = {kn_quality.VALUES}").collect()])
+        assert len(keys) == len(np.unique(keys)) and kn_quality._known(known, keys).all()
+        other = np.random.default_rng(1).integers(0, 1 << 56, 10_000, dtype=np.uint64)
+        assert kn_quality._known(known, other).mean() < 0.2
+
+
 def test_texts_without_a_frequent_ngram_are_scored(spark):
     # one text is alone in its partition and shares only its start with the others
     texts = [f"{a} {b} {c}" for a in "abcd" for b in "abcd" for c in "abcd"]
