@@ -40,7 +40,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from memojoin.llm.common import WordHasher, dealt, discard, held_out, materialise, native_words, read, trimmed
-from memojoin.llm.packets import PACKED, by_ranges, by_shard, joined, met, pack, rows_of, runs, shard_of, slices, split, unpack
+from memojoin.llm.packets import MOST_TEXTS, PACKED, by_ranges, by_shard, joined, met, pack, rows_of, runs, shard_of, slices, split, unpack
 
 FOLDS, HELD_OUT = 4, 2
 QUANTILE, MARGIN = 0.995, 0.25
@@ -50,7 +50,9 @@ LEAST_TRUSTED = 50
 UNKNOWN_WORDS = 1_000_000
 #: Parts in which n-grams are scored, by their last words, and those in which trigrams are counted, each of so many
 #: bytes of text at least; bytes of text for each shard at most; tokens of a packet.
-WAVES, COUNT_WAVES, WAVE_BYTES, SHARD_BYTES, PACKET_TOKENS = 7, 3, 8 << 20, 128 << 20, 1 << 19
+WAVES, COUNT_WAVES, WAVE_BYTES, SHARD_BYTES, PACKET_TOKENS = 6, 2, 8 << 20, 128 << 20, 3 << 18
+#: Bytes of text that a task takes at a time; n-grams that it asks for at a time, about.
+TEXT_BYTES, MOST_KEYS = 5 << 20, 1 << 20
 #: Trusted ids that are sent to every task at a time.
 SENT_IDS = 1 << 20
 #: A sample of about so many texts shows the frequent n-grams: those with more than this share of its n-grams.
@@ -99,7 +101,7 @@ def discounts(n1: int, n2: int, n3: int, n4: int) -> np.ndarray:
 
 
 def _cut(d: np.ndarray, n: np.ndarray) -> np.ndarray:
-    return d[np.minimum(n, 3).astype(np.int64)]
+    return d[np.minimum(n, 3).astype(np.uint8)]
 
 
 def _framed(h: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -140,7 +142,7 @@ def _added(columns: list[np.ndarray], n: np.ndarray) -> tuple[np.ndarray, list[n
 
 def _narrow(n: np.ndarray) -> np.ndarray:
     """Counts in as few bytes as hold them all."""
-    return n.astype(np.uint32 if n.max(initial=0) < 1 << 32 else np.uint64)
+    return n.astype(np.min_scalar_type(int(n.max(initial=0))))
 
 
 def trigrams(texts: DataFrame, shards: int, low: int, high: int) -> DataFrame:
@@ -149,16 +151,20 @@ def trigrams(texts: DataFrame, shards: int, low: int, high: int) -> DataFrame:
 
     def post(batches):
         hasher = WordHasher()
-        for part in slices(batches, 0):
+        for part in slices(batches, 0, TEXT_BYTES):
             x, at, _ = _framed(*hasher.hashes(part.column(0)))
+            ids, rank = np.unique(x, return_inverse=True)
+            key, rank = word_key(ids), rank.astype(np.uint32)
             for k in range(0, len(at), PACKET_TOKENS):
                 c = at[k : k + PACKET_TOKENS]
-                shard = shard_of(pair_key(x[c - 2], x[c - 1]), shards)
-                c = c[(shard >= low) & (shard < high)]
-                if len(c):
-                    ids, (q, p, r), n = _added([x[c - 1], x[c - 2], x[c]], np.ones(len(c), np.uint64))
-                    shard = shard_of(key_of(word_key(ids)[p], word_key(ids)[q]), shards)
-                    yield rows_of([(s, TRIGRAMS, pack(*part, rising=True)) for s, part in split(shard, ids[q], ids[p], ids[r], _narrow(n))])
+                p, q, r = rank[c - 2], rank[c - 1], rank[c]
+                shard = shard_of(key_of(key[p], key[q]), shards)
+                mine = np.flatnonzero((shard >= low) & (shard < high))
+                if len(mine):
+                    order = mine[_order(q[mine], p[mine], r[mine], words=len(ids))]
+                    new = runs(q[order], p[order], r[order])
+                    n, order = np.diff(np.append(new, len(order))), order[new]
+                    yield rows_of([(s, TRIGRAMS, pack(*found, rising=True)) for s, found in split(shard[order], ids[q[order]], ids[p[order]], ids[r[order]], _narrow(n))])
 
     def add(shard, packets):
         *columns, n = joined(packets[TRIGRAMS])
@@ -396,15 +402,15 @@ def _waves(shards: int, waves: int) -> list[tuple[int, int]]:
 def _asked(x: np.ndarray, at: np.ndarray, of: np.ndarray, first: np.ndarray, last: np.ndarray, wave: int | None, waves: int) -> tuple[np.ndarray, np.ndarray]:
     """Keys and codes (text * 4 + what is asked) of every n-gram, or of those whose last word is of a wave; first and
     last mark the ends of texts."""
-    of = of * 4
     begin = np.flatnonzero(first)  # the starts are contexts only
-    begin, into = at[begin], of[begin] + NEXT
-    what = of + np.where(last, HERE, BOTH)
+    begin, into = at[begin], of[begin] * 4 + NEXT
     if wave is not None:
         if wave_of(word_key(np.array([START])), waves)[0] != wave:
             begin, into = begin[:0], into[:0]
         mine = np.flatnonzero(wave_of(word_key(x[at]), waves) == wave)
-        at, of, what = at[mine], of[mine], what[mine]
+        at, of, last = at[mine], of[mine], last[mine]
+    of = of * 4
+    what = of + np.where(last, HERE, BOTH)
     word, before = word_key(x[at]), word_key(x[at - 1])
     two = key_of(before, word)
     context = key_of(word_key(x[at - 2]), before)
@@ -419,7 +425,7 @@ def _packets(batches, wave: int | None = None, waves: int = 1):
     A long text comes in several parts with one number; copies of a text are left out as far as a task remembers it.
     """
     hasher, seen, number = WordHasher(), set(), 0
-    for part in slices(batches, 1):
+    for part in slices(batches, 1, TEXT_BYTES):
         fresh = []
         for k, name in enumerate(part.column(0).to_pylist()):
             if name not in seen:
@@ -443,6 +449,29 @@ def _packets(batches, wave: int | None = None, waves: int = 1):
         number += part.num_rows
 
 
+def _gathered(packets, known: np.ndarray):
+    """Larger packets of so many n-grams or texts at most, without n-grams that a map leaves out.
+
+    An n-gram left out is not in the table of values and adds nothing.
+    """
+    held, texts, size = [], 0, 0
+
+    def done():
+        *columns, codes = zip(*held)
+        before = np.cumsum([0, *(len(t) for t in columns[0])])
+        return *(np.concatenate(c) for c in columns), np.concatenate([c + np.uint16(4 * k) for c, k in zip(codes, before)])
+
+    for names, numbers, n, keys, codes in packets:
+        mine = np.flatnonzero(_known(known, keys))
+        if held and (texts + len(names) > MOST_TEXTS or size + len(mine) > MOST_KEYS):
+            yield done()
+            held, texts, size = [], 0, 0
+        held.append((names, numbers, n, keys[mine], codes[mine]))
+        texts, size = texts + len(names), size + len(mine)
+    if held:
+        yield done()
+
+
 def hot_keys(docs: DataFrame) -> np.ndarray:
     """Keys of n-grams that a sample of texts holds very often: at most three divided by HOT_SHARE."""
     n = docs.count()
@@ -531,10 +560,8 @@ def _wave(docs: DataFrame, values: DataFrame, hot, shards: int, wave: int, waves
     def ask(batches):
         packet = TaskContext.get().partitionId() << 32
         keys_hot, values_hot, known = hot.value
-        for texts, numbers, n, keys, codes in _packets(batches, wave, waves):
-            # an n-gram that the map leaves out is not in the table and adds nothing
-            mine = np.flatnonzero(_known(known, keys))
-            order = mine[np.argsort(keys[mine])]
+        for texts, numbers, n, keys, codes in _gathered(_packets(batches, wave, waves), known):
+            order = np.argsort(keys)
             keys, codes = keys[order], codes[order]
             # frequent n-grams are runs of the sorted keys
             begin = np.searchsorted(keys, keys_hot)
