@@ -11,8 +11,8 @@ keys in byte planes, compressed) that are dealt to shards by the hash of an n-gr
 Each step ends in a table. A text's log probability is a sum over its n-grams: what each word has on its own, what
 each context passes on to shorter n-grams, and what each bigram and trigram of training adds to that. So step 4 gives
 a table of values by n-gram key, and scoring joins the documents' n-grams with it, shard by shard. Both are done in
-``WAVES``, each for the n-grams whose last word falls into it, so that only that part of the n-grams is on disk at a
-time, beside the counts; trigrams are counted in ``COUNT_WAVES`` of shards. A map of bits (bounded) of a wave's keys
+``WAVES`` of about the same number of n-grams, each for those whose last word falls into it, so that only that part of
+the n-grams is on disk at a time, beside the counts; trigrams are counted in ``COUNT_WAVES`` of shards. A map of bits (bounded) of a wave's keys
 is sent to the texts, so that most n-grams that training lacks are not asked for. N-grams that a small sample
 shows to be very frequent (a bounded number) are looked up before and scored where the text is, so that no shard is hot.
 
@@ -39,7 +39,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from memojoin.llm.common import WordHasher, dealt, discard, held_out, materialise, native_words, read, trimmed
+from memojoin.llm.common import ChunkHasher, dealt, discard, held_out, materialise, native_words, read, trimmed
 from memojoin.llm.packets import MOST_TEXTS, PACKED, by_ranges, by_shard, joined, met, pack, rows_of, runs, shard_of, slices, split, unpack
 
 FOLDS, HELD_OUT = 4, 2
@@ -61,9 +61,11 @@ HOT_TEXTS, HOT_SHARE = 4_000, 1 / 20_000
 REMEMBERED = 500_000
 START = np.uint64(0)
 #: Kinds of packed rows; values come before the questions about them.
-VALUES, TRIGRAMS, PAIRS, WORDS, ANSWERS, MOVED, STATS, ASKED, KNOWN = range(9)
+VALUES, TRIGRAMS, PAIRS, WORDS, ANSWERS, MOVED, STATS, ASKED, KNOWN, LOADS = range(10)
 #: Powers of two: bits of the map of a wave's keys, for each key and at least and at most (64 MB).
 KEY_BITS, LEAST_BITS, MOST_BITS = 3, 16, 29
+#: Bits of a word's id that name its part; whole parts are dealt out to waves.
+PART_BITS, ID_BITS = 10, 48
 #: What an n-gram of a text asks for: its own value and that as a context, or one of them.
 BOTH, HERE, NEXT = range(3)
 
@@ -107,11 +109,13 @@ def _cut(d: np.ndarray, n: np.ndarray) -> np.ndarray:
 def _framed(h: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Word ids with two starts in front of each text that has words; the position of every word; its text."""
     live = np.flatnonzero(n)
-    of = np.repeat(live, n[live])
-    at = np.arange(len(h)) + 2 * (np.repeat(np.arange(len(live)), n[live]) + 1)
+    of = np.repeat(np.arange(len(live)), n[live])
+    at = np.arange(2, len(h) + 2)
+    at += 2 * of
     x = np.full(len(h) + 2 * len(live), START, np.uint64)
-    x[at] = np.maximum(h >> np.uint64(16), np.uint64(1))
-    return x, at, of
+    ids = h >> np.uint64(16)
+    x[at] = np.maximum(ids, np.uint64(1), out=ids)
+    return x, at, of if len(live) == len(n) else live[of]
 
 
 def _ranked(*columns: np.ndarray) -> tuple[np.ndarray, list[np.ndarray]]:
@@ -147,10 +151,10 @@ def _narrow(n: np.ndarray) -> np.ndarray:
 
 def trigrams(texts: DataFrame, shards: int, low: int, high: int) -> DataFrame:
     """TRIGRAMS (words; b, a, c as places in them; n) of the shards (of the first two words) from low on and below
-    high, in the order b, a, c; STATS of the counts."""
+    high, in the order b, a, c; STATS of the counts; LOADS (how many different ones end in each part of the ids)."""
 
     def post(batches):
-        hasher = WordHasher()
+        hasher = ChunkHasher()
         for part in slices(batches, 0, TEXT_BYTES):
             x, at, _ = _framed(*hasher.hashes(part.column(0)))
             ids, rank = np.unique(x, return_inverse=True)
@@ -169,7 +173,8 @@ def trigrams(texts: DataFrame, shards: int, low: int, high: int) -> DataFrame:
     def add(shard, packets):
         *columns, n = joined(packets[TRIGRAMS])
         ids, ranks, n = _added(columns, n)
-        return [(shard, TRIGRAMS, pack(ids, *ranks, _narrow(n), rising=True)), (shard, STATS, pack(*_few(n)))]
+        loads = np.bincount(_part(ids)[ranks[2]], minlength=1 << PART_BITS)
+        return [(shard, TRIGRAMS, pack(ids, *ranks, _narrow(n), rising=True)), (shard, STATS, pack(*_few(n))), (shard, LOADS, pack(loads))]
 
     return met(texts.select("text").mapInArrow(trimmed(post), PACKED), high - low, add, low)
 
@@ -236,18 +241,20 @@ def pairs_told(two: DataFrame, one: DataFrame, shards: int) -> DataFrame:
     return met(two.where(f"kind = {PAIRS}").unionByName(one.where(f"kind = {ANSWERS}")), shards, add)
 
 
-def _stats(table: DataFrame, width: int = 4) -> list[int]:
-    """The sum of the STATS rows."""
+def _stats(table: DataFrame, width: int = 4, kind: int = STATS) -> list[int]:
+    """The sum of the STATS rows, or of those of another kind."""
 
     def run(batches):
         total = np.zeros(width, np.int64)
         for batch in batches:
             for data in batch.column(0).to_pylist():
                 total += unpack(data)[0]
-        yield pa.RecordBatch.from_arrays([pa.array([total.tolist()], pa.list_(pa.int64()))], ["s"])
+        if total.any():
+            yield pa.RecordBatch.from_arrays([pa.array([total.tolist()], pa.list_(pa.int64()))], ["s"])
 
-    got = table.where(f"kind = {STATS}").select("data").mapInArrow(trimmed(run), "s array<long>")
-    return list(got.agg(*[F.coalesce(F.sum(F.col("s")[k]), F.lit(0)) for k in range(width)]).first())
+    got = table.where(f"kind = {kind}").select("data").mapInArrow(trimmed(run), "s array<long>")
+    sums = dict(got.select(F.posexplode("s").alias("k", "n")).groupBy("k").agg(F.sum("n")).collect())
+    return [sums.get(k, 0) for k in range(width)]
 
 
 class Scales:
@@ -270,18 +277,31 @@ class Scales:
         return np.where(total > 0, mass / np.maximum(total, 1), 1.0)
 
 
-def wave_of(keys: np.ndarray, waves: int) -> np.ndarray:
-    """The wave of n-grams by the key of their last word."""
-    return ((keys & np.uint64(0xFFFFFF)) * np.uint64(waves)) >> np.uint64(24)
+def _part(ids: np.ndarray) -> np.ndarray:
+    return (ids >> np.uint64(ID_BITS - PART_BITS)).view(np.int64)
+
+
+def in_wave(ids: np.ndarray, wave: np.ndarray) -> np.ndarray:
+    """Whether n-grams are of a wave (marked parts of the ids), by the ids of their last words."""
+    return wave.take(_part(ids), mode="clip")
+
+
+def deal_waves(loads: np.ndarray, waves: int) -> list[np.ndarray]:
+    """The parts of so many waves, which get about the same load: the heaviest part first, always to the lightest wave."""
+    of, held = np.zeros(len(loads), np.int64), np.zeros(waves)
+    for part in np.argsort(-loads, kind="stable"):
+        of[part] = held.argmin()
+        held[of[part]] += loads[part] + 1
+    return [of == wave for wave in range(waves)]
 
 
 class Model:
     """What is counted; values() gives an n-gram's wave of the value table."""
 
-    def __init__(self, tri: list[DataFrame], two: DataFrame, one: DataFrame, scales: Scales, waves: int):
+    def __init__(self, tri: list[DataFrame], two: DataFrame, one: DataFrame, scales: Scales, waves: list[np.ndarray]):
         self.tables, self.two, self.one, self.scales, self.waves = [*tri, two, one], two, one, scales, waves
         self.tri = reduce(DataFrame.unionByName, tri).where(f"kind = {TRIGRAMS}")
-        self.bits = min(max((scales.keys // waves).bit_length() + KEY_BITS, LEAST_BITS), MOST_BITS)
+        self.bits = min(max((scales.keys // len(waves)).bit_length() + KEY_BITS, LEAST_BITS), MOST_BITS)
 
     def values(self, wave: int, shards: int) -> DataFrame:
         """VALUES (key, here, next) of every shard of the n-grams whose last word is of a wave; KNOWN (where it starts,
@@ -289,7 +309,7 @@ class Model:
 
         here counts for each occurrence with its last word to be told, next for each as a context.
         """
-        s, waves, bits = self.scales, self.waves, self.bits
+        s, mine, bits = self.scales, self.waves[wave], self.bits
         zero = lambda x: np.zeros(len(x), np.float32)
 
         def valued(keys, here, after):
@@ -300,7 +320,7 @@ class Model:
             for _, packets in by_shard(batches):
                 for ids, b, a, c, n in packets[TRIGRAMS]:
                     key = word_key(ids)
-                    inside = wave_of(key, waves) == wave
+                    inside = in_wave(ids, mine)
                     first, cut = runs(b, a), _cut(s.three, n)
                     mass = np.add.reduceat(cut, first)
                     at = np.flatnonzero(inside[c])
@@ -310,16 +330,16 @@ class Model:
                     # share / passed on: both have the total below
                     ratio = ((n[at] - cut[at]) / mass[of]).astype(np.float32)
                     rows = [(k, MOVED, pack(*part, rising=True)) for k, part in by_ranges(suffix, shards, key_of(key_of(key[a[at]], before), suffix), ratio)]
-                    mine = np.flatnonzero(inside[b[first]])
-                    total = np.add.reduceat(n.astype(np.float64), first)[mine]
-                    first = first[mine]
-                    yield rows_of([*rows, *valued(key_of(key[a[first]], key[b[first]]), zero(mine), np.log10(mass[mine] / total))])
+                    some = np.flatnonzero(inside[b[first]])
+                    total = np.add.reduceat(n.astype(np.float64), first)[some]
+                    first = first[some]
+                    yield rows_of([*rows, *valued(key_of(key[a[first]], key[b[first]]), zero(some), np.log10(mass[some] / total))])
 
         def pair(batches):
             for _, packets in by_shard(batches):
                 for ids, total, k1, k2, k3, last, b, c, n in packets[PAIRS]:
                     key = word_key(ids)
-                    at = np.flatnonzero((wave_of(key, waves) == wave)[c])
+                    at = np.flatnonzero(in_wave(ids, mine)[c])
                     b, c, n = b[at], c[at], n[at]
                     passed = s.passed(total, k1, k2, k3)[b] * s.single(last)[c]
                     p = (n - _cut(s.two, n)) / total[b] + passed
@@ -328,11 +348,10 @@ class Model:
         def lone(batches):
             for _, packets in by_shard(batches):
                 for columns in packets[WORDS]:
-                    key = word_key(columns[0])
-                    at = np.flatnonzero(wave_of(key, waves) == wave)
-                    total, k1, k2, k3, last = (x[at] for x in columns[1:])
+                    at = np.flatnonzero(in_wave(columns[0], mine))
+                    ids, total, k1, k2, k3, last = (x[at] for x in columns)
                     here = np.where(last > 0, np.log10(s.single(last) / s.unknown), 0.0)
-                    yield rows_of(valued(key[at], here, np.log10(s.passed(total, k1, k2, k3))))
+                    yield rows_of(valued(word_key(ids), here, np.log10(s.passed(total, k1, k2, k3))))
 
         def value(shard, packets):
             own, out = packets.get(VALUES, []), []
@@ -383,12 +402,12 @@ def value_table(texts: DataFrame, shards: int, waves: int = WAVES) -> tuple[Mode
     if not stats[2][4]:
         discard(*tri, two, one)
         return None
-    s = Scales(*stats)
+    s, loads = Scales(*stats), np.array(_stats(every, 1 << PART_BITS, LOADS))
     both = materialise(pairs_told(two, one, shards), "kn-told")
     discard(two)
     lone = materialise(one.where(f"kind = {WORDS}"), "kn-lone")
     discard(one)
-    return Model(tri, both, lone, s, min(waves, shards)), float(np.log10(s.unknown))
+    return Model(tri, both, lone, s, deal_waves(loads, min(waves, shards))), float(np.log10(s.unknown))
 
 
 def _waves(shards: int, waves: int) -> list[tuple[int, int]]:
@@ -399,15 +418,15 @@ def _waves(shards: int, waves: int) -> list[tuple[int, int]]:
 # ---------------------------------------------------------------- scores
 
 
-def _asked(x: np.ndarray, at: np.ndarray, of: np.ndarray, first: np.ndarray, last: np.ndarray, wave: int | None, waves: int) -> tuple[np.ndarray, np.ndarray]:
+def _asked(x: np.ndarray, at: np.ndarray, of: np.ndarray, first: np.ndarray, last: np.ndarray, wave: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
     """Keys and codes (text * 4 + what is asked) of every n-gram, or of those whose last word is of a wave; first and
     last mark the ends of texts."""
     begin = np.flatnonzero(first)  # the starts are contexts only
     begin, into = at[begin], of[begin] * 4 + NEXT
     if wave is not None:
-        if wave_of(word_key(np.array([START])), waves)[0] != wave:
+        if not in_wave(np.array([START]), wave)[0]:
             begin, into = begin[:0], into[:0]
-        mine = np.flatnonzero(wave_of(word_key(x[at]), waves) == wave)
+        mine = np.flatnonzero(in_wave(x[at], wave))
         at, of, last = at[mine], of[mine], last[mine]
     of = of * 4
     what = of + np.where(last, HERE, BOTH)
@@ -419,12 +438,12 @@ def _asked(x: np.ndarray, at: np.ndarray, of: np.ndarray, first: np.ndarray, las
     return keys, np.concatenate([what, what, of + HERE, into, into]).astype(np.uint16)
 
 
-def _packets(batches, wave: int | None = None, waves: int = 1):
+def _packets(batches, wave: np.ndarray | None = None):
     """(keys of texts, their numbers, word counts, keys of n-grams (of a wave), codes) for a bounded number of tokens.
 
     A long text comes in several parts with one number; copies of a text are left out as far as a task remembers it.
     """
-    hasher, seen, number = WordHasher(), set(), 0
+    hasher, seen, number = ChunkHasher(), set(), 0
     for part in slices(batches, 1, TEXT_BYTES):
         fresh = []
         for k, name in enumerate(part.column(0).to_pylist()):
@@ -433,7 +452,8 @@ def _packets(batches, wave: int | None = None, waves: int = 1):
                 fresh.append(k)
         if len(seen) > REMEMBERED:
             seen.clear()
-        part = part.take(pa.array(fresh, pa.int64()))
+        if len(fresh) < part.num_rows:
+            part = part.take(pa.array(fresh, pa.int64()))
         h, n = hasher.hashes(part.column(1))
         x, at, of = _framed(h, n)
         first = np.zeros(len(at), bool)
@@ -445,7 +465,7 @@ def _packets(batches, wave: int | None = None, waves: int = 1):
             cut = slice(k, k + PACKET_TOKENS)
             low = int(of[k])
             texts = names[low : int(of[cut][-1]) + 1]
-            yield texts, np.arange(len(texts)) + number + low, np.bincount(of[cut] - low, minlength=len(texts)), *_asked(x, at[cut], of[cut] - low, first[cut], last[cut], wave, waves)
+            yield texts, np.arange(len(texts)) + number + low, np.bincount(of[cut] - low, minlength=len(texts)), *_asked(x, at[cut], of[cut] - low, first[cut], last[cut], wave)
         number += part.num_rows
 
 
@@ -508,6 +528,8 @@ def _known(known: np.ndarray, keys: np.ndarray) -> np.ndarray:
 
 def _summed(keys: np.ndarray, here: np.ndarray, after: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Distinct sorted keys, and a row for each of BOTH, HERE and NEXT."""
+    if np.all(keys[1:] > keys[:-1]):
+        return keys, np.stack([here + after, here, after])
     order = np.argsort(keys)
     keys, here, after = keys[order], here[order], after[order]
     new = runs(keys)
@@ -538,12 +560,12 @@ def _lookup(table: DataFrame, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]
 def sharded_scores(docs: DataFrame, model: Model, unknown: float, shards: int) -> DataFrame:
     """__key (xxhash64 of the text), n_tokens and log10_prob of every text that has words."""
     often, parts = hot_keys(docs), []
-    each = max(-(-shards // model.waves), min(shards, docs.sparkSession.sparkContext.defaultParallelism))
-    for wave in range(model.waves):
-        values = model.values(wave, each)
+    each = max(-(-shards // len(model.waves)), min(shards, docs.sparkSession.sparkContext.defaultParallelism))
+    for k, wave in enumerate(model.waves):
+        values = model.values(k, each)
         known, values_only = model.known(values), values.where(f"kind = {VALUES}")
         hot = docs.sparkSession.sparkContext.broadcast((*_lookup(values_only, often), known))
-        parts.append(materialise(_wave(docs, values_only, hot, each, wave, model.waves), "kn-scores"))
+        parts.append(materialise(_wave(docs, values_only, hot, each, wave), "kn-scores"))
         hot.unpersist()
         discard(values)
     sums = reduce(DataFrame.unionByName, parts).groupBy("__key").agg(F.max("n").alias("n_tokens"), F.sum("part").alias("part"))
@@ -552,7 +574,7 @@ def sharded_scores(docs: DataFrame, model: Model, unknown: float, shards: int) -
     return out
 
 
-def _wave(docs: DataFrame, values: DataFrame, hot, shards: int, wave: int, waves: int) -> DataFrame:
+def _wave(docs: DataFrame, values: DataFrame, hot, shards: int, wave: np.ndarray) -> DataFrame:
     """__key, n and part: what the n-grams of a wave give each text."""
     # a packet's own row tells its texts; rows from shards tell what they add
     told = "packet long, texts binary, adds binary"
@@ -560,7 +582,7 @@ def _wave(docs: DataFrame, values: DataFrame, hot, shards: int, wave: int, waves
     def ask(batches):
         packet = TaskContext.get().partitionId() << 32
         keys_hot, values_hot, known = hot.value
-        for texts, numbers, n, keys, codes in _gathered(_packets(batches, wave, waves), known):
+        for texts, numbers, n, keys, codes in _gathered(_packets(batches, wave), known):
             order = np.argsort(keys)
             keys, codes = keys[order], codes[order]
             # frequent n-grams are runs of the sorted keys

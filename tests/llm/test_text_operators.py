@@ -10,8 +10,8 @@ import numpy as np
 import pyarrow as pa
 import pytest
 from memojoin.llm import bpe, brown_lm, kn_quality, langid, mixing, quality_rules, toxicity
-from memojoin.llm.common import WordHasher, dealt
-from memojoin.llm.packets import unpack
+from memojoin.llm.common import ChunkHasher, WordHasher, dealt
+from memojoin.llm.packets import pack, unpack
 from pyspark.sql import functions as F
 from tests_brute import PlainKneserNey
 
@@ -366,6 +366,36 @@ def test_map_of_keys_leaves_none_out(spark, monkeypatch):
         assert kn_quality._known(known, other).mean() < 0.2
 
 
+def test_waves_get_the_same_number_of_ngrams(spark):
+    # nearly all trigrams end in one of eight words, which a hash alone would deal out unevenly
+    train = spark.createDataFrame([(f"u{k % 45} v{k // 45} h{k % 8}",) for k in range(2000)], "text string")
+    model, _ = kn_quality.value_table(train, 5, 4)
+    waves = [np.concatenate([unpack(r["data"])[0] for r in model.values(wave, 5).where(f"kind = {kn_quality.VALUES}").collect()]) for wave in range(4)]
+    sizes = [len(keys) for keys in waves]
+    assert len(np.unique(np.concatenate(waves))) == sum(sizes) and max(sizes) < 1.1 * sum(sizes) / 4, sizes
+
+
+def test_chunk_hasher_tells_the_same_words_apart():
+    long = [a * k for k in [*range(1, 40), 255, 256, 257, 264, 300_000] for a in ("q", "ab", "é", "\0")]
+    rng = random.Random(3)
+    mixed = ["".join(rng.choices("ab \t\n\x08\x0e\r!é", k=rng.randint(0, 6))) for _ in range(3000)]
+    for texts in (ODD, ODD[::-1], long, [f"{w} {w} z{w}" for w in long], mixed, [], [""]):
+        (h, n), (g, m) = (x.hashes(pa.array(texts, pa.string())) for x in (ChunkHasher(), WordHasher()))
+        want = [w for t in texts for w in (t or "").encode().split()]
+        assert n.tolist() == m.tolist() == [len((t or "").encode().split()) for t in texts]
+        # ids of 48 bits: one for each word
+        assert len(h) == len(g) == len(want) and len(set(zip(want, h >> np.uint64(16)))) == len(set(want)) == len(set(h >> np.uint64(16)))
+
+
+def test_packed_columns_come_back_and_can_be_written_to():
+    rng = np.random.default_rng(1)
+    for n in (0, 1, 1000):
+        columns = [np.sort(rng.integers(0, 1 << 56, n, dtype=np.uint64)), rng.random(n), rng.random(n).astype(np.float32), rng.integers(-5, 5, n), rng.integers(0, 1 << 16, n).astype(np.uint16)[::-1]]
+        for rising in (False, True):
+            for got, want in zip(unpack(pack(*columns, rising=rising)), columns, strict=True):
+                assert got.dtype == want.dtype and got.flags.writeable and got.tolist() == want.tolist()
+
+
 def test_texts_without_a_frequent_ngram_are_scored(spark):
     # one text is alone in its partition and shares only its start with the others
     texts = [f"{a} {b} {c}" for a in "abcd" for b in "abcd" for c in "abcd"]
