@@ -550,6 +550,7 @@ def _lookup(table: DataFrame, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]
                 yield pa.RecordBatch.from_arrays([pa.array(own[at].view(np.int64)), pa.array(here[at]), pa.array(after[at])], ["k", "here", "next"])
 
     got = table.select("data").mapInArrow(trimmed(run), "k long, here float, next float").toArrow()
+    asked.destroy()
     have, values = _summed(got.column("k").to_numpy().view(np.uint64), got.column("here").to_numpy(), got.column("next").to_numpy())
     out = np.zeros((3, len(keys)), np.float32)
     at, hit = _found(have, keys)
@@ -566,7 +567,7 @@ def sharded_scores(docs: DataFrame, model: Model, unknown: float, shards: int) -
         known, values_only = model.known(values), values.where(f"kind = {VALUES}")
         hot = docs.sparkSession.sparkContext.broadcast((*_lookup(values_only, often), known))
         parts.append(materialise(_wave(docs, values_only, hot, each, wave), "kn-scores"))
-        hot.unpersist()
+        hot.destroy()  # with its file, which the driver would keep to the end otherwise
         discard(values)
     sums = reduce(DataFrame.unionByName, parts).groupBy("__key").agg(F.max("n").alias("n_tokens"), F.sum("part").alias("part"))
     out = materialise(sums.select("__key", "n_tokens", (F.col("part") + F.col("n_tokens") * F.lit(unknown)).alias("log10_prob")), "kn-sums")

@@ -2,6 +2,7 @@
 
 import hashlib
 import math
+import os
 import random
 import zlib
 from collections import Counter
@@ -375,6 +376,14 @@ def test_waves_get_the_same_number_of_ngrams(spark):
     assert len(np.unique(np.concatenate(waves))) == sum(sizes) and max(sizes) < 1.1 * sum(sizes) / 4, sizes
 
 
+def test_no_wave_leaves_what_it_sent_on_disk(spark):
+    docs = table(spark, [f"a{k % 7} b{k % 5} c{k}" for k in range(50)])
+    model = kn_quality.value_table(docs.select("text"), 5, 2)
+    before = set(os.listdir(spark.sparkContext._temp_dir))
+    assert kn_quality.sharded_scores(docs, *model, 5).count() == 50
+    assert set(os.listdir(spark.sparkContext._temp_dir)) <= before
+
+
 def test_chunk_hasher_tells_the_same_words_apart():
     long = [a * k for k in [*range(1, 40), 255, 256, 257, 264, 300_000] for a in ("q", "ab", "é", "\0")]
     rng = random.Random(3)
